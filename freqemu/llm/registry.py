@@ -3,12 +3,15 @@
 from __future__ import annotations
 
 from .decontaminate import OP1_SQL, op1_decontamination
+from .language import op3_language
+from .licences import op7_licences
+from .mixing import OP5_SQL, op5_mixing
 from .neardup import OP2_SQL, op2_near_duplicates
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_decontamination, op2_near_duplicates)}
+    return {f.__name__: f for f in (op1_decontamination, op2_near_duplicates, op3_language, op5_mixing, op7_licences)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontamination": OP1_SQL, "op2_near_duplicates": OP2_SQL}
+    return {"op1_decontamination": OP1_SQL, "op2_near_duplicates": OP2_SQL, "op5_mixing": OP5_SQL}
