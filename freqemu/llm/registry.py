@@ -7,10 +7,12 @@ from .language import op3_language
 from .licences import op7_licences
 from .mixing import OP5_SQL, op5_mixing
 from .neardup import OP2_SQL, op2_near_duplicates
+from .pages import op4_main_text
+from .quality import op8_quality
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_decontamination, op2_near_duplicates, op3_language, op5_mixing, op7_licences)}
+    return {f.__name__: f for f in (op1_decontamination, op2_near_duplicates, op3_language, op4_main_text, op5_mixing, op7_licences, op8_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
