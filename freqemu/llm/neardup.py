@@ -8,9 +8,13 @@ about 5e-6; every candidate is confirmed on the full shingle sets, so no false l
 
 No pairs inside a group are listed: documents with equal sets are one class; in a bucket
 every class is first paired with the bucket's smallest class only; confirmed links are
-made into components; only buckets that still hold several components are then searched
-for pairs across components. Components come from rounds of large-star and small-star
-steps over a links table, checkpointed in the shared folder.
+made into components; only members of buckets that still hold several components go on.
+Among those, links across components are searched with an exact prefix filter: shingles
+are ordered from rare to frequent, and two similar sets must share one of their first few
+shingles, how few depends on both sizes. In a large group of near copies the first
+shingles of a copy are its own changes, so copies that only resemble each other's source
+are never paired. Components come from rounds of large-star and small-star steps over a
+links table, checkpointed in the shared folder.
 
 Edge cases: a null or word-less text has an empty set and links with nothing; a document
 shorter than the shingle is one shingle; rows that repeat a doc_id are one document that
@@ -22,7 +26,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F, types as T
+from pyspark.sql import DataFrame, Window as W, functions as F, types as T
 
 from ..plans.lineage import cut
 from .common import SPACED, WordHasher, annotate, mix, shingles
@@ -99,11 +103,41 @@ def _sets(docs: DataFrame, id_col: str, text: str, width: int, wanted: DataFrame
     return found.join(wanted, ["id", "key"], "left_semi").dropDuplicates(["id", "key"])
 
 
-def _confirmed(docs, id_col, text, width, percent, classes, pairs) -> DataFrame:
-    """Those of ``pairs`` (a, b) whose full sets are similar enough."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def _sets_of(docs, id_col, text, width, classes, ids) -> DataFrame:
     wanted = cut(classes.select("id", "key").join(ids, "id", "left_semi"))
-    sets = cut(_sets(docs, id_col, text, width, wanted))
+    return cut(_sets(docs, id_col, text, width, wanted))
+
+
+def _across(sets: DataFrame, members: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of ``members`` (id, component) in different components that may be similar enough: no link is missing.
+
+    Sets with at least ``percent`` in common share o = percent * (n + m) / (100 + percent)
+    shingles or more; so the first shared one, in any common order, stands among the first
+    n - o + 1 of the one and the first m - o + 1 of the other. Shingles of a single set
+    come first in the order and are shared by none, so they are only counted.
+    """
+
+    def start():
+        return lambda sets: [[np.frombuffer(x, np.int64) for x in sets]]
+
+    listed = annotate(sets.join(members, "id"), ["set"], [("shingles", T.ArrayType(T.LongType()))], start, keep=["id", "component"])
+    tokens = cut(listed.select("id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("token")))
+    common = tokens.groupBy("token").agg(F.count("*").alias("f")).where("f > 1")
+    shared = tokens.join(common, "token")
+    by = W.partitionBy("id", "component", "n").orderBy("f", "token")
+    placed = shared.withColumn("k", F.row_number().over(by)).withColumn("all", F.count("*").over(W.partitionBy("id", "component", "n")))
+    first = placed.withColumn("at", F.col("n") - F.col("all") + F.col("k")).where(f"100 * (n - at + 1) >= {percent} * n").select("id", "component", "n", "token", "at")
+    first = cut(first)
+    p, q = first.alias("p"), first.alias("q")
+    least = f"{percent} * (p.n + q.n)"
+    return p.join(q, F.col("p.token") == F.col("q.token")).where(
+        f"p.id < q.id and p.component <> q.component and {100 + percent} * (p.n - p.at + 1) >= {least} and {100 + percent} * (q.n - q.at + 1) >= {least}"
+        f" and 100 * least(p.n, q.n) >= {percent} * greatest(p.n, q.n)"
+    ).select(F.col("p.id").alias("a"), F.col("q.id").alias("b")).distinct()
+
+
+def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Those of ``pairs`` (a, b) whose full sets are similar enough."""
     both = (
         pairs.join(sets.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
         .join(sets.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b")
@@ -167,22 +201,16 @@ def near_duplicates(
     members = cut(spread.join(heads.select("band", "head", "head_n"), "band"))
     sized = F.least("n", "head_n") * 100 >= F.greatest("n", "head_n") * percent
     stars = cut(members.where((F.col("id") != F.col("head")) & sized).select(F.col("head").alias("a"), F.col("id").alias("b")).distinct())
-    links = _confirmed(docs, id_col, text, width, percent, classes, stars)
+    ends = stars.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    links = _confirmed(stars, _sets_of(docs, id_col, text, width, classes, ends), percent)
     label = cut(components(links))
 
-    def labelled(frame, labels):
-        return frame.join(labels, "id", "left").withColumn("component", F.coalesce("component", "id"))
-
-    inside = labelled(members.select("id", "n", "band"), label)
+    inside = members.select("id", "band").join(label, "id", "left").withColumn("component", F.coalesce("component", "id"))
     mixed = inside.groupBy("band").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x < y").select("band")
-    inside = cut(inside.join(mixed, "band", "left_semi"))
-    p, q = inside.alias("p"), inside.alias("q")
-    across = p.join(q, F.col("p.band") == F.col("q.band")).where(
-        "p.id < q.id and p.component <> q.component and least(p.n, q.n) * 100 >= greatest(p.n, q.n) * %d" % percent
-    ).select(F.col("p.id").alias("a"), F.col("q.id").alias("b")).distinct()
-    rest = cut(across.join(stars, ["a", "b"], "left_anti"))
+    rest = cut(inside.join(mixed, "band", "left_semi").select("id", "component").distinct())
     if not rest.isEmpty():
-        more = _confirmed(docs, id_col, text, width, percent, classes, rest)
+        sets = _sets_of(docs, id_col, text, width, classes, rest.select("id"))
+        more = _confirmed(cut(_across(sets, rest, percent)), sets, percent)
         label = cut(components(links.union(more)))
     named = classes.select("key", F.col("id").alias("class")).join(label.withColumnRenamed("id", "class"), "class", "left")
     named = named.select("key", F.coalesce("component", "class").alias("component"))
@@ -200,8 +228,9 @@ def near_duplicates(
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
     """Rows of ``docs`` whose id is the smallest of its group; rows with a null id stay."""
     found = near_duplicates(docs, id_col, text, width, percent)
-    gone = found.where("id <> component").select(F.col("id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    gone = cut(found.where("id <> component").select(F.col("id").alias("_gone")).distinct())
+    side = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone
+    return docs.join(side, F.col(id_col) == F.col("_gone"), "left_anti")
 
 
 def op2_near_duplicates(spark, sf_dir):
