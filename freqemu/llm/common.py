@@ -6,6 +6,7 @@ from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -26,8 +27,10 @@ ALNUM = _table(lambda c: c >= 128 or c in LETTERS_AND_DIGITS)
 SPACED_SET = r"[^\x20\x09-\x0D]+"
 ALNUM_SET = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
-#: Rows handled at once inside an Arrow batch, to bound memory.
-SLICE = 512
+#: Rows and bytes of text handled at once inside an Arrow batch, to bound memory; one longer text is handled by itself.
+SLICE, SLICE_BYTES = 512, 2 << 20
+#: Bytes that WordHasher turns into numbers at once.
+PIECE = 1 << 20
 
 
 def words(text: bytes | None, table: bytes) -> list[bytes]:
@@ -43,6 +46,23 @@ def learnable(doc_id: Column, parts: int, part: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % parts != part, F.lit(False))
 
 
+def slices(sizes: np.ndarray, rows: int = SLICE, most: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:
+    """Ranges [a, b) of up to ``rows`` places whose sizes sum to ``most`` or less, or of one place."""
+    ends, a = np.cumsum(sizes), 0
+    while a < len(sizes):
+        before = ends[a - 1] if a else 0
+        b = max(a + 1, min(a + rows, int(np.searchsorted(ends, before + most, side="right"))))
+        yield a, b
+        a = b
+
+
+def lengths(column: pa.Array) -> np.ndarray:
+    """Bytes of each value of a string or binary column (null: 0); 1 for values of other types."""
+    if not (pa.types.is_string(column.type) or pa.types.is_large_string(column.type) or pa.types.is_binary(column.type) or pa.types.is_large_binary(column.type)):
+        return np.ones(len(column), np.int64)
+    return pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+
+
 def free_names(fields: Sequence[str], taken: Sequence[str]) -> list[str]:
     """``fields``, each with as many underscores behind it as make it differ from ``taken``."""
     used = {t.lower() for t in taken}
@@ -65,8 +85,8 @@ def annotate(
     """Rows of ``df`` with computed columns behind the kept ones, in one pass without shuffle.
 
     ``start`` runs once in each task and gives a function; that function gets the
-    ``inputs`` of up to SLICE rows as lists (strings as UTF-8 bytes, null as None) and
-    returns one sequence for each field. Computed columns whose names a kept column has
+    ``inputs`` of up to SLICE rows and SLICE_BYTES as lists (strings as UTF-8 bytes, null as None) and
+    returns one sequence or Arrow array for each field. Computed columns whose names a kept column has
     get underscores behind them. ``keep`` defaults to every column.
     """
     kept = list(df.columns) if keep is None else list(keep)
@@ -81,8 +101,8 @@ def annotate(
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = start()
         for batch in batches:
-            for at in range(0, batch.num_rows, SLICE):
-                part = batch.slice(at, SLICE)
+            for a, b in slices(sum((lengths(batch.column(i)) for i in input_at), np.zeros(batch.num_rows, np.int64))):
+                part = batch.slice(a, b - a)
                 cols = []
                 for i in input_at:
                     c = part.column(i)
@@ -91,7 +111,7 @@ def annotate(
                     cols.append(c.to_pylist())
                 made = work(*cols)
                 arrays = [part.column(i) for i in kept_at]
-                arrays += [pa.array(v, type=arrow.field(n_kept + k).type) for k, v in enumerate(made)]
+                arrays += [v if isinstance(v, pa.Array) else pa.array(v, type=arrow.field(n_kept + k).type) for k, v in enumerate(made)]
                 yield pa.RecordBatch.from_arrays(arrays, names=arrow.names)
 
     return source.mapInArrow(run, schema)
@@ -115,9 +135,9 @@ def mix(x: np.ndarray) -> np.ndarray:
 class WordHasher:
     """64-bit hashes of all words of many texts, without a Python object for each word.
 
-    A word's bytes are the digits of a number in an odd radix; prefix sums over the whole
-    buffer give every word's number with two look-ups, and the inverse power of the radix
-    makes it independent of the place.
+    A word's bytes are the digits of a number in an odd radix; prefix sums over a piece of
+    the buffer give every word's number with two look-ups, and the inverse power of the
+    radix makes it independent of the place. Pieces end between words.
     """
 
     def __init__(self, table: bytes):
@@ -133,12 +153,8 @@ class WordHasher:
                 steps[0] = 1
                 setattr(self, name, np.multiply.accumulate(steps))
 
-    def __call__(self, texts: Sequence[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
-        """Hashes of all words in order, and for each text the number of words before it (and all at the end)."""
-        sizes = np.fromiter((len(t) + 1 if t else 1 for t in texts), np.int64, len(texts))
-        buffer = self.table[np.frombuffer(b" ".join([t or b"" for t in texts]) + b" ", np.uint8)]
-        word = buffer != 32
-        edge = np.flatnonzero(np.diff(word, prepend=False))
+    def _piece(self, buffer: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        edge = np.flatnonzero(np.diff(buffer != 32, prepend=False, append=False))
         first, last = edge[::2], edge[1::2]
         self._powers(len(buffer) + 1)
         digits = buffer.astype(np.uint64)
@@ -146,9 +162,24 @@ class WordHasher:
         digits *= self.power[: len(buffer)]
         total = np.zeros(len(buffer) + 1, np.uint64)
         np.cumsum(digits, out=total[1:])
-        hashes = mix((total[last] - total[first]) * self.inverse[first] + (last - first).astype(np.uint64))
-        bounds = np.searchsorted(first, np.concatenate([[0], np.cumsum(sizes)]))
-        return hashes, bounds
+        return mix((total[last] - total[first]) * self.inverse[first] + (last - first).astype(np.uint64)), first
+
+    def __call__(self, texts: Sequence[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of all words in order, and for each text the number of words before it (and all at the end)."""
+        sizes = np.fromiter((len(t) + 1 if t else 1 for t in texts), np.int64, len(texts))
+        buffer = self.table[np.frombuffer(b" ".join([t or b"" for t in texts]) + b" ", np.uint8)]
+        blank = np.flatnonzero(buffer == 32)
+        hashes, firsts, a = [], [], 0
+        while a < len(buffer):
+            k = np.searchsorted(blank, a + PIECE)
+            k = k if k < len(blank) and blank[max(k - 1, 0)] < a else max(k - 1, 0)
+            b = int(blank[min(k, len(blank) - 1)]) + 1
+            h, first = self._piece(buffer[a:b])
+            hashes.append(h)
+            firsts.append(first + a)
+            a = b
+        first = np.concatenate(firsts)
+        return np.concatenate(hashes), np.searchsorted(first, np.concatenate([[0], np.cumsum(sizes)]))
 
 
 def shingles(hashes: np.ndarray, width: int) -> np.ndarray:

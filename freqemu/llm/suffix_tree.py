@@ -12,9 +12,9 @@ bound, however large the corpus, and can be broadcast. Suffixes of retained cont
 retained too. Distributions are smoothed towards the suffix's with
 the weight of the number of different next bytes; the root adds one to every byte.
 
-Base score: words are counted over all training texts. Documents are dealt into groups;
-each group asks for the counts of its distinct words only and gets them back packed in one
-row, which meets the group's texts again for scoring. Words travel as 64-bit hashes.
+Base score: words, as 64-bit hashes, are counted over all training texts. The counts of the
+FREQUENT most frequent words are broadcast; other words of a document meet their counts in
+a join. No text is shuffled.
 
 Edge cases: a null text is empty and has the end as its only token; without training texts
 every distribution is uniform over the 256 bytes and c = N = V = 0; rows with a null id
@@ -28,20 +28,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window as W, functions as F, types as T
+from pyspark.sql import DataFrame, functions as F, types as T
 
 from ..plans.lineage import cut
-from .common import SPACED, WordHasher, held_out, learnable
+from .common import SPACED, WordHasher, annotate, held_out, learnable, lengths, slices
 
 DEPTH = 5
 GAIN = 2e-6
 #: Most retained contexts: the bound of what is broadcast (about 1 kB a context).
 STATES = 60_000
-#: Text of one group, held in a task at once.
-GROUP_BYTES = 24 << 20
+#: Words whose counts are broadcast (16 bytes each).
+FREQUENT = 300_000
 _END = 10
 _PAD = bytes([_END]) * DEPTH
 _CHUNK = 1 << 20
+#: Distinct grams that a task holds before it emits them.
+MOST_HELD = 4_000_000
 
 
 def normal(text: bytes | None) -> bytes:
@@ -62,45 +64,57 @@ def _column(batch, name: str) -> list:
 # -- the tree ----------------------------------------------------------------------------
 
 
+def merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """Codes, sorted and once each, with the sums of their counts."""
+    codes, counts = np.concatenate([c for c, _ in parts]), np.concatenate([n for _, n in parts])
+    order = np.argsort(codes, kind="stable")
+    codes, counts = codes[order], counts[order]
+    start = np.flatnonzero(np.diff(codes, prepend=codes[:1] - 1))
+    return codes[start], np.add.reduceat(counts, start)
+
+
 def gram_counts(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
     """Codes of all (DEPTH + 1)-grams that end on a byte of a text, and how often each is there."""
     pieces = [normal(t) for t in texts]
     stream = np.frombuffer(b"".join([_PAD + p for p in pieces]), np.uint8)
     if not len(stream):
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    codes = np.zeros(len(stream) - DEPTH, np.int64)
-    for k in range(DEPTH + 1):
-        codes <<= 8
-        codes |= stream[k : len(stream) - DEPTH + k]
-    sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
-    ends = np.cumsum(sizes + DEPTH) - DEPTH  # of each piece, in codes
-    own = np.ones(len(codes), bool)
-    for a in ends[:-1]:
+    own = np.ones(len(stream), bool)  # places that are no padding
+    ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)) + DEPTH)
+    for a in [0, *ends[:-1].tolist()]:
         own[a : a + DEPTH] = False
-    return np.unique(codes[own], return_counts=True)
+    found = []
+    for a in range(DEPTH, len(stream), _CHUNK):
+        b = min(len(stream), a + _CHUNK)
+        codes = np.zeros(b - a, np.int64)
+        for k in range(DEPTH, -1, -1):
+            codes <<= 8
+            codes |= stream[a - k : b - k]
+        found.append(np.unique(codes[own[a:b]], return_counts=True))
+    return found[0] if len(found) == 1 else merged(found)
 
 
 def _grams(docs: DataFrame) -> DataFrame:
     schema = T.StructType([T.StructField("code", T.LongType()), T.StructField("n", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
+        held: list = []
 
-        def out(held):
-            codes, counts = gram_counts(held)
-            for at in range(0, len(codes), 1 << 18):
-                yield pa.RecordBatch.from_arrays([pa.array(codes[at : at + (1 << 18)]), pa.array(counts[at : at + (1 << 18)])], names=["code", "n"])
+        def out():
+            codes, counts = merged(held)
+            held.clear()
+            for at in range(0, len(codes), 1 << 17):
+                yield pa.RecordBatch.from_arrays([pa.array(codes[at : at + (1 << 17)]), pa.array(counts[at : at + (1 << 17)])], names=["code", "n"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                for t in _column(batch.slice(at, 512), "text"):
-                    held.append(t)
-                    size += len(t or b"")
-                    if size >= GROUP_BYTES:
-                        yield from out(held)
-                        held, size = [], 0
+            for a, b in slices(lengths(batch.column(0)), 4096, _CHUNK):
+                held.append(gram_counts(_column(batch.slice(a, b - a), "text")))
+                if sum(len(c) for c, _ in held) > MOST_HELD:
+                    held[:] = [merged(held)]
+                    if len(held[0][0]) > MOST_HELD // 2:
+                        yield from out()
         if held:
-            yield from out(held)
+            yield from out()
 
     return docs.select("text").mapInArrow(run, schema).groupBy("code").agg(F.sum("n").alias("n"))
 
@@ -172,8 +186,9 @@ def learn(docs: DataFrame, gain: float = GAIN, states: int = STATES) -> dict:
         least = gain * total
         while passed.where(F.col("gain") >= least).count() > states:
             least *= 2
-        for r in passed.where(F.col("gain") >= least).toLocalIterator():
-            contexts[r.k].add(r.context)
+        chosen = passed.where(F.col("gain") >= least).toArrow()
+        for k, context in zip(chosen.column("k").to_pylist(), chosen.column("context").to_pylist()):
+            contexts[k].add(context)
         for k in range(DEPTH, 1, -1):
             contexts[k - 1] |= {c & ((1 << 8 * (k - 1)) - 1) for c in contexts[k]}
     spark = docs.sparkSession
@@ -186,8 +201,8 @@ def learn(docs: DataFrame, gain: float = GAIN, states: int = STATES) -> dict:
                 continue
             chosen = spark.createDataFrame(pa.table({"context": pa.array(sorted(contexts[k]), pa.int64())}))
             rows = rows.join(F.broadcast(chosen), "context", "left_semi")
-        pd = rows.toPandas()
-        counts.append((pd["context"].to_numpy(np.int64), pd["b"].to_numpy(np.int64), pd["n"].to_numpy(np.int64)))
+        found = rows.toArrow()
+        counts.append(tuple(found.column(c).to_numpy() for c in ("context", "b", "n")))
     return build(contexts, counts)
 
 
@@ -217,78 +232,86 @@ def scores(texts: list[bytes | None], tree: dict) -> np.ndarray:
 # -- words ---------------------------------------------------------------------------------
 
 
-def _asked(rows: DataFrame) -> DataFrame:
-    """(g, word, n): distinct word hashes of each group and how often its training texts hold them."""
-    schema = T.StructType([T.StructField("g", T.LongType()), T.StructField("word", T.LongType()), T.StructField("n", T.LongType())])
+def word_counts(docs: DataFrame) -> DataFrame:
+    """(word, n): hashes of all words of ``docs`` (text) and how often each is there."""
+    schema = T.StructType([T.StructField("word", T.LongType()), T.StructField("n", T.LongType())])
 
-    def run(table: pa.Table) -> pa.Table:
-        texts, learns = _column(table.combine_chunks().to_batches()[0], "text"), np.array(table.column("learn").to_pylist(), bool)
-        hashes, bounds = WordHasher(SPACED)(texts)
-        words, back = np.unique(hashes, return_inverse=True)
-        counts = np.bincount(back, np.repeat(learns, np.diff(bounds)).astype(np.float64), minlength=len(words)).astype(np.int64)
-        return pa.table({"g": pa.array(np.full(len(words), table.column("g")[0].as_py())), "word": pa.array(words.view(np.int64)), "n": pa.array(counts)})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hasher, held = WordHasher(SPACED), []
 
-    return rows.groupBy("g").applyInArrow(run, schema)
+        def out():
+            words, counts = merged(held)
+            held.clear()
+            for at in range(0, len(words), 1 << 17):
+                yield pa.RecordBatch.from_arrays([pa.array(words[at : at + (1 << 17)]), pa.array(counts[at : at + (1 << 17)])], names=["word", "n"])
 
+        for batch in batches:
+            for a, b in slices(lengths(batch.column(0)), 4096):
+                hashes, _ = hasher(_column(batch.slice(a, b - a), "text"))
+                held.append(np.unique(hashes.view(np.int64), return_counts=True))
+                if sum(len(c) for c, _ in held) > MOST_HELD:
+                    held[:] = [merged(held)]
+                    if len(held[0][0]) > MOST_HELD // 2:
+                        yield from out()
+        if held:
+            yield from out()
 
-def _packed(asked: DataFrame) -> DataFrame:
-    """One row a group: its words and their counts over all groups, as arrays in bytes; n and v add up to all words and distinct words."""
-    each = asked.withColumn("c", F.sum("n").over(W.partitionBy("word"))).withColumn("first", F.row_number().over(W.partitionBy("word").orderBy("g")) == 1)
-    schema = T.StructType([T.StructField("g", T.LongType()), T.StructField("words", T.BinaryType()), T.StructField("counts", T.BinaryType()), T.StructField("n", T.LongType()), T.StructField("v", T.LongType())])
+    return docs.select("text").mapInArrow(run, schema).groupBy("word").agg(F.sum("n").alias("n"))
 
-    def run(table: pa.Table) -> pa.Table:
-        words = table.column("word").to_numpy().view(np.uint64)
-        c = table.column("c").to_numpy()
-        first = table.column("first").to_numpy()
-        order = np.argsort(words)
-        return pa.table({
-            "g": table.column("g").slice(0, 1), "words": pa.array([words[order].tobytes()], pa.binary()), "counts": pa.array([c[order].tobytes()], pa.binary()),
-            "n": pa.array([int(c[first].sum())]), "v": pa.array([int((c[first] > 0).sum())]),
-        })
 
-    return each.groupBy("g").applyInArrow(run, schema)
+def most_frequent(table: DataFrame, most: int) -> DataFrame:
+    """Words of ``table`` (word, n) from a count on, as low as leaves at most ``most`` of them: found without a sort."""
+    step = F.floor(F.log2(F.col("n").cast("double")) * 8)
+    least, room = None, most
+    for r in sorted(table.groupBy(step.alias("step")).agg(F.count("*").alias("c"), F.min("n").alias("low")).collect(), key=lambda r: -r.step):
+        room -= r.c
+        if room < 0:
+            break
+        least = r.low
+    return table.where(F.lit(False) if least is None else F.col("n") >= least)
 
 
-def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2, group_bytes: int = GROUP_BYTES) -> DataFrame:
+def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2, frequent: int = FREQUENT) -> DataFrame:
     """(id_col, held_out, n_tokens, n_known, train_tokens, base_score, score), a row for each of ``docs``."""
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    flags = rows.select("id", "text", learnable(F.col("id"), parts, part).alias("learn"), held_out(F.col("id"), parts, part).alias("held_out"))
-    size, ends = flags.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.when(F.col("learn"), 1))).first()
-    groups = max(1, -(-size // group_bytes))
-    tree = learn(flags.where("learn"))
-    grouped = flags.withColumn("g", F.pmod(F.xxhash64("id", "text"), F.lit(groups)).cast("long")).repartition(groups, "g")
-    packed = cut(_packed(_asked(grouped.select("g", "text", "learn"))))
-    words, distinct = packed.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
+    learnt = rows.where(learnable(F.col("id"), parts, part)).select("text")
+    ends = learnt.count()
+    tree = learn(learnt)
+    table = cut(word_counts(learnt))
+    words, distinct = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     total, kinds = words + ends, distinct + (ends > 0)
-    id_type = rows.schema["id"].dataType
-    long = T.LongType()
-    schema = T.StructType([
-        T.StructField(id_col, id_type), T.StructField("held_out", T.BooleanType()), T.StructField("n_tokens", long), T.StructField("n_known", long),
-        T.StructField("train_tokens", long), T.StructField("base_score", T.DoubleType()), T.StructField("score", T.DoubleType()),
-    ])
-    held = docs.sparkSession.sparkContext.broadcast(tree)
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        out = []
-        some = right.num_rows > 0  # a group without a word asks for nothing
-        known = np.frombuffer(right.column("words")[0].as_py() if some else b"", np.uint64)
-        log = np.frombuffer(right.column("counts")[0].as_py() if some else b"", np.int64)
-        unit = np.log10(total + kinds + 1)
-        for batch in left.combine_chunks().to_batches(max_chunksize=2048):
-            texts = _column(batch, "text")
-            hashes, bounds = WordHasher(SPACED)(texts)
-            c = log[np.searchsorted(known, hashes)] if len(known) else np.zeros(len(hashes), np.int64)
-            steps = np.concatenate([[0.0], np.cumsum(np.log10(c + 1.0))])
-            seen = np.concatenate([[0], np.cumsum(c > 0)])
-            n = np.diff(bounds) + 1
-            base = steps[bounds[1:]] - steps[bounds[:-1]] + np.log10(ends + 1.0) - n * unit
-            cols = [batch.column(batch.schema.get_field_index("id")), batch.column(batch.schema.get_field_index("held_out"))]
-            cols += [pa.array(n), pa.array(seen[bounds[1:]] - seen[bounds[:-1]] + int(ends > 0)), pa.array(np.full(len(n), total, np.int64)), pa.array(base), pa.array(scores(texts, held.value))]
-            out.append(pa.RecordBatch.from_arrays(cols, names=[f.name for f in schema]))
-        return pa.Table.from_batches(out)
-
-    both = grouped.select("g", "id", "text", "held_out").groupBy("g").cogroup(packed.groupBy("g"))
-    return both.applyInArrow(run, schema)
+    top = most_frequent(table, frequent).toArrow().sort_by("word")
+    held = docs.sparkSession.sparkContext.broadcast((tree, top.column("word").to_numpy(), top.column("n").to_numpy()))
+
+    def start():
+        tree, known, counts = held.value
+        hasher = WordHasher(SPACED)
+        logs = np.log10(counts + 1.0)
+
+        def work(texts):
+            hashes, bounds = hasher(texts)
+            hashes = hashes.view(np.int64)
+            at = np.minimum(np.searchsorted(known, hashes), max(len(known) - 1, 0))
+            common = known[at] == hashes if len(known) else np.zeros(len(hashes), bool)
+            steps = np.concatenate([[0.0], np.cumsum(np.where(common, logs[at], 0.0) if len(known) else np.zeros(len(hashes)))])
+            seen = np.concatenate([[0], np.cumsum(common)])
+            rare = pa.ListArray.from_arrays(pa.array((bounds - seen[bounds]).astype(np.int32)), pa.array(hashes[~common]))
+            return np.diff(bounds) + 1, np.diff(seen[bounds]), np.diff(steps[bounds]), scores(texts, tree), rare
+
+        return work
+
+    long, double = T.LongType(), T.DoubleType()
+    fields = [("n_tokens", long), ("n_top", long), ("log_top", double), ("score", double), ("rare", T.ArrayType(long))]
+    first = cut(annotate(rows, ["text"], fields, start, keep=["id"]).withColumn("row", F.monotonically_increasing_id()))
+    asked = first.select("row", F.explode("rare").alias("word"))
+    found = asked.join(table, "word").groupBy("row").agg(F.count("*").alias("n_rare"), F.sum(F.log10(F.col("n") + 1.0)).alias("log_rare"))
+    both = first.drop("rare").join(found, "row", "left")
+    logs = F.col("log_top") + F.coalesce("log_rare", F.lit(0.0)) + float(np.log10(ends + 1.0))
+    return both.select(
+        F.col("id").alias(id_col), held_out(F.col("id"), parts, part).alias("held_out"), "n_tokens",
+        (F.col("n_top") + F.coalesce("n_rare", F.lit(0)) + int(ends > 0)).alias("n_known"), F.lit(int(total)).cast("bigint").alias("train_tokens"),
+        (logs - F.col("n_tokens") * float(np.log10(total + kinds + 1.0))).alias("base_score"), "score",
+    )
 
 
 def op6_language_model(spark, sf_dir):
