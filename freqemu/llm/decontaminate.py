@@ -22,7 +22,7 @@ from collections.abc import Iterable, Sequence
 
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import ALNUM, annotate, words
+from .common import ALNUM, annotate, free_names, words
 
 WINDOW = 13
 #: Text of test items that is held in a task at once; larger test sets are searched in blocks.
@@ -162,7 +162,7 @@ def contamination(
             )
 
         out = out.withColumn(s, F.aggregate(F.array_sort(s), F.slice(F.col(s), 1, 0), absorb)).withColumn(i, F.array_sort(i))
-    hit, bad = (x + "_" * (len(n) - len("n_words")) for x in ("n_hit", "contaminated"))
+    hit, bad = free_names(["n_hit", "contaminated"], out.columns)
     n_hit = F.aggregate(F.col(s), F.lit(0).cast("long"), lambda a, x: a + x["past"] - x["first"])
     out = out.withColumn(hit, n_hit).withColumn(bad, (F.col(hit) > 0) & (F.col(hit) * share >= F.col(n)))
     return out if text in kept else out.drop(text)

@@ -118,7 +118,7 @@ def train(docs: DataFrame, id_col: str, text: str, lang: str, per_language: int
     def start():
         return lambda texts: [[row.astype(np.float16).tobytes() for row in grams(texts)]]
 
-    sample = annotate(rows.where(u < part[F.col("lang")]), ["text"], [("x", T.BinaryType())], start, keep=["id", "lang"]).toPandas()
+    sample = annotate(rows.where(u < part[F.col("lang")]), ["text"], [("x", T.BinaryType())], start, keep=["id", "lang"]).toArrow().to_pandas()
     sample = sample.sort_values(["id", "lang"], kind="stable")
     at = {k: i for i, k in enumerate(names)}
     label = np.array([at[k] for k in sample["lang"]], np.int64)

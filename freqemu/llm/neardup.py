@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window as W, functions as F, types as T
 
 from ..plans.lineage import cut
-from .common import SPACED, WordHasher, annotate, mix, shingles
+from .common import SPACED, WordHasher, annotate, free_names, mix, shingles
 
 BANDS, ROWS = 40, 6
 #: Candidate documents up to this number are broadcast to the second reading of texts (16 bytes each); beyond it a shuffle joins them.
@@ -228,9 +228,10 @@ def near_duplicates(
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
     """Rows of ``docs`` whose id is the smallest of its group; rows with a null id stay."""
     found = near_duplicates(docs, id_col, text, width, percent)
-    gone = cut(found.where("id <> component").select(F.col("id").alias("_gone")).distinct())
+    name = free_names(["gone"], docs.columns)[0]
+    gone = cut(found.where("id <> component").select(F.col("id").alias(name)).distinct())
     side = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone
-    return docs.join(side, F.col(id_col) == F.col("_gone"), "left_anti")
+    return docs.join(side, F.col(id_col) == F.col(name), "left_anti")
 
 
 def op2_near_duplicates(spark, sf_dir):

@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from ..plans.lineage import cut
-from .common import SPACED, annotate, held_out, learnable
+from .common import SPACED, annotate, free_names, held_out, learnable
 
 TRAINING = 6000
 THRESHOLD = 0.7
@@ -158,7 +158,7 @@ def train(measured: DataFrame, labels: DataFrame, id_col: str = "doc_id", label:
     u = F.pmod(F.xxhash64("_id", F.lit("quality")), F.lit(1 << 20))
     chosen = known.where(u < int((1 << 20) * min(1.0, training / max(1, n)))).distinct()
     rows = measured.join(F.broadcast(chosen), F.col(id_col) == F.col("_id")).select("_id", "_y", *STATISTICS)
-    data = rows.toPandas().sort_values(["_id", "_y", *STATISTICS], kind="stable")
+    data = rows.toArrow().to_pandas().sort_values(["_id", "_y", *STATISTICS], kind="stable")
     return fit_rules(data[list(STATISTICS)].to_numpy(float), data["_y"].to_numpy(float))
 
 
@@ -174,7 +174,8 @@ def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: s
         rows = with_statistics(docs, text, keep=kept)
         names = rows.columns[len(kept):]
     out = rows.withColumn(names[0], compiled(model, names))
-    return out.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{names[0]}`").alias("score"), (F.col(f"`{names[0]}`") >= THRESHOLD).cast("int").alias("predicted"))
+    score, predicted = free_names(["score", "predicted"], kept)
+    return out.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{names[0]}`").alias(score), (F.col(f"`{names[0]}`") >= THRESHOLD).cast("int").alias(predicted))
 
 
 def op8_quality(spark, sf_dir):
