@@ -1,8 +1,13 @@
 """Language-model scores from a probabilistic suffix tree over the bytes of normalised text.
 
 A text's tokens are written as bytes: each lower-cased word and a blank behind it, then one
-line feed as the end. The probability of the tokens is that of the bytes, each given the
-longest context that the tree retains, of at most DEPTH bytes.
+line feed as the end. The tree gives a token the probability of its bytes, each given the
+longest context that is retained, of at most DEPTH bytes, across tokens.
+
+Score: like the base score, the model tells the tokens of the training texts apart and has
+one chance for all unknown ones: that of a token seen once. A known token's chance is half
+its relative frequency, after DISCOUNT is taken off its count; all that this leaves goes to
+the tree's probability of the token. As these add up to 1 at most, so do the chances.
 
 Tree: counts of all (DEPTH + 1)-grams of all training texts. A context is retained if its
 next-byte distribution differs enough from that of its suffix one byte shorter: its count
@@ -17,7 +22,7 @@ FREQUENT most frequent words are broadcast; other words of a document meet their
 a join. No text is shuffled.
 
 Edge cases: a null text is empty and has the end as its only token; without training texts
-every distribution is uniform over the 256 bytes and c = N = V = 0; rows with a null id
+every token is unknown and c = N = V = 0; rows with a null id
 are scored, not learnt from; repeated rows count as often as they are there.
 """
 
@@ -37,6 +42,8 @@ DEPTH = 5
 GAIN = 2e-6
 #: Most retained contexts: the bound of what is broadcast (about 1 kB a context).
 STATES = 60_000
+#: Weight of word frequencies, and what is taken off each count.
+WORDS, DISCOUNT = 0.5, 0.5
 #: Words whose counts are broadcast (16 bytes each).
 FREQUENT = 300_000
 _END = 10
@@ -206,10 +213,11 @@ def learn(docs: DataFrame, gain: float = GAIN, states: int = STATES) -> dict:
     return build(contexts, counts)
 
 
-def scores(texts: list[bytes | None], tree: dict) -> np.ndarray:
-    """log10 probability of each text's tokens."""
-    pieces = [normal(t) for t in texts]
-    stream = tree["column"][np.frombuffer(b"".join([_PAD + p for p in pieces]), np.uint8)]
+def token_logs(texts: list[bytes | None], tree: dict) -> tuple[np.ndarray, np.ndarray]:
+    """The tree's log10 probability of each token of the texts in turn, and which tokens are ends."""
+    pieces = [_PAD + normal(t) for t in texts]
+    raw = np.frombuffer(b"".join(pieces), np.uint8)
+    stream = tree["column"][raw]
     child, log, width, dead = tree["child"], tree["log"], tree["width"], tree["dead"]
     out = np.zeros(len(stream))
     for a in range(DEPTH, len(stream), _CHUNK):
@@ -223,10 +231,13 @@ def scores(texts: list[bytes | None], tree: dict) -> np.ndarray:
                 break
             best = np.where(alive, state, best)
         out[a:b] = log[best * np.int32(width) + stream[a:b]]
-    sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
-    starts = np.cumsum(sizes + DEPTH) - sizes
-    marks = np.stack([starts, starts + sizes], axis=1).ravel()
-    return np.add.reduceat(np.append(out, 0.0), marks)[::2] if len(pieces) else np.zeros(0)
+    padding = np.zeros(len(raw), bool)
+    starts = np.cumsum([0, *map(len, pieces)])[:-1]
+    for k in range(DEPTH):
+        padding[starts + k] = True
+    out[padding] = 0
+    last = np.flatnonzero(((raw == _END) & ~padding) | (raw == 32))
+    return np.diff(np.cumsum(out)[last], prepend=0.0), raw[last] == _END
 
 
 # -- words ---------------------------------------------------------------------------------
@@ -278,39 +289,56 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     ends = learnt.count()
     tree = learn(learnt)
     table = cut(word_counts(learnt))
-    words, distinct = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+    words, distinct, once = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), F.count(F.when(F.col("n") == 1, 1))).first()
     total, kinds = words + ends, distinct + (ends > 0)
+    unknown = (once + (ends == 1) + 1) / (total + 2)
+    known_share = (1 - unknown) * WORDS / max(total, 1)
+    tree_share = (1 - unknown) * (1 - WORDS + WORDS * DISCOUNT * kinds / max(total, 1))
     top = most_frequent(table, frequent).toArrow().sort_by("word")
     held = docs.sparkSession.sparkContext.broadcast((tree, top.column("word").to_numpy(), top.column("n").to_numpy()))
 
     def start():
         tree, known, counts = held.value
         hasher = WordHasher(SPACED)
-        logs = np.log10(counts + 1.0)
+
+        def sums(values, bounds):
+            return np.diff(np.concatenate([[0.0], np.cumsum(values)])[bounds])
 
         def work(texts):
             hashes, bounds = hasher(texts)
             hashes = hashes.view(np.int64)
-            at = np.minimum(np.searchsorted(known, hashes), max(len(known) - 1, 0))
-            common = known[at] == hashes if len(known) else np.zeros(len(hashes), bool)
-            steps = np.concatenate([[0.0], np.cumsum(np.where(common, logs[at], 0.0) if len(known) else np.zeros(len(hashes)))])
+            by_tree, end = token_logs(texts, tree)
+            word_tree, end_tree = by_tree[~end], by_tree[end]
+            common, c = np.zeros(len(hashes), bool), np.zeros(len(hashes))
+            if len(known):
+                at = np.minimum(np.searchsorted(known, hashes), len(known) - 1)
+                common = known[at] == hashes
+                c = counts[at]
+            chance = known_share * (c - DISCOUNT) + tree_share * 10.0**word_tree
+            score = sums(np.where(common, np.log10(np.where(common, chance, 1.0)), 0.0), bounds)
+            score += np.log10(known_share * (ends - DISCOUNT) + tree_share * 10.0**end_tree) if ends else np.log10(unknown)
             seen = np.concatenate([[0], np.cumsum(common)])
-            rare = pa.ListArray.from_arrays(pa.array((bounds - seen[bounds]).astype(np.int32)), pa.array(hashes[~common]))
-            return np.diff(bounds) + 1, np.diff(seen[bounds]), np.diff(steps[bounds]), scores(texts, tree), rare
+            places = pa.array((bounds - seen[bounds]).astype(np.int32))
+            rare = pa.ListArray.from_arrays(places, pa.array(hashes[~common]))
+            rare_tree = pa.ListArray.from_arrays(places, pa.array(word_tree[~common]))
+            return np.diff(bounds) + 1, np.diff(seen[bounds]), sums(np.where(common, np.log10(c + 1.0), 0.0), bounds), score, rare, rare_tree
 
         return work
 
     long, double = T.LongType(), T.DoubleType()
-    fields = [("n_tokens", long), ("n_top", long), ("log_top", double), ("score", double), ("rare", T.ArrayType(long))]
+    fields = [("n_tokens", long), ("n_top", long), ("log_top", double), ("score_top", double), ("rare", T.ArrayType(long)), ("rare_tree", T.ArrayType(double))]
     first = cut(annotate(rows, ["text"], fields, start, keep=["id"]).withColumn("row", F.monotonically_increasing_id()))
-    asked = first.select("row", F.explode("rare").alias("word"))
-    found = asked.join(table, "word").groupBy("row").agg(F.count("*").alias("n_rare"), F.sum(F.log10(F.col("n") + 1.0)).alias("log_rare"))
-    both = first.drop("rare").join(found, "row", "left")
+    asked = first.select("row", F.inline(F.arrays_zip(F.col("rare").alias("word"), F.col("rare_tree").alias("tree"))))
+    chance = F.lit(known_share) * (F.col("n") - DISCOUNT) + F.lit(tree_share) * F.pow(F.lit(10.0), F.col("tree"))
+    found = asked.join(table, "word").groupBy("row").agg(F.count("*").alias("n_rare"), F.sum(F.log10(F.col("n") + 1.0)).alias("log_rare"), F.sum(F.log10(chance)).alias("score_rare"))
+    both = first.select("id", "row", "n_tokens", "n_top", "log_top", "score_top", F.size("rare").alias("n_asked")).join(found, "row", "left")
+    n_rare = F.coalesce("n_rare", F.lit(0))
     logs = F.col("log_top") + F.coalesce("log_rare", F.lit(0.0)) + float(np.log10(ends + 1.0))
+    score = F.col("score_top") + F.coalesce("score_rare", F.lit(0.0)) + (F.col("n_asked") - n_rare) * float(np.log10(unknown))
     return both.select(
         F.col("id").alias(id_col), held_out(F.col("id"), parts, part).alias("held_out"), "n_tokens",
-        (F.col("n_top") + F.coalesce("n_rare", F.lit(0)) + int(ends > 0)).alias("n_known"), F.lit(int(total)).cast("bigint").alias("train_tokens"),
-        (logs - F.col("n_tokens") * float(np.log10(total + kinds + 1.0))).alias("base_score"), "score",
+        (F.col("n_top") + n_rare + int(ends > 0)).alias("n_known"), F.lit(int(total)).cast("bigint").alias("train_tokens"),
+        (logs - F.col("n_tokens") * float(np.log10(total + kinds + 1.0))).alias("base_score"), score.alias("score"),
     )
 
 

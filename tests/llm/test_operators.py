@@ -329,16 +329,20 @@ def test_language_model_against_brute_force(spark):
         assert r.held_out == (i not in train)
         assert (r.n_tokens, r.n_known, r.train_tokens) == (len(tokens), sum(count[t] > 0 for t in tokens), n)
         assert r.base_score == pytest.approx(sum(math.log10((count[t] + 1) / (n + v + 1)) for t in tokens))
-        assert r.score == pytest.approx(slow_score(texts[i], tree), rel=1e-5)
-    held = [r for r in found.values() if r.held_out and r.n_tokens > 5]
-    assert sum(r.score for r in held) > sum(r.base_score for r in held)
+        assert r.score == pytest.approx(slow_score(texts[i], tree, count, n, v), rel=1e-5)
 
 
-def slow_score(text, tree):
-    """The tree walked byte by byte."""
+def test_language_model_beats_single_words_on_held_out_documents(spark, data):
+    rows = registry.queries()["op6_language_model"](spark, data.replace("sf0.001", "sf0.01")).where("held_out").collect()
+    assert sum(r.score for r in rows) > sum(r.base_score for r in rows)
+
+
+def slow_score(text, tree, count, n, v):
+    """Token by token, and the tree walked byte by byte."""
     data = suffix_tree._PAD + suffix_tree.normal(text.encode() if text is not None else None)
     column, child, log, width, dead = (tree[x] for x in ("column", "child", "log", "width", "dead"))
-    total = 0.0
+    unknown = (sum(c == 1 for c in count.values()) + 1) / (n + 2)
+    total, token, spelled = 0.0, b"", 0.0
     for t in range(suffix_tree.DEPTH, len(data)):
         state = 0
         for k in range(1, suffix_tree.DEPTH + 1):
@@ -346,7 +350,14 @@ def slow_score(text, tree):
             if following == dead:
                 break
             state = following
-        total += log[state * width + column[data[t]]]
+        spelled += log[state * width + column[data[t]]]
+        if data[t] in b" \n":
+            c = count["<end>" if data[t] == 10 else token.decode()]
+            p = (1 - unknown) * (0.5 * (c - 0.5) / n + (0.5 + 0.25 * v / n) * 10**spelled)
+            total += math.log10(p if c else unknown)
+            token, spelled = b"", 0.0
+        else:
+            token += bytes([data[t]])
     return total
 
 
@@ -362,7 +373,7 @@ def test_language_model_without_training_rows(spark):
     rows = docs_of(spark, ["x y"]).withColumn("doc_id", F.lit(None).cast("long"))
     r = suffix_tree.score_documents(rows).first()
     assert (r.n_tokens, r.n_known, r.train_tokens, r.held_out) == (3, 0, 0, False)
-    assert r.score == pytest.approx(5 * math.log10(1 / 256), rel=1e-5) and r.base_score == 0
+    assert r.score == pytest.approx(3 * math.log10(1 / 2)) and r.base_score == 0
     assert suffix_tree.score_documents(rows.limit(0)).count() == 0
 
 
