@@ -25,7 +25,8 @@ def one(df):
     return r[0] if len(r) == 1 else r
 
 
-CASES = [(3, 1.0, 1.641026, 1.482577), (10, 1.0, 1.873169, 1.871343), (3, 2.0, 1.162393, 1.085149), (10, 2.0, 1.326803, 1.325537)]
+#: FIXTURES.md prints 1.326803 for the last emulation overhead; 1.328125 / (1 + 2^-10 + 4^-10 + 8^-10) is 1.326828.
+CASES = [(3, 1.0, 1.641026, 1.482577), (10, 1.0, 1.873169, 1.871343), (3, 2.0, 1.162393, 1.085149), (10, 2.0, 1.326828, 1.325537)]
 
 
 @pytest.mark.parametrize("p,q,emulation,estimation", CASES)
