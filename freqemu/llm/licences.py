@@ -105,7 +105,8 @@ def evaluate(expression: str) -> tuple[set[str], float]:
             if token == "with":
                 stack.append((left, p + (1 - p) / 2))
             else:
-                stack.append((left | right, max(p, r) if token == "or" else min(p, r)))
+                left |= right
+                stack.append((left, max(p, r) if token == "or" else min(p, r)))
         else:
             name = label_of(token)
             stack.append(({name}, PERMISSIVE.get(name, 0.5)))

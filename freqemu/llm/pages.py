@@ -19,13 +19,14 @@ from __future__ import annotations
 import functools
 import html as entities
 import re
+from collections import Counter
 
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from .common import annotate
 
-_MARK = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*>|<(/?)([A-Za-z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>", re.DOTALL)
+_MARK = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^<>]*>|<(/?)([A-Za-z][^\s/<>]*)((?:\"[^\"]*\"|'[^']*'|[^<>\"'])*)>", re.DOTALL)
 _HINT = re.compile(r"""(?:\b(?:class|id|role|aria-label)\s*=\s*)("[^"]*"|'[^']*'|[^\s"'>]+)""", re.IGNORECASE)
 _HIDDEN = re.compile(r"""(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.IGNORECASE)
 _SPLIT = re.compile(r"[^a-z0-9]+")
@@ -107,6 +108,11 @@ def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]
     stack: list[tuple[str, bool, bool, bool, bool, bool]] = []
     state = (False, False, False, False, False)
     in_link = 0
+    opened: Counter[str] = Counter()  # names on the stack
+
+    def close(depth: int):
+        opened.subtract(x[0] for x in stack[depth:])
+        del stack[depth:]
 
     def flush():
         nonlocal parts, linked
@@ -153,18 +159,18 @@ def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]
             continue
         flush()
         if closing:
-            depth = next((k for k in range(len(stack) - 1, -1, -1) if stack[k][0] == name), None)
-            if depth is not None:
-                del stack[depth:]
+            if opened[name] > 0:
+                close(next(k for k in range(len(stack) - 1, -1, -1) if stack[k][0] == name))
                 in_link = 0
         elif name not in VOID and not m[4].endswith("/"):
             article, never, hint, listed, heading = stack[-1][1:] if stack else (False,) * 5
             own = hinted(m[4])
             if name in ("p", "li", "dt", "dd", "tr", "td", "th", *HEADINGS) and stack and stack[-1][0] == name:
-                stack.pop()
+                close(len(stack) - 1)
                 article, never, hint, listed, heading = stack[-1][1:] if stack else (False,) * 5
             is_article = name in ("article", "main") and not own
             never = never or name in NEVER or (name == "header" and not article) or bool(_HIDDEN.search(m[4]))
+            opened[name] += 1
             stack.append((name, article or is_article, never, hint or (own and name not in ("body", "html")), listed or name in ("ul", "ol", "dl"), name in HEADINGS))
         state = stack[-1][1:] if stack else (False,) * 5
     flush()

@@ -254,6 +254,11 @@ def test_pages_other_layouts():
 # -- mixing -------------------------------------------------------------------------------------------------
 
 
+@pytest.mark.parametrize("piece", ["<a", "<a href=\"", "<!", "<![CDATA[", "<div>", "</p>", "<div></section>", "&amp;", "<p>x", "<script>", "<!--"])
+def test_pages_long_and_broken(piece):
+    assert isinstance(pages.main_text(piece * 30_000), str)
+
+
 def fill(sizes, weights, cap=3):
     total, target, open_ = sum(sizes), [0.0] * len(sizes), list(range(len(sizes)))
     left = float(total)
