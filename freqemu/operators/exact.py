@@ -93,6 +93,23 @@ def ranked_by_parts(hist: DataFrame, parts: int | None = None) -> DataFrame:
     )
 
 
+def global_rank(freq: DataFrame, parts: int | None = None) -> DataFrame:
+    """``freq`` with rank: keys in order of falling frequency, then of key.
+
+    Keys are dealt by ranges of (frequency, key), so that the many keys of one frequency
+    spread over tasks too; each part is numbered by itself and shifted by the counts of the
+    parts before it.
+    """
+    from ..plans.lineage import cut
+
+    order = [F.col("w").desc(), F.col("key")]
+    spread = cut(freq.repartitionByRange(*([parts] if parts else []), *order).withColumn("_part", F.spark_partition_id()))
+    counts = spread.groupBy("_part").agg(F.count("*").alias("_n"))
+    shift = counts.select("_part", F.coalesce(F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    numbered = spread.withColumn("_i", F.row_number().over(W.partitionBy("_part").orderBy(*order)))
+    return numbered.join(F.broadcast(shift), "_part").withColumn("rank", F.col("_before") + F.col("_i")).drop("_part", "_before", "_i")
+
+
 def self_join_size(freq: DataFrame, p: int) -> DataFrame:
     """Rows of the p-way self-join on the key: the p-th moment."""
     return freq.agg(F.sum(power(F.col("w"), p)).alias("value"))

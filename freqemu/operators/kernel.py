@@ -3,8 +3,8 @@
 Each task keeps a table of keys with their exact sums, cuts it down to the sketch of what
 it has seen whenever it is full, and emits at most k_h + k_p + k_u rows. Cutting is safe
 because a key outside the sketch of what a task has seen stays outside: later rows only
-bring rivals, and its own seed and advice do not change. Partial sketches are merged in
-two levels, so no task reads more than about the square root of their number.
+bring rivals, and its own seed and advice do not change. Partial sketches are summed by key,
+which deals them over tasks again, and cut once more.
 """
 
 from __future__ import annotations

@@ -16,12 +16,17 @@ def _scale(key: Column, p: float, salt: str) -> Column:
     return F.pow(exp_of(unit_seed(key, salt)), F.lit(-1.0 / p))
 
 
+def _cell_of(row: Column, width: int, salt: str) -> tuple[Column, Column]:
+    """Bucket and sign of ``key`` in a table row."""
+    bits = seed_bits(F.concat(row, F.lit("|"), F.col("key")), f"cell|{salt}")
+    return F.pmod(F.shiftright(bits, 1), F.lit(width)), (bits % 2 * 2 - 1).cast("double")
+
+
 def _cells(rows: DataFrame, depth: int, width: int, salt: str) -> DataFrame:
     """For every row of ``rows`` (key, ...): its bucket and sign in each of ``depth`` table rows."""
     spread = rows.withColumn("row", F.explode(F.sequence(F.lit(0), F.lit(depth - 1))))
-    bits = seed_bits(F.concat(F.col("row").cast("string"), F.lit("|"), F.col("key")), f"cell|{salt}")
-    spread = spread.withColumn("_bits", bits)
-    return spread.withColumn("bucket", F.pmod(F.shiftright("_bits", 1), F.lit(width))).withColumn("sign", (F.col("_bits") % 2 * 2 - 1).cast("double")).drop("_bits")
+    bucket, sign = _cell_of(F.col("row").cast("string"), width, salt)
+    return spread.withColumn("bucket", bucket).withColumn("sign", sign)
 
 
 def sketch_cells(elements: DataFrame, p: float, depth: int = 7, width: int = 2048, salt: str = "s") -> DataFrame:
@@ -37,11 +42,20 @@ def sketch_cells(elements: DataFrame, p: float, depth: int = 7, width: int = 204
 def recover(cells: DataFrame, candidates: DataFrame, p: float, k: int, depth: int = 7, width: int = 2048, salt: str = "s") -> DataFrame:
     """(key, scaled, seed): the k candidates of largest scaled estimate; seed = scaled^-p is e / w^p.
 
-    ``cells`` has a fixed number of rows and is broadcast; candidates are distinct keys.
+    ``cells`` has a fixed number of rows and is broadcast as one array; candidates are
+    distinct keys, looked at in one pass without a shuffle.
     """
-    each = _cells(candidates.select("key"), depth, width, salt).join(F.broadcast(cells), ["row", "bucket"], "left")
-    x = F.coalesce("total", F.lit(0.0)) * F.col("sign")
-    guess = each.groupBy("key").agg(F.abs(F.median(x)).alias("scaled"))
+    spark = candidates.sparkSession
+    dense = spark.range(depth * width).join(cells.select((F.col("row") * width + F.col("bucket")).alias("id"), "total"), "id", "left")
+    listed = dense.agg(F.transform(F.array_sort(F.collect_list(F.struct("id", F.coalesce("total", F.lit(0.0)).alias("t")))), lambda x: x["t"]).alias("cells"))
+    rows = candidates.select("key").crossJoin(F.broadcast(listed))
+    guesses = []
+    for r in range(depth):  # spelt out, so that the look-ups stay in generated code
+        bucket, sign = _cell_of(F.lit(str(r)), width, salt)
+        guesses.append(F.get("cells", (F.lit(r * width) + bucket).cast("int")) * sign)
+    ordered = F.sort_array(F.array(*guesses))
+    middle = (F.get(ordered, (depth - 1) // 2) + F.get(ordered, depth // 2)) / 2
+    guess = rows.select("key", F.abs(middle).alias("scaled"))
     top = guess.orderBy(F.col("scaled").desc(), "key").limit(k)
     return top.withColumn("seed", F.pow("scaled", F.lit(-float(p))))
 

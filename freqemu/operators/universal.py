@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from .bottomk import bottom_k, strict
 from ..functions.seeds import draw
-from .exact import ranked
+from .exact import global_rank, ranked
 from .overhead import Scheme, weighted
 
 
@@ -65,20 +65,10 @@ def universal_bruteforce(hist: DataFrame, scheme: Scheme) -> DataFrame:
 
 
 def universal_probabilities(freq: DataFrame) -> DataFrame:
-    """(key, w, rank, p) of the ideal universal sample, p = 1 / (rank H_n).
-
-    Keys are ranked inside their frequency only; the histogram gives the ranks before.
-    """
-    from ..plans.lineage import cut
-    from .exact import histogram
-
-    hist = cut(histogram(freq))
-    starts = ranked(hist).select("w", "first_rank")
-    n = hist.agg(F.sum("m").alias("_n"))
-    rows = freq.withColumn("_i", F.row_number().over(W.partitionBy("w").orderBy("key")))
-    rows = rows.join(starts, "w").crossJoin(F.broadcast(n.withColumn("_h", harmonic(F.col("_n"))).drop("_n")))
-    rank = F.col("first_rank") + F.col("_i") - 1
-    return rows.select("key", "w", rank.alias("rank"), (1 / (rank * F.col("_h"))).alias("p"))
+    """(key, w, rank, p) of the ideal universal sample, p = 1 / (rank H_n)."""
+    rows = global_rank(freq)
+    h_n = rows.agg(harmonic(F.count("*")).alias("_h"))
+    return rows.crossJoin(F.broadcast(h_n)).select("key", "w", "rank", (1 / (F.col("rank") * F.col("_h"))).alias("p"))
 
 
 def universal_sample(freq: DataFrame, k: int, salt: str = "s", scheme: str = "ppswor") -> DataFrame:

@@ -12,7 +12,7 @@ from ..plans.lineage import cut
 CELLS = 4096
 
 
-def cumulated(freq: DataFrame, f: FrequencyFunction, parts: int = 64) -> DataFrame:
+def cumulated(freq: DataFrame, f: FrequencyFunction, parts: int = 4096) -> DataFrame:
     """(key, w, lo, hi): each key's interval of the unit line, of length f(w) / ||f||.
 
     Keys are dealt into ``parts`` by a hash of the key and summed inside; the parts' totals
