@@ -35,10 +35,12 @@ RAW = frozenset("script style textarea title noscript template iframe svg math o
 INLINE = frozenset("a abbr b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr acronym picture source input meta link".split())
 NEVER = frozenset("nav footer aside form menu dialog head fieldset".split())
 HINTS = frozenset(
-    "ad ads advert adverts advertisement advertising banner sponsor sponsored promo promotion cookie cookies consent notice gdpr popup modal overlay newsletter subscribe "
-    "comment comments disqus reply replies respond sidebar aside widget related recommended share sharing social menu nav navbar navigation breadcrumb breadcrumbs footer "
-    "masthead topbar toolbar login signup search pagination pager skip copyright disclaimer header navigation".split()
+    "ad ads advert adverts advertisement advertising adsbygoogle banner sponsor sponsored promo promotion cookie cookies consent notice gdpr popup modal overlay alert alertdialog dialog toast "
+    "newsletter subscribe comment comments commentlist disqus reply replies respond sidebar aside complementary widget related recommended share sharing social menu nav navbar navigation "
+    "breadcrumb breadcrumbs footer contentinfo masthead topbar toolbar login signup search pagination pager skip copyright disclaimer".split()
 )
+#: With one of these, an element named a header is the page's, not the article's.
+OF_PAGE = frozenset("site page top global main".split())
 VOID = frozenset("br img hr input meta link wbr area base col embed source track param".split())
 HEADINGS = frozenset(f"h{i}" for i in range(1, 7))
 
@@ -99,7 +101,11 @@ def is_text(tree, features: tuple) -> bool:
 
 
 def hinted(attributes: str) -> bool:
-    return any(t in HINTS for m in _HINT.finditer(attributes) for t in _SPLIT.split(m[1].lower()))
+    for m in _HINT.finditer(attributes):
+        names = set(_SPLIT.split(m[1].lower()))
+        if names & HINTS or "header" in names and names & OF_PAGE:
+            return True
+    return False
 
 
 def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]]:
@@ -169,6 +175,7 @@ def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]
                 close(len(stack) - 1)
                 article, never, hint, listed, heading = stack[-1][1:] if stack else (False,) * 5
             is_article = name in ("article", "main") and not own
+            hint = hint and not is_article  # a wrapper may be named after a part of it
             never = never or name in NEVER or (name == "header" and not article) or bool(_HIDDEN.search(m[4]))
             opened[name] += 1
             stack.append((name, article or is_article, never, hint or (own and name not in ("body", "html")), listed or name in ("ul", "ol", "dl"), name in HEADINGS))

@@ -248,6 +248,7 @@ def test_pages_other_layouts():
         assert isinstance(pages.main_text(odd), str)
     assert pages.main_text("<article>a<br>b  \n c</article>") == "a b c"
     assert pages.main_text(b"<article><p>caf\xc3\xa9 &lt;b&gt; &#x41;</article>") == "café <b> A"
+    assert pages.main_text("<div class='with sidebar'><main><div class='entry-header'><h1>Title</h1></div><p>kept</p></main></div><div id='site-header'>no</div>") == "Title\n\nkept"
     assert pages.main_text("<article><nav>menu</nav><p>kept words</p><div class='share-box'>no</div></article>") == "kept words"
 
 
