@@ -16,8 +16,8 @@ def checkpoint_folder(spark: SparkSession) -> str:
     current = sc.getCheckpointDir()
     if current:
         return current
-    named = sc.getConf().get("spark.checkpoint.dir", None)
-    if named is None and not sc.master.startswith("local"):
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named is None and (not sc.master.startswith("local") or sc.master.startswith("local-cluster")):
         raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="freqemu-checkpoint-"))
     return sc.getCheckpointDir()

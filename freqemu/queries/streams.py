@@ -14,9 +14,18 @@ from .advice import ROWS, SHOWN, between, event_parts, shown, sketch_ctes
 from .sql import u_sql
 
 
+def instant(c):
+    """The instant of a zone-less time read as UTC, whatever the session's zone."""
+    return F.convert_timezone(F.lit("UTC"), F.current_timezone(), c).cast("timestamp")
+
+
+def zoneless(c):
+    return F.convert_timezone(F.current_timezone(), F.lit("UTC"), c.cast("timestamp_ntz"))
+
+
 def _events(spark, d, *columns):
     """The events as a stream of ten files in order of time; ts as a timestamp."""
-    rows = load(spark, d, "events").select(*(columns or ("event_id", "ts", "user_id", "event_type", "value"))).withColumn("ts", F.col("ts").cast("timestamp"))
+    rows = load(spark, d, "events").select(*(columns or ("event_id", "ts", "user_id", "event_type", "value"))).withColumn("ts", instant(F.col("ts")))
     return ST.stream(spark, ST.replay(rows, "ts", ST.folder(spark, "events")))
 
 
@@ -35,14 +44,14 @@ def st_running_sketch(spark, d):
 @query("st_tumbling", "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, CAST(count(*) AS BIGINT) AS w FROM events GROUP BY 1, 2")
 def st_tumbling(spark, d):
     rows = ST.collected(ST.windowed_frequencies(_events(spark, d), "ts", "event_type", "1 day"), "complete")
-    return rows.withColumn("start", F.col("start").cast("timestamp_ntz"))
+    return rows.withColumn("start", zoneless(F.col("start")))
 
 
 @query("st_sliding", "SELECT CAST(date_trunc('hour', ts) - INTERVAL 1 HOUR * i AS TIMESTAMP) AS start, CAST(count(*) AS BIGINT) AS w FROM events, (SELECT unnest(range(0, 3)) AS i) x GROUP BY 1")
 def st_sliding(spark, d):
     live = _events(spark, d).withColumn("all", F.lit(1))
     rows = ST.collected(ST.windowed_frequencies(live, "ts", "all", "3 hours", "1 hour"), "complete")
-    return rows.select(F.col("start").cast("timestamp_ntz").alias("start"), "w")
+    return rows.select(zoneless(F.col("start")).alias("start"), "w")
 
 
 @query(
@@ -52,14 +61,14 @@ def st_sliding(spark, d):
 )
 def st_session(spark, d):
     rows = ST.collected(ST.session_frequencies(_events(spark, d), "ts", "user_id", "6 hours"), "complete")
-    return rows.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "w")
+    return rows.select("user_id", zoneless(F.col("start")).alias("start"), "w")
 
 
 @query("st_watermark")
 def st_watermark(spark, d):
     """Days closed by the watermark, each once: append mode holds back what may still change."""
     rows = ST.collected(ST.windowed_frequencies(_events(spark, d), "ts", "event_type", "1 day", late="2 hours"), "append")
-    return rows.withColumn("start", F.col("start").cast("timestamp_ntz"))
+    return rows.withColumn("start", zoneless(F.col("start")))
 
 
 @query("st_keyed_sketch", f"SELECT event_type, string_agg(key, ',' ORDER BY u, key) AS keys FROM (SELECT *, row_number() OVER (PARTITION BY event_type ORDER BY u, key) AS rn FROM (SELECT DISTINCT event_type, CAST(user_id AS VARCHAR) AS key, {u_sql(key='CAST(user_id AS VARCHAR)')} AS u FROM events) a) b WHERE rn <= 12 GROUP BY 1")
@@ -85,7 +94,7 @@ def st_stream_join(spark, d):
 
 @query("st_dedupe", "SELECT CAST(count(*) AS BIGINT) AS n FROM (SELECT DISTINCT event_id FROM events) x")
 def st_dedupe(spark, d):
-    rows = load(spark, d, "events").select("event_id", "ts").withColumn("ts", F.col("ts").cast("timestamp"))
+    rows = load(spark, d, "events").select("event_id", "ts").withColumn("ts", instant(F.col("ts")))
     twice = rows.unionByName(rows.where("event_id % 3 = 0"))
     live = ST.stream(spark, ST.replay(twice, "ts", ST.folder(spark, "twice")))
     return ST.collected(ST.without_repeats(live, "ts", ["event_id"]).select("event_id")).agg(F.count("*").alias("n"))
@@ -101,10 +110,10 @@ _PANE = "INTERVAL 1 DAY"
     FROM events, (SELECT unnest(range(0, 3)) AS i) x GROUP BY 1, 2) a) b WHERE rn <= 10""",
 )
 def st_pane_merge(spark, d):
-    e = load(spark, d, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
+    e = load(spark, d, "events").select("user_id", instant(F.col("ts")).alias("ts"))
     panes = ST.pane_sketches(e, "ts", "user_id", "1 day", 10)
     rows = ST.sliding_from_panes(panes, "1 day", 3, 10)
-    return rows.select(F.col("start").cast("timestamp_ntz").alias("start"), "key", F.col("w").cast("bigint").alias("w"))
+    return rows.select(zoneless(F.col("start")).alias("start"), "key", F.col("w").cast("bigint").alias("w"))
 
 
 @query("st_certificate")

@@ -99,7 +99,7 @@ def test_combinations(v):
 
 
 @pytest.mark.parametrize("alpha", [0.5, 0.75, 1.0, 1.25, 1.5, 2.0])
-@pytest.mark.parametrize("n", [100, 2000])
+@pytest.mark.parametrize("n", [500])
 def test_zipf_vectors(spark, alpha, n):
     v = histogram(C.zipf_frequencies(spark, n, alpha, 1.0, 2)).cache()
     assert one(C.fit_zipf(v)) == pytest.approx(alpha, abs=1e-6)
