@@ -61,8 +61,8 @@ def test_advice_helps_on_words_and_not_on_even_degrees(spark, data):
 def test_rank_curves(words, vector):
     few, many = (R.rank_curve_error(ppswor(words, k), vector).first() for k in (32, 1024))
     assert many.mean_error < few.mean_error and many.mean_error < 0.2
-    tail = R.rank_curve_error(ppswor(words, 256, 2), vector).first()
-    assert tail.lowest > R.rank_curve_error(ppswor(words, 256), vector).first().lowest
+    rare = {q: ppswor(words, 256, q).where("w <= 2").count() for q in (1, 2)}
+    assert rare[2] < rare[1]  # samples by squares see less of the tail
 
 
 def test_certificates_never_promise_too_much(words, vector):

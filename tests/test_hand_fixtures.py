@@ -141,3 +141,36 @@ def test_sizes():
     assert O.size_for_nrmse(0.1) in (100, 101) and O.benchmark_nrmse(100) == pytest.approx(0.1)
     assert (O.effective_k("wr", 10), O.effective_k("ppswor", 10), O.effective_k("ppswor", 10, False)) == (10, 8, 9)
     assert M.practicality(20, 0.1, 10**6)["practical"] and not M.practicality(20, 0.1, 3000)["practical"]
+
+
+def test_overhead_is_tight_on_single_rare_keys(spark):
+    """For a key of small chance the variance under another scheme is p/q times that under the ideal one."""
+    n, k = 4000, 5
+    rows = [(f"k{i}", 2.0 if i < n // 2 else 1.0) for i in range(n)]
+    v = histogram(spark.createDataFrame(rows, "key string, w double"))
+    f = moment(3)
+    ideal = {r.w: r.variance for r in O.wr_key_variance(v, f, 3.0, k).collect()}
+    actual = {r.w: r.variance for r in O.wr_key_variance(v, f, 1.0, k).collect()}
+    ratio = {r.w: r.p0 / r.q for r in O.chances(v, [f], 1.0).collect()}
+    for w in (1.0, 2.0):
+        assert actual[w] / ideal[w] == pytest.approx(ratio[w], rel=0.01)
+    assert all(r.variance <= r.bound for r in O.wr_key_variance(v, f, 1.0, k).collect())
+
+
+def test_samples_of_a_range_of_moments_are_universal_on_zipf_vectors(spark):
+    low, high, bound = U.zipf_range_universal(1.5, 500, 0.5, 2.0)
+    assert (low, high) == (0.5, 2.0) and bound == pytest.approx(1.5 * C.generalized_harmonic(500, 1.0))
+    for alpha in (0.5, 1.0, 2.0):
+        v = histogram(C.zipf_frequencies(spark, 500, alpha, 1.0, 2))
+        exact = one(U.universal_emulation(v, 1 / alpha))
+        h = O.overheads(v, [moment(1 / alpha)], 1 / alpha).first().emulation
+        assert h == pytest.approx(1) and exact <= h * C.generalized_harmonic(500, 1.0) * (1 + 1e-9)
+
+
+def test_composition_with_the_ideal_universal_sample(v):
+    """A scheme's universal overhead is its overhead for the ideal universal one, times H_n at most."""
+    h4 = C.generalized_harmonic(4, 1.0)
+    ideal = custom("ideal", lambda w: F.when(w == 8, 1.0).when(w == 4, 1 / 2).when(w == 2, 1 / 3).otherwise(1 / 4))
+    for scheme in (1.0, 2.0, "concave"):
+        through = O.overheads(v, [ideal], scheme).first().emulation
+        assert one(U.universal_emulation(v, scheme)) == pytest.approx(through * h4)
