@@ -11,15 +11,19 @@ the tree's probability of the token. As these add up to 1 at most, so do the cha
 
 Tree: counts of all (DEPTH + 1)-grams of all training texts. A context is retained if its
 next-byte distribution differs enough from that of its suffix one byte shorter: its count
-times the Kullback-Leibler divergence must reach GAIN bits for each byte of the corpus,
-twice, four times ... that if more than STATES contexts pass. So the tree has a proven
-bound, however large the corpus, and can be broadcast. Suffixes of retained contexts are
-retained too. Distributions are smoothed towards the suffix's with
-the weight of the number of different next bytes; the root adds one to every byte.
+times the Kullback-Leibler divergence must reach BITS, whatever the size of the corpus.
+Suffixes of retained contexts are retained too. All retained contexts are kept, as tables
+that grow with the corpus; none is collected or broadcast. Distributions are smoothed
+towards the suffix's with the weight of the number of different next bytes; the root adds
+one to every byte.
+
+Scoring: the texts are packed in chunks of about CHUNK_BYTES. A chunk asks once for each
+different gram in it, meets the tree's chances in a join, and looks its bytes up in what
+comes back.
 
 Base score: words, as 64-bit hashes, are counted over all training texts. The counts of the
 FREQUENT most frequent words are broadcast; other words of a document meet their counts in
-a join. No text is shuffled.
+a join.
 
 Edge cases: a null text is empty and has the end as its only token; without training texts
 every token is unknown and c = N = V = 0; rows with a null id
@@ -28,20 +32,22 @@ are scored, not learnt from; repeated rows count as often as they are there.
 
 from __future__ import annotations
 
-import functools
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F, types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..plans.lineage import cut
-from .common import SPACED, WordHasher, annotate, held_out, learnable, lengths, slices
+from .common import SPACED, WordHasher, held_out, learnable, lengths, slices
 
 DEPTH = 5
-GAIN = 2e-6
-#: Most retained contexts: the bound of what is broadcast (about 1 kB a context).
-STATES = 60_000
+#: Bits that a context must gain: what it takes to name five bytes.
+BITS = 40.0
+#: Bytes of text that ask for their grams together.
+CHUNK_BYTES = 16 << 20
 #: Weight of word frequencies, and what is taken off each count.
 WORDS, DISCOUNT = 0.5, 0.5
 #: Words whose counts are broadcast (16 bytes each).
@@ -80,28 +86,40 @@ def merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.n
     return codes[start], np.add.reduceat(counts, start)
 
 
-def gram_counts(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
-    """Codes of all (DEPTH + 1)-grams that end on a byte of a text, and how often each is there."""
+def _streams(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of all texts, each behind its padding, and which of them are no padding."""
     pieces = [normal(t) for t in texts]
     stream = np.frombuffer(b"".join([_PAD + p for p in pieces]), np.uint8)
+    own = np.ones(len(stream), bool)
+    starts = np.cumsum([0, *(len(p) + DEPTH for p in pieces)])[:-1]
+    for k in range(DEPTH):
+        own[starts + k] = False
+    return stream, own
+
+
+def _codes(stream: np.ndarray, a: int, b: int) -> np.ndarray:
+    """Codes of the (DEPTH + 1)-grams that end on the bytes from a to b."""
+    codes = np.zeros(b - a, np.int64)
+    for k in range(DEPTH, -1, -1):
+        codes <<= 8
+        codes |= stream[a - k : b - k]
+    return codes
+
+
+def gram_counts(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of all (DEPTH + 1)-grams that end on a byte of a text, and how often each is there."""
+    stream, own = _streams(texts)
     if not len(stream):
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    own = np.ones(len(stream), bool)  # places that are no padding
-    ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)) + DEPTH)
-    for a in [0, *ends[:-1].tolist()]:
-        own[a : a + DEPTH] = False
     found = []
     for a in range(DEPTH, len(stream), _CHUNK):
         b = min(len(stream), a + _CHUNK)
-        codes = np.zeros(b - a, np.int64)
-        for k in range(DEPTH, -1, -1):
-            codes <<= 8
-            codes |= stream[a - k : b - k]
-        found.append(np.unique(codes[own[a:b]], return_counts=True))
+        found.append(np.unique(_codes(stream, a, b)[own[a:b]], return_counts=True))
     return found[0] if len(found) == 1 else merged(found)
 
 
-def _grams(docs: DataFrame) -> DataFrame:
+def _grams(rows: DataFrame) -> DataFrame:
+    """(code, n): all grams of ``rows`` (text, learnt), and how often each is in learnt texts."""
     schema = T.StructType([T.StructField("code", T.LongType()), T.StructField("n", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -115,7 +133,10 @@ def _grams(docs: DataFrame) -> DataFrame:
 
         for batch in batches:
             for a, b in slices(lengths(batch.column(0)), 4096, _CHUNK):
-                held.append(gram_counts(_column(batch.slice(a, b - a), "text")))
+                texts, learnt = _column(part := batch.slice(a, b - a), "text"), part.column(1).to_pylist()
+                held.append(gram_counts([t for t, x in zip(texts, learnt) if x]))
+                others = gram_counts([t for t, x in zip(texts, learnt) if not x])[0]
+                held.append((others, np.zeros(len(others), np.int64)))
                 if sum(len(c) for c, _ in held) > MOST_HELD:
                     held[:] = [merged(held)]
                     if len(held[0][0]) > MOST_HELD // 2:
@@ -123,7 +144,7 @@ def _grams(docs: DataFrame) -> DataFrame:
         if held:
             yield from out()
 
-    return docs.select("text").mapInArrow(run, schema).groupBy("code").agg(F.sum("n").alias("n"))
+    return rows.select("text", "learnt").mapInArrow(run, schema).groupBy("code").agg(F.sum("n").alias("n"))
 
 
 def levels(grams: DataFrame) -> list[DataFrame]:
@@ -134,18 +155,42 @@ def levels(grams: DataFrame) -> list[DataFrame]:
     return out[::-1]
 
 
-def retained(tables: list[DataFrame], k: int, least: float) -> DataFrame:
-    """(k, context, gain) of depth k whose count times divergence from its suffix is ``least`` bits or more."""
+def divergences(tables: list[DataFrame], k: int, least: float) -> DataFrame:
+    """(context, whole, kinds, gain) of the contexts of depth k: count, different next bytes, count times divergence from the suffix."""
     context = F.shiftright("code", 8)
-    here = tables[k].withColumn("context", context)
-    sums = here.groupBy("context").agg(F.sum("n").alias("whole"), F.sum(F.col("n") * F.log2(F.col("n").cast("double"))).alias("own"))
-    below = tables[k - 1].withColumn("suffix", context).select(F.col("code").alias("tail"), F.col("suffix"), F.col("n").alias("m"))
+    below = tables[k - 1].where("n > 0").withColumn("suffix", context).select(F.col("code").alias("tail"), "suffix", F.col("n").alias("m"))
     whole = below.groupBy("suffix").agg(F.sum("m").alias("all_m"))
     low = below.join(whole, "suffix").select("tail", F.log2(F.col("m") / F.col("all_m")).alias("p"))
-    tail = F.col("code").bitwiseAND(F.lit((1 << 8 * k) - 1))
-    cross = here.where("n > 0").select("context", "n", tail.alias("tail")).join(low, "tail").groupBy("context").agg(F.sum(F.col("n") * F.col("p")).alias("cross"))
+    here = tables[k].where("n > 0").select(context.alias("context"), "n", F.col("code").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("tail"))
+    sums = here.join(low, "tail").groupBy("context").agg(
+        F.sum("n").alias("whole"), F.count("*").alias("kinds"), F.sum(F.col("n") * F.log2(F.col("n").cast("double"))).alias("own"), F.sum(F.col("n") * F.col("p")).alias("cross")
+    )
     gain = F.col("own") - F.col("whole") * F.log2(F.col("whole").cast("double")) - F.col("cross")
-    return sums.where(F.col("whole") >= F.lit(least) / 8).join(cross, "context").select(F.lit(k).alias("k"), "context", gain.alias("gain")).where(F.col("gain") >= least)
+    return sums.select("context", "whole", "kinds", F.when(F.col("whole") >= F.lit(least) / 8, gain).otherwise(0.0).alias("gain"))
+
+
+def retained(tables: list[DataFrame], bits: float = BITS) -> list[DataFrame]:
+    """(context, whole, kinds) of all contexts of depths 1 ... DEPTH that gain ``bits`` or are suffixes of one that does."""
+    out: list[DataFrame] = []
+    for k in range(DEPTH, 0, -1):
+        rows, keep = divergences(tables, k, bits), F.col("gain") >= bits
+        if out:
+            suffixes = out[-1].select(F.col("context").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("context")).distinct()
+            rows, keep = rows.join(suffixes.withColumn("longer", F.lit(True)), "context", "left"), keep | F.col("longer").isNotNull()
+        out.append(cut(rows.where(keep).select("context", "whole", "kinds")))
+    return out[::-1]
+
+
+def chances(tables: list[DataFrame], contexts: list[DataFrame]) -> DataFrame:
+    """(code, log): log10 of the chance of the last byte of each (DEPTH + 1)-gram of ``tables`` behind its longest retained context."""
+    total = tables[0].agg(F.sum("n")).first()[0] or 0
+    p = tables[0].select("code", ((F.col("n") + 1) / F.lit(total + 256.0)).alias("p"))
+    for k in range(1, DEPTH + 1):
+        rows = tables[k].select("code", "n", F.shiftright("code", 8).alias("context"), F.col("code").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("tail"))
+        rows = rows.join(p.select(F.col("code").alias("tail"), F.col("p").alias("below")), "tail").join(contexts[k - 1], "context", "left")
+        smoothed = (F.col("n") + F.col("kinds") * F.col("below")) / (F.col("whole") + F.col("kinds"))
+        p = rows.select("code", F.coalesce(smoothed, "below").alias("p"))
+    return p.select("code", F.log10("p").alias("log"))
 
 
 def build(contexts: list[set[int]], counts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> dict:
@@ -183,61 +228,83 @@ def build(contexts: list[set[int]], counts: list[tuple[np.ndarray, np.ndarray, n
     return {"column": column.astype(np.int32), "child": child.ravel(), "width": width, "dead": states, "log": np.log10(chance).astype(np.float32).ravel()}
 
 
-def learn(docs: DataFrame, gain: float = GAIN, states: int = STATES) -> dict:
-    """The tree from all texts of ``docs`` (text)."""
-    tables = levels(cut(_grams(docs)))
-    total = tables[0].agg(F.sum("n")).first()[0] or 0
-    contexts: list[set[int]] = [{0}] + [set() for _ in range(DEPTH)]
-    if total:
-        passed = cut(functools.reduce(DataFrame.union, [retained(tables, k, gain * total) for k in range(1, DEPTH + 1)]))
-        least = gain * total
-        while passed.where(F.col("gain") >= least).count() > states:
-            least *= 2
-        chosen = passed.where(F.col("gain") >= least).toArrow()
-        for k, context in zip(chosen.column("k").to_pylist(), chosen.column("context").to_pylist()):
-            contexts[k].add(context)
-        for k in range(DEPTH, 1, -1):
-            contexts[k - 1] |= {c & ((1 << 8 * (k - 1)) - 1) for c in contexts[k]}
-    spark = docs.sparkSession
+def learn(docs: DataFrame, bits: float = BITS) -> dict:
+    """The whole tree from all texts of ``docs`` (text) as arrays, to look at: scoring never collects it."""
+    tables = levels(cut(_grams(docs.select("text", F.lit(True).alias("learnt")))))
+    kept = retained(tables, bits)
+    contexts: list[set[int]] = [{0}] + [set(c.toArrow().column("context").to_pylist()) for c in kept]
     counts = []
     for k in range(DEPTH + 1):
         rows = tables[k].select(F.shiftright("code", 8).alias("context"), F.col("code").bitwiseAND(F.lit(255)).alias("b"), "n")
-        if k:
-            if not contexts[k]:
-                counts.append((np.zeros(0, np.int64),) * 3)
-                continue
-            chosen = spark.createDataFrame(pa.table({"context": pa.array(sorted(contexts[k]), pa.int64())}))
-            rows = rows.join(F.broadcast(chosen), "context", "left_semi")
-        found = rows.toArrow()
+        found = (rows.join(kept[k - 1], "context", "left_semi") if k else rows).toArrow()
         counts.append(tuple(found.column(c).to_numpy() for c in ("context", "b", "n")))
     return build(contexts, counts)
 
 
-def token_logs(texts: list[bytes | None], tree: dict) -> tuple[np.ndarray, np.ndarray]:
-    """The tree's log10 probability of each token of the texts in turn, and which tokens are ends."""
-    pieces = [_PAD + normal(t) for t in texts]
-    raw = np.frombuffer(b"".join(pieces), np.uint8)
-    stream = tree["column"][raw]
-    child, log, width, dead = tree["child"], tree["log"], tree["width"], tree["dead"]
+# -- chunks of texts -----------------------------------------------------------------------
+
+
+def packed(rows: DataFrame) -> DataFrame:
+    """(chunk, data): ``rows`` (with text) as compressed Arrow streams, in chunks of about CHUNK_BYTES."""
+    schema = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("data", T.BinaryType())])
+    at = rows.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        options = pa.ipc.IpcWriteOptions(compression="zstd")
+        first, done = TaskContext.get().partitionId() << 32, 0
+        for batch in batches:
+            sizes = lengths(batch.column(at))
+            for a, b in slices(sizes, 4096, _CHUNK):
+                part, sink = batch.slice(a, b - a), pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, part.schema, options=options) as writer:
+                    writer.write_batch(part)
+                yield pa.RecordBatch.from_arrays([pa.array([first + done // CHUNK_BYTES]), pa.array([sink.getvalue().to_pybytes()])], names=["chunk", "data"])
+                done += int(sizes[a:b].sum()) + b - a
+
+    return rows.mapInArrow(run, schema)
+
+
+def _unpacked(data: bytes) -> Iterator[pa.RecordBatch]:
+    with pa.ipc.open_stream(data) as reader:
+        yield from reader
+
+
+def asked_grams(chunks: DataFrame) -> DataFrame:
+    """(chunk, code): the different grams of each chunk; a gram may be there more than once if the chunk holds many."""
+    schema = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("code", T.LongType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, chunk = [], None
+
+        def out():
+            codes = np.unique(np.concatenate(held))
+            held.clear()
+            for at in range(0, len(codes), 1 << 17):
+                part = codes[at : at + (1 << 17)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), chunk)), pa.array(part)], names=["chunk", "code"])
+
+        for batch in batches:
+            for c, data in zip(batch.column(0).to_pylist(), batch.column(1)):
+                if held and (c != chunk or sum(map(len, held)) > MOST_HELD):
+                    yield from out()
+                chunk = c
+                for part in _unpacked(data.as_buffer()):
+                    held.append(gram_counts(_column(part, "text"))[0])
+        if held:
+            yield from out()
+
+    return chunks.mapInArrow(run, schema)
+
+
+def token_logs(texts: list[bytes | None], codes: np.ndarray, logs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The tree's log10 probability of each token of the texts in turn, and which tokens are ends; ``codes`` are sorted."""
+    stream, own = _streams(texts)
     out = np.zeros(len(stream))
     for a in range(DEPTH, len(stream), _CHUNK):
         b = min(len(stream), a + _CHUNK)
-        state = np.zeros(b - a, np.int32)
-        best = state
-        for k in range(1, DEPTH + 1):
-            state = child[state * np.int32(width) + stream[a - k : b - k]]
-            alive = state != dead
-            if not alive.any():
-                break
-            best = np.where(alive, state, best)
-        out[a:b] = log[best * np.int32(width) + stream[a:b]]
-    padding = np.zeros(len(raw), bool)
-    starts = np.cumsum([0, *map(len, pieces)])[:-1]
-    for k in range(DEPTH):
-        padding[starts + k] = True
-    out[padding] = 0
-    last = np.flatnonzero(((raw == _END) & ~padding) | (raw == 32))
-    return np.diff(np.cumsum(out)[last], prepend=0.0), raw[last] == _END
+        out[a:b][own[a:b]] = logs[np.searchsorted(codes, _codes(stream, a, b)[own[a:b]])]
+    last = np.flatnonzero(((stream == _END) & own) | (stream == 32))
+    return np.diff(np.cumsum(out)[last], prepend=0.0), stream[last] == _END
 
 
 # -- words ---------------------------------------------------------------------------------
@@ -282,12 +349,14 @@ def most_frequent(table: DataFrame, most: int) -> DataFrame:
     return table.where(F.lit(False) if least is None else F.col("n") >= least)
 
 
-def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2, frequent: int = FREQUENT) -> DataFrame:
+def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2, frequent: int = FREQUENT, bits: float = BITS) -> DataFrame:
     """(id_col, held_out, n_tokens, n_known, train_tokens, base_score, score), a row for each of ``docs``."""
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    learnt = rows.where(learnable(F.col("id"), parts, part)).select("text")
+    rows = rows.withColumn("learnt", learnable(F.col("id"), parts, part))
+    learnt = rows.where("learnt").select("text")
     ends = learnt.count()
-    tree = learn(learnt)
+    tables = levels(cut(_grams(rows)))
+    chance_of = chances(tables, retained(tables, bits))
     table = cut(word_counts(learnt))
     words, distinct, once = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), F.count(F.when(F.col("n") == 1, 1))).first()
     total, kinds = words + ends, distinct + (ends > 0)
@@ -295,39 +364,49 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     known_share = (1 - unknown) * WORDS / max(total, 1)
     tree_share = (1 - unknown) * (1 - WORDS + WORDS * DISCOUNT * kinds / max(total, 1))
     top = most_frequent(table, frequent).toArrow().sort_by("word")
-    held = docs.sparkSession.sparkContext.broadcast((tree, top.column("word").to_numpy(), top.column("n").to_numpy()))
-
-    def start():
-        tree, known, counts = held.value
-        hasher = WordHasher(SPACED)
-
-        def sums(values, bounds):
-            return np.diff(np.concatenate([[0.0], np.cumsum(values)])[bounds])
-
-        def work(texts):
-            hashes, bounds = hasher(texts)
-            hashes = hashes.view(np.int64)
-            by_tree, end = token_logs(texts, tree)
-            word_tree, end_tree = by_tree[~end], by_tree[end]
-            common, c = np.zeros(len(hashes), bool), np.zeros(len(hashes))
-            if len(known):
-                at = np.minimum(np.searchsorted(known, hashes), len(known) - 1)
-                common = known[at] == hashes
-                c = counts[at]
-            chance = known_share * (c - DISCOUNT) + tree_share * 10.0**word_tree
-            score = sums(np.where(common, np.log10(np.where(common, chance, 1.0)), 0.0), bounds)
-            score += np.log10(known_share * (ends - DISCOUNT) + tree_share * 10.0**end_tree) if ends else np.log10(unknown)
-            seen = np.concatenate([[0], np.cumsum(common)])
-            places = pa.array((bounds - seen[bounds]).astype(np.int32))
-            rare = pa.ListArray.from_arrays(places, pa.array(hashes[~common]))
-            rare_tree = pa.ListArray.from_arrays(places, pa.array(word_tree[~common]))
-            return np.diff(bounds) + 1, np.diff(seen[bounds]), sums(np.where(common, np.log10(c + 1.0), 0.0), bounds), score, rare, rare_tree
-
-        return work
+    held = docs.sparkSession.sparkContext.broadcast((top.column("word").to_numpy(), top.column("n").to_numpy()))
 
     long, double = T.LongType(), T.DoubleType()
     fields = [("n_tokens", long), ("n_top", long), ("log_top", double), ("score_top", double), ("rare", T.ArrayType(long)), ("rare_tree", T.ArrayType(double))]
-    first = cut(annotate(rows, ["text"], fields, start, keep=["id"]).withColumn("row", F.monotonically_increasing_id()))
+    schema = T.StructType([rows.schema["id"], T.StructField("row", long)] + [T.StructField(n, t) for n, t in fields])
+    arrow = to_arrow_schema(schema)
+
+    def sums(values, bounds):
+        return np.diff(np.concatenate([[0.0], np.cumsum(values)])[bounds])
+
+    def scored(chunk: pa.Table, answers: pa.Table) -> pa.Table:
+        known, counts = held.value
+        codes, logs = answers.column("code").to_numpy(), answers.column("log").to_numpy()
+        order = np.argsort(codes)
+        codes, logs = codes[order], logs[order]
+        hasher, out = WordHasher(SPACED), []
+        for data in chunk.column("data"):
+            for batch in _unpacked(data.as_buffer()):
+                texts = _column(batch, "text")
+                hashes, bounds = hasher(texts)
+                hashes = hashes.view(np.int64)
+                by_tree, end = token_logs(texts, codes, logs)
+                word_tree, end_tree = by_tree[~end], by_tree[end]
+                common, c = np.zeros(len(hashes), bool), np.zeros(len(hashes))
+                if len(known):
+                    at = np.minimum(np.searchsorted(known, hashes), len(known) - 1)
+                    common = known[at] == hashes
+                    c = counts[at]
+                chance = known_share * (c - DISCOUNT) + tree_share * 10.0**word_tree
+                score = sums(np.where(common, np.log10(np.where(common, chance, 1.0)), 0.0), bounds)
+                score += np.log10(known_share * (ends - DISCOUNT) + tree_share * 10.0**end_tree) if ends else np.log10(unknown)
+                seen = np.concatenate([[0], np.cumsum(common)])
+                places = pa.array((bounds - seen[bounds]).astype(np.int32))
+                rare = pa.ListArray.from_arrays(places, pa.array(hashes[~common]))
+                rare_tree = pa.ListArray.from_arrays(places, pa.array(word_tree[~common]))
+                made = [np.diff(bounds) + 1, np.diff(seen[bounds]), sums(np.where(common, np.log10(c + 1.0), 0.0), bounds), score, rare, rare_tree]
+                made = [batch.column(batch.schema.get_field_index("id")), batch.column(batch.schema.get_field_index("row")), *made]
+                out.append(pa.Table.from_arrays([pa.array(m) if isinstance(m, np.ndarray) else m for m in made], names=arrow.names).cast(arrow))
+        return pa.concat_tables(out)
+
+    chunks = cut(packed(rows.select("id", "text").withColumn("row", F.monotonically_increasing_id())))
+    answers = asked_grams(chunks).join(chance_of, "code").select("chunk", "code", "log")
+    first = cut(chunks.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(scored, schema))
     asked = first.select("row", F.inline(F.arrays_zip(F.col("rare").alias("word"), F.col("rare_tree").alias("tree"))))
     chance = F.lit(known_share) * (F.col("n") - DISCOUNT) + F.lit(tree_share) * F.pow(F.lit(10.0), F.col("tree"))
     found = asked.join(table, "word").groupBy("row").agg(F.count("*").alias("n_rare"), F.sum(F.log10(F.col("n") + 1.0)).alias("log_rare"), F.sum(F.log10(chance)).alias("score_rare"))

@@ -375,6 +375,22 @@ def test_distributions_sum_to_one(spark):
     assert tree["dead"] > 5
 
 
+def test_suffix_tree_grows_with_the_corpus(spark):
+    rng = random.Random(3)
+    words = ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=6)) for _ in range(40_000)]
+    docs = docs_of(spark, [" ".join(rng.sample(words, len(words))) for _ in range(20)]).repartition(4)
+    assert suffix_tree.learn(docs.select("text"))["dead"] > 100_000
+
+
+def test_language_model_scores_do_not_depend_on_chunks(spark, monkeypatch):
+    docs = docs_of(spark, [*ODD, *(f"word {i} again and again {i % 7}" for i in range(50))]).repartition(3)
+    whole = {r.doc_id: r.score for r in suffix_tree.score_documents(docs).collect()}
+    monkeypatch.setattr(suffix_tree, "CHUNK_BYTES", 64)
+    monkeypatch.setattr(suffix_tree, "_CHUNK", 50)
+    monkeypatch.setattr(suffix_tree, "MOST_HELD", 100)
+    assert {r.doc_id: pytest.approx(r.score) for r in suffix_tree.score_documents(docs).collect()} == whole
+
+
 def test_language_model_without_training_rows(spark):
     rows = docs_of(spark, ["x y"]).withColumn("doc_id", F.lit(None).cast("long"))
     r = suffix_tree.score_documents(rows).first()
