@@ -13,9 +13,6 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from freqemu.llm import decontaminate, language, mixing, neardup, quality
 from freqemu.plans.lineage import checkpoint_folder
 
-#: A document of which the language model's best guess is less likely than this is rejected.
-LEAST_LANGUAGE_SCORE = 0.5
-
 
 def _columns(df: DataFrame, docs: DataFrame) -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in docs.columns])
@@ -29,10 +26,9 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a learnt language."""
+    """Documents in a learnt language, however short: a low score alone rejects none."""
     found = language.identify(docs, language.train(docs, "doc_id", "text", "lang"))
-    pred, score = found.columns[len(docs.columns)], found.columns[len(docs.columns) + 1]
-    return _columns(found.where((F.col(pred) != language.UNKNOWN) & (F.col(score) >= LEAST_LANGUAGE_SCORE)), docs)
+    return _columns(found.where(F.col(found.columns[len(docs.columns)]) != language.UNKNOWN), docs)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -551,6 +551,19 @@ def test_preferences(spark):
 # -- pipeline ----------------------------------------------------------------------------------------------------------------
 
 
+def test_language_stage_keeps_short_texts(spark, data):
+    import corpus_pipeline as P
+
+    d = data.replace("sf0.001", "sf0.1")
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    kept = {r.doc_id for r in P.language_stage(spark, docs, d).select("doc_id").collect()}
+    found = language.identify(docs, language.train(docs, "doc_id", "text", "lang"))
+    learnt = {r.doc_id for r in found.where(F.col(found.columns[len(docs.columns)]) != language.UNKNOWN).select("doc_id").collect()}
+    assert kept == learnt
+    few = docs.where(F.size(F.split(F.trim("text"), r"\s+")) < 4).select("doc_id").collect()
+    assert few and {r.doc_id for r in few} <= kept
+
+
 def test_pipeline_stages(spark, data):
     import corpus_pipeline as P
 
