@@ -155,7 +155,7 @@ def levels(grams: DataFrame) -> list[DataFrame]:
     return out[::-1]
 
 
-def divergences(tables: list[DataFrame], k: int, least: float) -> DataFrame:
+def divergences(tables: list[DataFrame], k: int) -> DataFrame:
     """(context, whole, kinds, gain) of the contexts of depth k: count, different next bytes, count times divergence from the suffix."""
     context = F.shiftright("code", 8)
     below = tables[k - 1].where("n > 0").withColumn("suffix", context).select(F.col("code").alias("tail"), "suffix", F.col("n").alias("m"))
@@ -166,14 +166,14 @@ def divergences(tables: list[DataFrame], k: int, least: float) -> DataFrame:
         F.sum("n").alias("whole"), F.count("*").alias("kinds"), F.sum(F.col("n") * F.log2(F.col("n").cast("double"))).alias("own"), F.sum(F.col("n") * F.col("p")).alias("cross")
     )
     gain = F.col("own") - F.col("whole") * F.log2(F.col("whole").cast("double")) - F.col("cross")
-    return sums.select("context", "whole", "kinds", F.when(F.col("whole") >= F.lit(least) / 8, gain).otherwise(0.0).alias("gain"))
+    return sums.select("context", "whole", "kinds", gain.alias("gain"))
 
 
 def retained(tables: list[DataFrame], bits: float = BITS) -> list[DataFrame]:
     """(context, whole, kinds) of all contexts of depths 1 ... DEPTH that gain ``bits`` or are suffixes of one that does."""
     out: list[DataFrame] = []
     for k in range(DEPTH, 0, -1):
-        rows, keep = divergences(tables, k, bits), F.col("gain") >= bits
+        rows, keep = divergences(tables, k), F.col("gain") >= bits
         if out:
             suffixes = out[-1].select(F.col("context").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("context")).distinct()
             rows, keep = rows.join(suffixes.withColumn("longer", F.lit(True)), "context", "left"), keep | F.col("longer").isNotNull()

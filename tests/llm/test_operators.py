@@ -382,6 +382,13 @@ def test_suffix_tree_grows_with_the_corpus(spark):
     assert suffix_tree.learn(docs.select("text"))["dead"] > 100_000
 
 
+def test_suffix_tree_keeps_rare_contexts_that_gain_over_eight_bits_each(spark):
+    tree = suffix_tree.learn(docs_of(spark, ["ba " * 100_000, "qaz qaz qaz qaz"]).select("text"))
+    column, child, width = tree["column"], tree["child"], tree["width"]
+    a = child[column[ord("a")]]
+    assert a != tree["dead"] and child[a * width + column[ord("q")]] != tree["dead"]
+
+
 def test_language_model_scores_do_not_depend_on_chunks(spark, monkeypatch):
     docs = docs_of(spark, [*ODD, *(f"word {i} again and again {i % 7}" for i in range(50))]).repartition(3)
     whole = {r.doc_id: r.score for r in suffix_tree.score_documents(docs).collect()}
