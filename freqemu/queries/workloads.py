@@ -76,9 +76,9 @@ def _error_sql(n):
     return " UNION ALL ".join(parts)
 
 
-def moment_errors(w, v, ks, runs):
+def moment_errors(w, v, ks, runs, moments=(3, 10)):
     """(scheme, k, f, nrmse): without and with replacement by l_1 and l_2, and the bound of ideal sampling."""
-    fs = [moment(3), moment(10)]
+    fs = [moment(p) for p in moments]
     out = [(sc, M.conditional_nrmse(w, q, ks, fs, runs)) for sc, q in (("ppswor", 1), ("l2_wor", 2))]
     for sc, q in (("l1_wr", 1.0), ("l2_wr", 2.0)):
         for f in fs:
@@ -111,9 +111,12 @@ def wl_past_advice(spark, d):
     return union((n, advice_errors(rows[n], p, _SIZES, 3)) for n, p in _PAST)
 
 
+_LATER, _POWERS = (50, 80), (3, 7, 10)
+
+
 @query("wl_learned_advice")
 def wl_learned_advice(spark, d):
-    """Days are hashes of the document; learnt on days 0 to 4, evaluated on two later days, beside baselines."""
+    """Days are hashes of the document; learnt on days 0 to 4, evaluated on days 50 and 80 apart, beside baselines."""
     from ..operators.advice import attach
     from ..operators.advice_models import learned_advice
 
@@ -123,15 +126,18 @@ def wl_learned_advice(spark, d):
         rows = docs.where(F.col("day").between(low, high)).select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"[\p{L}\p{N}]+"), F.lit(0)))).alias("key"))
         return rows.select("key", F.lit(1.0).alias("value"))
 
-    past, train, target = cut(frequencies(day(0, 2))), cut(frequencies(day(3, 4))), cut(frequencies(day(50, 52)))
-    advice = learned_advice(train, past, target, cut(frequencies(day(0, 4))), rounds=5)
-    rows = cut(attach(target, advice))
+    past, train, recent = cut(frequencies(day(0, 2))), cut(frequencies(day(3, 4))), cut(frequencies(day(0, 4)))
     sizes = [(0, 32, 32), (0, 96, 32), (0, 64, 64)]
     out = None
-    for p in (3, 10):
-        one = M.conditional_nrmse_advice(rows, moment(p), sizes, 5).select(F.concat(F.lit("advice_u"), F.col("k_uniform")).alias("scheme"), "k", "f", sig("nrmse").alias("nrmse"))
+    for later in _LATER:
+        target = cut(frequencies(day(later, later)))
+        rows = cut(attach(target, learned_advice(train, past, target, recent, rounds=5)))
+        one = moment_errors(target, cut(histogram(target)), (64, 128), 5, _POWERS)
+        for p in _POWERS:
+            one = one.unionByName(M.conditional_nrmse_advice(rows, moment(p), sizes, 5).select(F.concat(F.lit("advice_u"), F.col("k_uniform")).alias("scheme"), "k", "f", sig("nrmse").alias("nrmse")))
+        one = one.select(F.lit(later).alias("day"), "scheme", "k", "f", "nrmse")
         out = one if out is None else out.unionByName(one)
-    return out.unionByName(moment_errors(target, cut(histogram(target)), (64, 128), 5))
+    return out
 
 
 _RCD, _RCK = ("doc_words", "doc_lines", "cust_out"), (32, 1024)

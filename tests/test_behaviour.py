@@ -9,6 +9,7 @@ from freqemu.operators import rankcurve as R
 from freqemu.operators import universal as U
 from freqemu.operators.bottomk import ppswor
 from freqemu.operators.combos import certify
+from freqemu.queries import QUERIES
 from freqemu.queries.advice import rows_of
 from freqemu.queries.sql import freq, hist
 
@@ -70,3 +71,10 @@ def test_certificates_never_promise_too_much(words, vector):
     for salt in "abc":
         c = certify(ppswor(words, 64, 1, salt), 1, words.agg({"w": "sum"}).first()[0], 64).first()
         assert c.r <= phi + 1e-12 and c.certified <= 64 / O.overheads(vector, [moment(3)], 1.0).first().emulation + 1e-9
+
+
+def test_learned_advice_is_evaluated_on_each_later_day(spark):
+    rows = QUERIES["wl_learned_advice"](spark, "/root/testdata/sf0.01").collect()
+    assert {(r.day, r.f) for r in rows} == {(d, f"moment_{p}") for d in (50, 80) for p in (3, 7, 10)}
+    assert len({r.scheme for r in rows if r.scheme.startswith("advice")}) == 2
+    assert len({(r.day, r.f, r.scheme) for r in rows}) == 2 * 3 * 7
