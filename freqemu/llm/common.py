@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator, Sequence
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -133,53 +134,42 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class WordHasher:
-    """64-bit hashes of all words of many texts, without a Python object for each word.
+    """64-bit hashes of all words of many texts, nearly all without a Python object for each word.
 
-    A word's bytes are the digits of a number in an odd radix; prefix sums over a piece of
-    the buffer give every word's number with two look-ups, and the inverse power of the
-    radix makes it independent of the place. Pieces end between words.
+    Words of up to seven bytes are told apart exactly: their bytes and their length fill one
+    number, which a bijection spreads. Longer words have xxh3 hashes of their bytes. Pieces
+    of the buffer that are worked on at once end between words.
     """
 
     def __init__(self, table: bytes):
-        self.table = np.frombuffer(table, np.uint8)
-        self.power = np.ones(1, np.uint64)
-        self.inverse = np.ones(1, np.uint64)
-
-    def _powers(self, n: int) -> None:
-        if len(self.power) < n:
-            size = 1 << (n - 1).bit_length()
-            for name, radix in (("power", _RADIX), ("inverse", pow(_RADIX, -1, 1 << 64))):
-                steps = np.full(size, radix, np.uint64)
-                steps[0] = 1
-                setattr(self, name, np.multiply.accumulate(steps))
-
-    def _piece(self, buffer: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        edge = np.flatnonzero(np.diff(buffer != 32, prepend=False, append=False))
-        first, last = edge[::2], edge[1::2]
-        self._powers(len(buffer) + 1)
-        digits = buffer.astype(np.uint64)
-        digits += np.uint64(1)
-        digits *= self.power[: len(buffer)]
-        total = np.zeros(len(buffer) + 1, np.uint64)
-        np.cumsum(digits, out=total[1:])
-        return mix((total[last] - total[first]) * self.inverse[first] + (last - first).astype(np.uint64)), first
+        self.table = table
+
+    def _piece(self, buffer: bytes, a: int, b: int) -> tuple[np.ndarray, np.ndarray]:
+        text = np.frombuffer(buffer, np.uint8, b - a, a)
+        edge = np.flatnonzero(np.diff(text != 32, prepend=False, append=False))
+        first, size = edge[::2], edge[1::2] - edge[::2]
+        value = np.ndarray(b - a, "<u8", buffer, a, (1,))[first].astype(np.uint64)
+        bits = np.minimum(size, 7).astype(np.uint64) << np.uint64(3)
+        value &= (np.uint64(1) << bits) - np.uint64(1)
+        hashes = mix(value | (bits << np.uint64(53)))
+        long = np.flatnonzero(size > 7)
+        ends = zip((first[long] + a).tolist(), (first[long] + size[long] + a).tolist())
+        hashes[long] = np.fromiter((xxhash.xxh3_64_intdigest(buffer[x:y]) for x, y in ends), np.uint64, len(long))
+        return hashes, first + a
 
     def __call__(self, texts: Sequence[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
         """Hashes of all words in order, and for each text the number of words before it (and all at the end)."""
         sizes = np.fromiter((len(t) + 1 if t else 1 for t in texts), np.int64, len(texts))
-        buffer = self.table[np.frombuffer(b" ".join([t or b"" for t in texts]) + b" ", np.uint8)]
-        blank = np.flatnonzero(buffer == 32)
-        hashes, firsts, a = [], [], 0
-        while a < len(buffer):
-            k = np.searchsorted(blank, a + PIECE)
-            k = k if k < len(blank) and blank[max(k - 1, 0)] < a else max(k - 1, 0)
-            b = int(blank[min(k, len(blank) - 1)]) + 1
-            h, first = self._piece(buffer[a:b])
+        buffer = (b" ".join([t or b"" for t in texts]) + b" " * 8).translate(self.table)
+        hashes, firsts, a = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+        size = len(buffer) - 7
+        while a < size:
+            b = min(buffer.find(b" ", min(a + PIECE, size) - 1) + 1, size)
+            h, first = self._piece(buffer, a, b)
             hashes.append(h)
-            firsts.append(first + a)
+            firsts.append(first)
             a = b
-        first = np.concatenate(firsts)
-        return np.concatenate(hashes), np.searchsorted(first, np.concatenate([[0], np.cumsum(sizes)]))
+        return np.concatenate(hashes), np.searchsorted(np.concatenate(firsts), np.concatenate([[0], np.cumsum(sizes)]))
 
 
 def shingles(hashes: np.ndarray, width: int) -> np.ndarray:

@@ -4,10 +4,11 @@ A text's tokens are written as bytes: each lower-cased word and a blank behind i
 line feed as the end. The tree gives a token the probability of its bytes, each given the
 longest context that is retained, of at most DEPTH bytes, across tokens.
 
-Score: like the base score, the model tells the tokens of the training texts apart and has
-one chance for all unknown ones: that of a token seen once. A known token's chance is half
-its relative frequency, after DISCOUNT is taken off its count; all that this leaves goes to
-the tree's probability of the token. As these add up to 1 at most, so do the chances.
+Score: a token's chance is a mixture, the same for every token. WORDS of it is its relative
+frequency in the training texts, after DISCOUNT is taken off its count; the rest, and what
+the discounts leave, is the tree's probability of its bytes. A word that training never saw
+is thus spelled through the tree, from longest retained suffix to longest retained suffix.
+The chances of all byte strings add up to 1.
 
 Tree: counts of all (DEPTH + 1)-grams of all training texts. A context is retained if its
 next-byte distribution differs enough from that of its suffix one byte shorter: its count
@@ -17,16 +18,16 @@ that grow with the corpus; none is collected or broadcast. Distributions are smo
 towards the suffix's with the weight of the number of different next bytes; the root adds
 one to every byte.
 
-Scoring: the texts are packed in chunks of about CHUNK_BYTES. A chunk asks once for each
-different gram in it, meets the tree's chances in a join, and looks its bytes up in what
-comes back.
+Scoring: the texts are packed in chunks of about CHUNK_BYTES. The chances of the FREQUENT_GRAMS
+most frequent grams are broadcast. A chunk asks once for each other gram in it, meets the
+tree's chances in a join, and looks its bytes up in what comes back.
 
 Base score: words, as 64-bit hashes, are counted over all training texts. The counts of the
 FREQUENT most frequent words are broadcast; other words of a document meet their counts in
 a join.
 
 Edge cases: a null text is empty and has the end as its only token; without training texts
-every token is unknown and c = N = V = 0; rows with a null id
+c = N = V = 0 and all bytes are equally likely; rows with a null id
 are scored, not learnt from; repeated rows count as often as they are there.
 """
 
@@ -50,8 +51,8 @@ BITS = 40.0
 CHUNK_BYTES = 16 << 20
 #: Weight of word frequencies, and what is taken off each count.
 WORDS, DISCOUNT = 0.5, 0.5
-#: Words whose counts are broadcast (16 bytes each).
-FREQUENT = 300_000
+#: Words whose counts are broadcast (16 bytes each), and grams whose chances are (12 bytes each).
+FREQUENT, FREQUENT_GRAMS = 300_000, 1_000_000
 _END = 10
 _PAD = bytes([_END]) * DEPTH
 _CHUNK = 1 << 20
@@ -190,7 +191,7 @@ def chances(tables: list[DataFrame], contexts: list[DataFrame]) -> DataFrame:
         rows = rows.join(p.select(F.col("code").alias("tail"), F.col("p").alias("below")), "tail").join(contexts[k - 1], "context", "left")
         smoothed = (F.col("n") + F.col("kinds") * F.col("below")) / (F.col("whole") + F.col("kinds"))
         p = rows.select("code", F.coalesce(smoothed, "below").alias("p"))
-    return p.select("code", F.log10("p").alias("log"))
+    return p.select("code", F.log10("p").cast("float").alias("log"))
 
 
 def build(contexts: list[set[int]], counts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> dict:
@@ -269,16 +270,20 @@ def _unpacked(data: bytes) -> Iterator[pa.RecordBatch]:
         yield from reader
 
 
-def asked_grams(chunks: DataFrame) -> DataFrame:
-    """(chunk, code): the different grams of each chunk; a gram may be there more than once if the chunk holds many."""
+def asked_grams(chunks: DataFrame, frequent) -> DataFrame:
+    """(chunk, code): the different grams of each chunk that are not among the ``frequent`` (a broadcast of sorted codes
+    and logs); a gram may be there more than once if the chunk holds many."""
     schema = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("code", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, chunk = [], None
+        known = frequent.value[0]
 
         def out():
             codes = np.unique(np.concatenate(held))
             held.clear()
+            if len(known):
+                codes = codes[known[np.minimum(np.searchsorted(known, codes), len(known) - 1)] != codes]
             for at in range(0, len(codes), 1 << 17):
                 part = codes[at : at + (1 << 17)]
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), chunk)), pa.array(part)], names=["chunk", "code"])
@@ -349,22 +354,29 @@ def most_frequent(table: DataFrame, most: int) -> DataFrame:
     return table.where(F.lit(False) if least is None else F.col("n") >= least)
 
 
-def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2, frequent: int = FREQUENT, bits: float = BITS) -> DataFrame:
+def score_documents(
+    docs: DataFrame, id_col: str = "doc_id", text: str = "text", parts: int = 7, part: int = 2,
+    frequent: int = FREQUENT, frequent_grams: int = FREQUENT_GRAMS, bits: float = BITS,
+) -> DataFrame:
     """(id_col, held_out, n_tokens, n_known, train_tokens, base_score, score), a row for each of ``docs``."""
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     rows = rows.withColumn("learnt", learnable(F.col("id"), parts, part))
     learnt = rows.where("learnt").select("text")
     ends = learnt.count()
-    tables = levels(cut(_grams(rows)))
-    chance_of = chances(tables, retained(tables, bits))
+    grams = cut(_grams(rows))
+    tables = levels(grams)
+    chance_of = cut(chances(tables, retained(tables, bits)))
     table = cut(word_counts(learnt))
-    words, distinct, once = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), F.count(F.when(F.col("n") == 1, 1))).first()
+    words, distinct = table.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     total, kinds = words + ends, distinct + (ends > 0)
-    unknown = (once + (ends == 1) + 1) / (total + 2)
-    known_share = (1 - unknown) * WORDS / max(total, 1)
-    tree_share = (1 - unknown) * (1 - WORDS + WORDS * DISCOUNT * kinds / max(total, 1))
+    word_share = WORDS / max(total, 1)
+    tree_share = 1 - WORDS + WORDS * DISCOUNT * kinds / max(total, 1) if total else 1.0
+    tree_log = float(np.log10(tree_share))
+    context = docs.sparkSession.sparkContext
     top = most_frequent(table, frequent).toArrow().sort_by("word")
-    held = docs.sparkSession.sparkContext.broadcast((top.column("word").to_numpy(), top.column("n").to_numpy()))
+    held = context.broadcast((top.column("word").to_numpy(), top.column("n").to_numpy()))
+    top = chance_of.join(most_frequent(grams.where("n > 0"), frequent_grams).select("code"), "code", "left_semi").toArrow().sort_by("code")
+    spelled = context.broadcast((top.column("code").to_numpy(), top.column("log").to_numpy()))
 
     long, double = T.LongType(), T.DoubleType()
     fields = [("n_tokens", long), ("n_top", long), ("log_top", double), ("score_top", double), ("rare", T.ArrayType(long)), ("rare_tree", T.ArrayType(double))]
@@ -374,10 +386,16 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     def sums(values, bounds):
         return np.diff(np.concatenate([[0.0], np.cumsum(values)])[bounds])
 
+    def log_chance(counts, tree):
+        """A token never seen has the tree's chance only; logs keep those of long words from vanishing."""
+        seen = counts > 0
+        return np.where(seen, np.log10(np.where(seen, word_share * (counts - DISCOUNT), 1.0) + tree_share * 10.0**tree), tree_log + tree)
+
     def scored(chunk: pa.Table, answers: pa.Table) -> pa.Table:
         known, counts = held.value
-        codes, logs = answers.column("code").to_numpy(), answers.column("log").to_numpy()
-        order = np.argsort(codes)
+        codes = np.concatenate([spelled.value[0], answers.column("code").to_numpy()])
+        logs = np.concatenate([spelled.value[1], answers.column("log").to_numpy()])
+        order = np.argsort(codes, kind="stable")
         codes, logs = codes[order], logs[order]
         hasher, out = WordHasher(SPACED), []
         for data in chunk.column("data"):
@@ -391,10 +409,8 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
                 if len(known):
                     at = np.minimum(np.searchsorted(known, hashes), len(known) - 1)
                     common = known[at] == hashes
-                    c = counts[at]
-                chance = known_share * (c - DISCOUNT) + tree_share * 10.0**word_tree
-                score = sums(np.where(common, np.log10(np.where(common, chance, 1.0)), 0.0), bounds)
-                score += np.log10(known_share * (ends - DISCOUNT) + tree_share * 10.0**end_tree) if ends else np.log10(unknown)
+                    c = np.where(common, counts[at], 0)
+                score = sums(np.where(common, log_chance(c, word_tree), 0.0), bounds) + log_chance(np.full(len(end_tree), float(ends)), end_tree)
                 seen = np.concatenate([[0], np.cumsum(common)])
                 places = pa.array((bounds - seen[bounds]).astype(np.int32))
                 rare = pa.ListArray.from_arrays(places, pa.array(hashes[~common]))
@@ -405,15 +421,19 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
         return pa.concat_tables(out)
 
     chunks = cut(packed(rows.select("id", "text").withColumn("row", F.monotonically_increasing_id())))
-    answers = asked_grams(chunks).join(chance_of, "code").select("chunk", "code", "log")
+    answers = asked_grams(chunks, spelled).join(chance_of, "code").select("chunk", "code", "log")
     first = cut(chunks.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(scored, schema))
     asked = first.select("row", F.inline(F.arrays_zip(F.col("rare").alias("word"), F.col("rare_tree").alias("tree"))))
-    chance = F.lit(known_share) * (F.col("n") - DISCOUNT) + F.lit(tree_share) * F.pow(F.lit(10.0), F.col("tree"))
-    found = asked.join(table, "word").groupBy("row").agg(F.count("*").alias("n_rare"), F.sum(F.log10(F.col("n") + 1.0)).alias("log_rare"), F.sum(F.log10(chance)).alias("score_rare"))
-    both = first.select("id", "row", "n_tokens", "n_top", "log_top", "score_top", F.size("rare").alias("n_asked")).join(found, "row", "left")
+    spelt = F.lit(tree_log) + F.col("tree")
+    chance = F.log10(F.lit(word_share) * (F.col("n") - DISCOUNT) + F.lit(tree_share) * F.pow(F.lit(10.0), F.col("tree")))
+    found = asked.join(table, "word", "left").groupBy("row").agg(
+        F.count("n").alias("n_rare"), F.sum(F.when(F.col("n").isNotNull(), F.log10(F.col("n") + 1.0)).otherwise(0.0)).alias("log_rare"),
+        F.sum(F.when(F.col("n").isNotNull(), chance).otherwise(spelt)).alias("score_rare"),
+    )
+    both = first.select("id", "row", "n_tokens", "n_top", "log_top", "score_top").join(found, "row", "left")
     n_rare = F.coalesce("n_rare", F.lit(0))
     logs = F.col("log_top") + F.coalesce("log_rare", F.lit(0.0)) + float(np.log10(ends + 1.0))
-    score = F.col("score_top") + F.coalesce("score_rare", F.lit(0.0)) + (F.col("n_asked") - n_rare) * float(np.log10(unknown))
+    score = F.col("score_top") + F.coalesce("score_rare", F.lit(0.0))
     return both.select(
         F.col("id").alias(id_col), held_out(F.col("id"), parts, part).alias("held_out"), "n_tokens",
         (F.col("n_top") + n_rare + int(ends > 0)).alias("n_known"), F.lit(int(total)).cast("bigint").alias("train_tokens"),
