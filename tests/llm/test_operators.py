@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F, types as T
 
-from freqemu.llm import chat, decontaminate, language, licences, media, mixing, neardup, pages, quality, registry, suffix_tree
+from freqemu.llm import chat, common, decontaminate, language, licences, media, mixing, neardup, pages, quality, registry, suffix_tree
 from tests.oracle import compare
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -47,19 +47,22 @@ def brute_hits(text, items, width=13):
             for b in range(len(w) - size + 1):
                 if w[b : b + size] == v[a : a + size]:
                     hit.update(range(b, b + size))
-                    ids.add(str(i))
+                    ids |= {str(i)} if i is not None else set()
     return len(w), len(hit), sorted(ids)
 
 
-@pytest.mark.parametrize("block", [1 << 25, 120])
-def test_decontamination_against_brute_force(spark, block):
+@pytest.mark.parametrize("block", [1 << 25, 40])
+@pytest.mark.parametrize("stride", [512, 7])
+def test_decontamination_against_brute_force(spark, block, stride, monkeypatch):
+    monkeypatch.setattr(decontaminate, "STRIDE", stride)
     rng = random.Random(3)
     words = ["w%d" % i for i in range(12)]
-    items = [(i, " ".join(rng.choices(words, k=rng.choice([0, 1, 2, 5, 13, 14, 20])))) for i in range(12)] + [(90, None), (91, "")]
+    items = [(i, " ".join(rng.choices(words, k=rng.choice([0, 1, 2, 5, 13, 14, 20])))) for i in range(12)] + [(90, None), (91, ""), (None, "w3 w4 w5 w6")]
+    items += [items[5], (92, items[6][1])]
     texts = [" ".join(rng.choices(words, k=rng.randint(0, 60))) for _ in range(30)] + [x for x in ODD if not x or len(x) < 5000]
     texts += [f"Some, {items[4][1].upper()}! and more", items[6][1]]
     tests = spark.createDataFrame(items, "item_id long, text string")
-    found = decontaminate.contamination(docs_of(spark, texts), tests, block_bytes=block, keep=["doc_id"]).collect()
+    found = decontaminate.contamination(docs_of(spark, texts), tests, block_words=block, keep=["doc_id"]).collect()
     for r in found:
         n, hit, ids = brute_hits(texts[r.doc_id], items)
         assert (r.n_words, r.n_hit, list(r["items"])) == (n, hit, ids), texts[r.doc_id]
@@ -67,6 +70,28 @@ def test_decontamination_against_brute_force(spark, block):
         assert sum(s.past - s.first for s in r.spans) == hit
 
 
+def test_decontamination_index_is_bounded_by_its_windows():
+    """32 MB of test text, in blocks, would take under 1 GB; here a 32nd of it."""
+    import pickle
+
+    rng = random.Random(1)
+    vocabulary = ["".join(rng.choices("abcdefghij", k=rng.randint(2, 9))) for _ in range(5000)]
+    items = [(i, " ".join(rng.choices(vocabulary, k=1500)).encode()) for i in range(105)]
+    size = sum(len(t) for _, t in items)
+    search = decontaminate.WindowSearch(items)
+    assert search.nbytes() < 12 * size and len(pickle.dumps(search)) < 13 * size
+    text = items[7][1] + b" x " + items[9][1][:4000]
+    w, bounds = common.WordHasher(common.ALNUM)([text, b"nothing here"])
+    hit, ids = search(w, bounds)
+    assert ids == [{"7", "9"}, set()] and hit.sum() >= len(items[7][1].split()) + 12
+
+
+def test_decontamination_rows(spark):
+    docs = spark.createDataFrame([(None, "a b c"), (1, "a b c"), (1, "a b c"), (2, None)], "doc_id long, text string")
+    found = decontaminate.contamination(docs, spark.createDataFrame([(None, "b c"), ("x", "a"), ("x", "a")], "item_id string, text string")).collect()
+    assert [(r.n_hit, r["items"], r.contaminated) for r in found] == [(3, ["x"], True)] * 3 + [(0, [], False)]
+
+
 def test_decontamination_without_items_and_with_clashing_columns(spark):
     docs = docs_of(spark, ODD).withColumn("n_words", F.lit("mine")).withColumn("Contaminated", F.lit(1))
     none = spark.createDataFrame([], "item_id long, text string")
@@ -322,7 +347,7 @@ def test_language_model_against_brute_force(spark):
     rng = random.Random(8)
     texts = [" ".join(rng.choices(["alpha", "beta", "gamma", "Delta", "épsilon"], k=rng.randint(0, 40))) for _ in range(60)] + [None, "", "zeta zeta", "a b"]
     docs = docs_of(spark, texts)
-    found = {r.doc_id: r for r in suffix_tree.score_documents(docs, frequent=2).collect()}
+    found = {r.doc_id: r for r in suffix_tree.score_documents(docs, frequent=2, frequent_grams=20).collect()}
     assert len(found) == len(texts)
     low = [re.findall(r"[^\x20\x09-\x0D]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or "")) for t in texts]
     train = [i for i in range(len(texts)) if zlib.crc32(str(i).encode()) % 7 != 2]
@@ -339,15 +364,24 @@ def test_language_model_against_brute_force(spark):
 
 
 def test_language_model_beats_single_words_on_held_out_documents(spark, data):
-    rows = registry.queries()["op6_language_model"](spark, data.replace("sf0.001", "sf0.01")).where("held_out").collect()
+    """Although the base score has one chance for all unknown words and the model spells each."""
+    rows = registry.queries()["op6_language_model"](spark, data.replace("sf0.001", "sf0.1")).where("held_out").collect()
     assert sum(r.score for r in rows) > sum(r.base_score for r in rows)
+    assert sum(r.score > r.base_score for r in rows) > 0.75 * len(rows)
+
+
+def test_language_model_spells_unknown_words(spark):
+    """Unknown words are scored by their spelling: one that is put together like known ones is likelier."""
+    docs = docs_of(spark, ["walking talking walked talked baking baked " * 30] * 8).withColumn("doc_id", F.col("doc_id") * 7)
+    new = docs_of(spark, ["waking", "qzxvjw"]).withColumn("doc_id", F.lit(None).cast("long"))
+    a, b = sorted(r.score for r in suffix_tree.score_documents(docs.unionByName(new)).where("doc_id is null").collect())
+    assert b > a + 3
 
 
 def slow_score(text, tree, count, n, v):
     """Token by token, and the tree walked byte by byte."""
     data = suffix_tree._PAD + suffix_tree.normal(text.encode() if text is not None else None)
     column, child, log, width, dead = (tree[x] for x in ("column", "child", "log", "width", "dead"))
-    unknown = (sum(c == 1 for c in count.values()) + 1) / (n + 2)
     total, token, spelled = 0.0, b"", 0.0
     for t in range(suffix_tree.DEPTH, len(data)):
         state = 0
@@ -359,14 +393,41 @@ def slow_score(text, tree, count, n, v):
         spelled += log[state * width + column[data[t]]]
         if data[t] in b" \n":
             c = count["<end>" if data[t] == 10 else token.decode()]
-            p = (1 - unknown) * (0.5 * (c - 0.5) / n + (0.5 + 0.25 * v / n) * 10**spelled)
-            total += math.log10(p if c else unknown)
+            share = 0.5 + 0.25 * v / n
+            total += math.log10(0.5 * (c - 0.5) / n + share * 10**spelled) if c else math.log10(share) + spelled
             token, spelled = b"", 0.0
         else:
             token += bytes([data[t]])
     return total
 
 
+def test_words_are_told_apart_whatever_their_length():
+    def doubled(n):  # a sequence on which numbers in any odd radix modulo a power of two agree with the complement's
+        x = b"a"
+        while len(x) < n:
+            x += x.translate(bytes.maketrans(b"ab", b"ba"))
+        return x
+
+    table = bytes.maketrans(b"ab", b"ba")
+    for n in (1, 2, 4, 8, 512, 1024, 4096):
+        a = doubled(n)
+        h, bounds = common.WordHasher(common.SPACED)([a, a.translate(table), a + b" " + a, None, b"", a + b"\0", b"\0" + a])
+        assert len({int(x) for x in (h[0], h[1], h[4], h[5])}) == 4 and h[0] == h[2] == h[3]
+        assert bounds.tolist() == [0, 1, 2, 4, 4, 4, 5, 6]
+    rng = random.Random(4)
+    texts = [" ".join("".join(rng.choices("abé日", k=rng.randint(1, 12))) for _ in range(rng.randint(0, 30))) for _ in range(200)]
+    plain, piece = {}, common.PIECE
+    for size in (piece, 40):
+        common.PIECE = size
+        h, bounds = common.WordHasher(common.SPACED)([t.encode() for t in texts])
+        common.PIECE = piece
+        for k, t in enumerate(texts):
+            assert bounds[k + 1] - bounds[k] == len(t.split())
+            for w, x in zip(t.split(), h[bounds[k] : bounds[k + 1]].tolist()):
+                assert plain.setdefault(w, x) == x
+    assert len(set(plain.values())) == len(plain)
+
+
 def test_distributions_sum_to_one(spark):
     tree = suffix_tree.learn(docs_of(spark, ["the cat sat on the mat " * 20, "a dog " * 30]).select("text"))
     p = 10 ** tree["log"].astype(float).reshape(-1, tree["width"])
@@ -402,7 +463,7 @@ def test_language_model_without_training_rows(spark):
     rows = docs_of(spark, ["x y"]).withColumn("doc_id", F.lit(None).cast("long"))
     r = suffix_tree.score_documents(rows).first()
     assert (r.n_tokens, r.n_known, r.train_tokens, r.held_out) == (3, 0, 0, False)
-    assert r.score == pytest.approx(3 * math.log10(1 / 2)) and r.base_score == 0
+    assert r.score == pytest.approx(5 * math.log10(1 / 256)) and r.base_score == 0
     assert suffix_tree.score_documents(rows.limit(0)).count() == 0
 
 
@@ -436,6 +497,54 @@ def test_licence_expressions():
     assert get("x SPDX-License-Identifier: (MIT OR Apache-2.0) rest of line")[5] == ["apache-2.0", "mit"]
     assert get("SPDX-License-Identifier: AND AND")[5] == ["spdx-invalid"]
     assert get("Released under the MIT License.")[5] == ["mit"]
+    for text, label in (
+        ("SPDX-License-Identifier: MIT.", "mit"), ("SPDX-License-Identifier: MIT and is free software", "mit"),
+        ("SPDX-License-Identifier: GPL-2.0 or later version", "gpl"), ("SPDX License Identifier: Apache-2.0", "apache-2.0"),
+        ("spdx-license-identifier = 'Zlib', see below", "zlib"), ("/* SPDX-License-Identifier: BSD-3-Clause */", "bsd"),
+        ("SPDX-License-Identifier:\tLicenseRef-My.own and more", "licenseref-my.own"), ("SPDX-License-Identifier: (MIT", "mit"),
+        ("SPDX-License-Identifier: MIT\nAND Apache-2.0", "mit"), ("SPDX-License-Identifier: Apache-2.0 WITH LLVM-exception or so", "apache-2.0"),
+        ("é日 x, SPDX-License-Identifier: EUPL-1.2+ und", "eupl-1.2"), ("SPDX-License-Identifier: MIT WITH the rest", "mit"),
+    ):
+        assert get(text)[5] == [label], text
+    assert get("SPDX-License-Identifier: MIT OR (Apache-2.0 AND")[5] == ["apache-2.0", "mit"]
+    assert get("SPDX-License-Identifier: NOASSERTION")[5:] == ([], 0.0)
+    assert get("SPDX-License-Identifier: is free")[5] == ["spdx-invalid"]
+    assert get("SPDX-License-Identifier: MIT\nSPDX-License-Identifier: ISC; SPDX-License-Identifier")[5] == ["isc", "mit", "spdx-invalid"]
+
+
+def expressions(rng, depth):
+    """A random expression as text, and its labels and permissiveness."""
+    if depth == 0 or rng.random() < 0.3:
+        name, label, p = rng.choice([("MIT", "mit", 1.0), ("GPL-3.0-only", "gpl", 0.4), ("MPL-2.0", "mpl", 0.6), ("Foo-1.2", "foo-1.2", 0.5)])
+        return (f"{name} WITH x-exception", {label}, p + (1 - p) / 2) if rng.random() < 0.2 else (name, {label}, p)
+    kind = rng.choice(["and", "OR"])
+    (a, la, pa), (b, lb, pb) = expressions(rng, depth - 1), expressions(rng, depth - 1)
+    return f"({a}) {kind} ({b})", la | lb, (max if kind == "OR" else min)(pa, pb)
+
+
+def test_licence_expressions_against_their_trees():
+    rng = random.Random(6)
+    for _ in range(300):
+        text, labels, p = expressions(rng, 4)
+        found = licences.evaluate(text.replace("(MIT)", "MIT"))
+        assert found[0] == labels and found[1] == pytest.approx(p), text
+
+
+def test_licence_base_columns_equal_sql(spark, data, duck):
+    sql = r"""WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+    p(words, label) AS (VALUES (['cc', 'by'], 'cc-by'), (['general', 'public', 'license'], 'gpl'), (['all', 'rights', 'reserved'], 'reserved')),
+    k AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d),
+    h AS (SELECT doc_id, i - 1 AS i, label FROM k JOIN p ON list_slice(w, i, i + len(words) - 1) = words)
+    SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(count(h.i) AS BIGINT) AS n_base, CAST(min(h.i) AS BIGINT) AS first_word, CAST(max(h.i) AS BIGINT) AS last_word,
+      coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS base_labels FROM d LEFT JOIN h ON h.doc_id = d.doc_id GROUP BY d.doc_id, w"""
+    compare(registry.queries()["op7_licences"](spark, data).drop("labels", "score"), duck, sql)
+
+
+def test_licence_rows(spark):
+    docs = spark.createDataFrame([(None, "cc by"), (1, "cc by"), (1, "cc by"), (2, None)], "doc_id long, text string").withColumn("Score", F.lit("mine"))
+    rows = licences.scan_licences(docs).collect()
+    assert len(rows) == 4 and [r.n_base for r in rows] == [1, 1, 1, 0] and rows[0]["Score"] == "mine"
+    assert licences.scan_licences(docs.limit(0)).count() == 0
 
 
 # -- quality ----------------------------------------------------------------------------------------------------------
