@@ -13,8 +13,13 @@ Among those, links across components are searched with an exact prefix filter: s
 are ordered from rare to frequent, and two similar sets must share one of their first few
 shingles, how few depends on both sizes. In a large group of near copies the first
 shingles of a copy are its own changes, so copies that only resemble each other's source
-are never paired. Components come from rounds of large-star and small-star steps over a
-links table, checkpointed in the shared folder.
+are never paired. Shingles are paired inside ranges of set sizes that can be similar, and
+members of a shingle's main component only with the others. Components come from rounds of
+large-star and small-star steps over a links table, checkpointed in the shared folder.
+
+Hot keys: a class with many pairs meets them in shares of SHARE, each with the class's set
+once; keys of many rows (at most 1 / HEAVY of them can have so many) are looked up in a
+broadcast, all others by a shuffle of keys whose groups are that small.
 
 Edge cases: a null or word-less text has an empty set and links with nothing; a document
 shorter than the shingle is one shingle; rows that repeat a doc_id are one document that
@@ -27,6 +32,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window as W, functions as F, types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..plans.lineage import cut
 from .common import SPACED, WordHasher, annotate, free_names, mix, shingles
@@ -34,6 +40,10 @@ from .common import SPACED, WordHasher, annotate, free_names, mix, shingles
 BANDS, ROWS = 40, 6
 #: Candidate documents up to this number are broadcast to the second reading of texts (16 bytes each); beyond it a shuffle joins them.
 BROADCAST_IDS = 400_000
+#: Pairs that meet one copy of the set they share.
+SHARE = 256
+#: Keys with more than LIGHT rows and more than one in HEAVY of all rows are looked up by broadcast: at most HEAVY keys.
+LIGHT, HEAVY = 512, 50_000
 
 
 def permutations(count: int) -> tuple[np.ndarray, np.ndarray]:
@@ -108,6 +118,16 @@ def _sets_of(docs, id_col, text, width, classes, ids) -> DataFrame:
     return cut(_sets(docs, id_col, text, width, wanted))
 
 
+def looked_up(rows: DataFrame, table: DataFrame, key: str, size: str, total: int) -> DataFrame:
+    """Inner join of ``rows`` with ``table`` on ``key``; ``size`` bounds from below how many rows have the key.
+
+    ``table`` has one row a key; sizes of all keys sum to ``total`` at most.
+    """
+    many = max(LIGHT, total // HEAVY)
+    heavy, light = table.where(F.col(size) > many), table.where(F.col(size) <= many)
+    return rows.join(F.broadcast(heavy), key).unionByName(rows.join(F.broadcast(heavy.select(key)), key, "left_anti").join(light, key))
+
+
 def _across(sets: DataFrame, members: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) of ``members`` (id, component) in different components that may be similar enough: no link is missing.
 
@@ -123,42 +143,81 @@ def _across(sets: DataFrame, members: DataFrame, percent: int) -> DataFrame:
     listed = annotate(sets.join(members, "id"), ["set"], [("shingles", T.ArrayType(T.LongType()))], start, keep=["id", "component"])
     tokens = cut(listed.select("id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("token")))
     common = tokens.groupBy("token").agg(F.count("*").alias("f")).where("f > 1")
-    shared = tokens.join(common, "token")
+    shared = looked_up(tokens, common, "token", "f", tokens.count())
     by = W.partitionBy("id", "component", "n").orderBy("f", "token")
     placed = shared.withColumn("k", F.row_number().over(by)).withColumn("all", F.count("*").over(W.partitionBy("id", "component", "n")))
     first = placed.withColumn("at", F.col("n") - F.col("all") + F.col("k")).where(f"100 * (n - at + 1) >= {percent} * n").select("id", "component", "n", "token", "at")
-    first = cut(first)
-    p, q = first.alias("p"), first.alias("q")
+    # sets in sizes of one range, or of two that follow each other, may be similar
+    step = float(np.log(100 / percent)) if percent < 100 else 1e-9
+    first = cut(first.withColumn("span", F.floor(F.log("n") / step + 1e-9).cast("long")))
+    groups = first.groupBy("token", "component").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("component", F.struct("c", "component")).alias("main"), F.sum("c").alias("rows"), F.count("*").alias("kinds"))
+    mixed = cut(looked_up(first, groups.where("kinds > 1").drop("kinds"), "token", "rows", first.count()))
+    # the others of a token meet all its rows; a token's rows are dealt over shares
+    shares = (F.col("rows") / LIGHT).cast("int") + 1
+    q = mixed.withColumn("share", F.pmod(F.xxhash64("id"), shares).cast("int")).alias("q")
+    p = mixed.where("component <> main").withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
+    p = p.withColumn("span", F.explode(F.array(F.col("span") - 1, F.col("span"), F.col("span") + 1))).alias("p")
     least = f"{percent} * (p.n + q.n)"
-    return p.join(q, F.col("p.token") == F.col("q.token")).where(
-        f"p.id < q.id and p.component <> q.component and {100 + percent} * (p.n - p.at + 1) >= {least} and {100 + percent} * (q.n - q.at + 1) >= {least}"
+    return p.join(q, (F.col("p.token") == F.col("q.token")) & (F.col("p.span") == F.col("q.span")) & (F.col("p.share") == F.col("q.share"))).where(
+        f"p.component <> q.component and (p.id < q.id or q.component = q.main) and {100 + percent} * (p.n - p.at + 1) >= {least} and {100 + percent} * (q.n - q.at + 1) >= {least}"
         f" and 100 * least(p.n, q.n) >= {percent} * greatest(p.n, q.n)"
-    ).select(F.col("p.id").alias("a"), F.col("q.id").alias("b")).distinct()
+    ).select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct()
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Those of ``pairs`` (a, b) whose full sets are similar enough."""
-    both = (
-        pairs.join(sets.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
-        .join(sets.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b")
-    )
+    """Those of ``pairs`` (a, b) whose full sets are similar enough.
 
-    def start():
-        def work(left, right):
+    Of the two ends of a pair, the one with more pairs is its hub. A hub's pairs are dealt
+    over shares of about SHARE; each share is one run of rows, the hub's set first, so it
+    is sent once for a share and not once for a pair.
+    """
+    n = F.count("*").alias("n")
+    degree = cut(pairs.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(n))
+    # ends with few pairs need no count
+    many = degree.where(F.col("n") > SHARE)
+    total = pairs.count()
+    sized = pairs.withColumn("na", F.lit(1)).withColumn("nb", F.lit(1))
+    if not many.isEmpty():
+        both = pairs
+        for end in ("a", "b"):
+            side = many.select(F.col("id").alias(end), F.col("n").alias(f"n{end}"))
+            few = total <= SHARE * BROADCAST_IDS  # so many ends have more than SHARE pairs at most
+            both = both.join(F.broadcast(side) if few else side, end, "left")
+        sized = both.select("a", "b", F.coalesce("na", F.lit(1)).alias("na"), F.coalesce("nb", F.lit(1)).alias("nb"))
+    swap = F.col("nb") > F.col("na")
+    dealt = cut(sized.select(
+        F.when(swap, F.col("b")).otherwise(F.col("a")).alias("hub"), F.when(swap, F.col("a")).otherwise(F.col("b")).alias("id"),
+        (F.greatest("na", "nb") / SHARE).cast("int").alias("shares"), swap.alias("swap"),
+    ).withColumn("share", F.pmod(F.xxhash64("id"), F.col("shares") + 1).cast("int")))
+    columns = ["hub", "share", "id", "swap", "set"]
+    heads = dealt.select("hub", "share").distinct().join(sets.select(F.col("id").alias("hub"), "set"), "hub").withColumn("id", F.lit(None).cast(sets.schema["id"].dataType)).withColumn("swap", F.lit(False))
+    rows = heads.select(columns).unionByName(dealt.join(sets.select("id", "set"), "id").select(columns))
+    runs = rows.repartition("hub", "share").sortWithinPartitions("hub", "share", F.col("id").asc_nulls_first())
+    id_type = sets.schema["id"].dataType
+    schema = T.StructType([T.StructField("a", id_type), T.StructField("b", id_type)])
+    arrow = to_arrow_schema(schema)
+
+    def run(batches):
+        head, hub = None, None
+        for batch in batches:
+            hubs, _, ids, swaps, found = (batch.column(k) for k in range(5))
+            hubs, ids, swaps = hubs.to_pylist(), ids.to_pylist(), swaps.to_pylist()
             good = []
-            for x, y in zip(left, right):
-                p, q = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                if 100 * min(len(p), len(q)) < percent * max(len(p), len(q)):
-                    good.append(False)
+            for k, other in enumerate(ids):
+                q = np.frombuffer(found[k].as_buffer(), np.uint64)
+                if other is None:
+                    head, hub = q.copy(), hubs[k]
                     continue
-                met = len(np.intersect1d(p, q, assume_unique=True))
-                good.append(100 * met >= percent * (len(p) + len(q) - met))
-            return [good]
-
-        return work
+                if hub != hubs[k]:
+                    raise ValueError("a pair stands without its hub")
+                if 100 * min(len(head), len(q)) < percent * max(len(head), len(q)):
+                    continue
+                met = len(np.intersect1d(head, q, assume_unique=True))
+                if 100 * met >= percent * (len(head) + len(q) - met):
+                    good.append((other, hub) if swaps[k] else (hub, other))
+            yield pa.RecordBatch.from_arrays([pa.array([g[e] for g in good], arrow.field(e).type) for e in (0, 1)], names=["a", "b"])
 
-    found = annotate(both, ["sa", "sb"], [("good", T.BooleanType())], start, keep=["a", "b"])
-    return cut(found.where("good").select("a", "b").distinct())
+    return cut(runs.mapInArrow(run, schema).distinct())
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -172,13 +231,14 @@ def components(links: DataFrame) -> DataFrame:
     while before[0]:
         # large star: every larger neighbour gets the smallest id around
         both = edges.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("e.*")
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = edges.select(F.col("u").alias("w"), F.col("v").alias("u")).join(least, "u").where("w <> m").select(F.col("w").alias("u"), F.col("m").alias("v")).union(
+        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("near"))
+        total = before[0] * 2
+        large = looked_up(edges.select(F.col("u").alias("w"), F.col("v").alias("u")), least, "u", "near", total).where("w <> m").select(F.col("w").alias("u"), F.col("m").alias("v")).union(
             least.where("m <> u").select("u", F.col("m").alias("v"))
         ).distinct()
         # small star: smaller neighbours and the id itself get the smallest of them
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v"))).distinct()
+        low = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("near"))
+        small = looked_up(large, low, "u", "near", total).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v"))).distinct()
         edges = cut(small)
         after = state(edges)
         if after == before:
