@@ -9,7 +9,11 @@ in order of size; the running sum of expected copies, plus one offset for the so
 emits a copy at each integer that it crosses. As sizes rise slowly along the order, the
 words taken stay near the target. The running sum is a count of the documents before,
 times the expectation: counts of small buckets (source, size class, hash) are summed
-first and rows are numbered only inside their bucket, so no task sees a whole source.
+first and rows are numbered only inside their bucket, so no task sees a whole source. The
+buckets' own running counts are those of a size class's buckets and of a source's classes.
+
+Sources may be many: running sums over all of them go by ranges of their order, each range
+summed by itself and shifted by the totals of the ranges before it.
 
 Edge cases: a null text has size 0 and is taken 0 times; a null source is a source of its
 own, behind all others; rows with a null id count and are kept; repeated rows are
@@ -21,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from ..plans.lineage import cut
-from .common import SPACED_SET
+from .common import SPACED_SET, free_names
 
 CAP = 3
 WEIGHTS = (1, 2, 3)
@@ -35,24 +39,39 @@ def offset(source: Column) -> Column:
     return F.conv(digits, 16, 10).cast("bigint") / float(1 << 48)
 
 
-def targets(sizes: DataFrame, weights=WEIGHTS, cap: int = CAP) -> DataFrame:
+def running(rows: DataFrame, order: list[Column], sums: dict[str, Column], parts: int | None = None) -> DataFrame:
+    """``rows`` with, for each of ``sums``, its running sum up to the row along ``order`` (a total order of ``rows``).
+
+    The rows are dealt by ranges of the order; only one row a range is summed in one task.
+    """
+    before, parts = [f"_before_{c}" for c in sums], [parts] if parts else []
+    spread = cut(rows.repartitionByRange(*parts, *order).withColumn("_part", F.spark_partition_id()))
+    total = spread.groupBy("_part").agg(*[F.sum(v).alias(c) for c, v in sums.items()])
+    ahead = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    shift = total.select("_part", *[F.coalesce(F.sum(c).over(ahead), F.lit(0)).alias(b) for c, b in zip(sums, before)])
+    inside = W.partitionBy("_part").orderBy(*order).rowsBetween(W.unboundedPreceding, 0)
+    summed = spread.withColumns({c: F.sum(v).over(inside) for c, v in sums.items()})
+    return summed.join(F.broadcast(shift), "_part").withColumns({c: F.col(c) + F.col(b) for c, b in zip(sums, before)}).drop("_part", *before)
+
+
+def targets(sizes: DataFrame, weights=WEIGHTS, cap: int = CAP, parts: int | None = None) -> DataFrame:
     """(source, source_size, n, target) from (source, source_size, n): one row a source."""
-    order = W.orderBy(F.col("source").asc_nulls_last())
-    turn = F.pmod(F.row_number().over(order) - 1, F.lit(len(weights))) + 1
-    w = sizes.withColumn("w", F.element_at(F.array(*[F.lit(x) for x in weights]), turn).cast("bigint"))
+    name = F.col("source").asc_nulls_last()
+    turned = running(sizes, [name], {"turn": F.lit(1)}, parts)
+    turn = F.pmod(F.col("turn") - 1, F.lit(len(weights))) + 1
+    w = turned.withColumn("w", F.element_at(F.array(*[F.lit(x) for x in weights]), turn.cast("int")).cast("bigint")).drop("turn")
     w = w.withColumn("top", F.col("source_size") * cap)
-    by = W.orderBy((F.col("top") / F.col("w")).asc(), F.col("source").asc_nulls_last())
-    before = by.rowsBetween(W.unboundedPreceding, -1)
+    summed = cut(running(w, [(F.col("top") / F.col("w")).asc(), name], {"tops": F.col("top"), "ws": F.col("w")}, parts))
+    whole = summed.agg(F.sum("source_size").alias("total"), F.sum("w").alias("all_w"))
     level = (
-        w.withColumn("total", F.sum("source_size").over(by.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)))
-        .withColumn("left", F.col("total") - F.coalesce(F.sum("top").over(before), F.lit(0)))
-        .withColumn("rest", F.sum("w").over(by.rowsBetween(0, W.unboundedFollowing)))
-        .withColumn("free", (F.col("left") / F.col("rest")) <= (F.col("top") / F.col("w")))
-        .withColumn("first", F.max_by(F.struct("left", "rest"), F.when(F.col("free"), F.col("rest"))).over(by.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)))
+        summed.crossJoin(F.broadcast(whole))
+        .withColumn("left", F.col("total") - F.col("tops") + F.col("top"))
+        .withColumn("rest", F.col("all_w") - F.col("ws") + F.col("w"))
     )
-    open_ = F.col("rest") <= F.col("first.rest")
-    target = F.when(open_, (F.col("w") * F.col("first.left")) / F.col("first.rest")).otherwise(F.col("top").cast("double"))
-    return level.select("source", "source_size", "n", target.alias("target"))
+    free = (F.col("left") / F.col("rest")) <= (F.col("top") / F.col("w"))
+    first = level.where(free).agg(F.max_by(F.struct("left", "rest"), "rest").alias("first"))
+    target = F.when(F.col("rest") <= F.col("first.rest"), (F.col("w") * F.col("first.left")) / F.col("first.rest")).otherwise(F.col("top").cast("double"))
+    return level.crossJoin(F.broadcast(first)).select("source", "source_size", "n", target.alias("target"))
 
 
 def size_class(size: Column) -> Column:
@@ -69,8 +88,14 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text: str = "text", source: str
     rows = rows.withColumn("class", size_class(F.col("size"))).withColumn("slot", F.substring("mark", 1, 2))
     buckets = cut(rows.groupBy("source", "class", "slot").agg(F.count("*").alias("m"), F.sum("size").alias("words")))
     shares = targets(buckets.groupBy("source").agg(F.sum("words").alias("source_size"), F.sum("m").alias("n")), weights, cap)
-    along = W.partitionBy("source").orderBy("class", "slot").rowsBetween(W.unboundedPreceding, -1)
-    ahead = buckets.withColumn("ahead", F.coalesce(F.sum("m").over(along), F.lit(0))).select("source", "class", "slot", "ahead")
+    # a class has at most 256 slots, a source at most some hundreds of classes: no window grows with the data
+    along = W.partitionBy("source", "class").orderBy("slot").rowsBetween(W.unboundedPreceding, -1)
+    over = W.partitionBy("owner").orderBy("sort").rowsBetween(W.unboundedPreceding, -1)
+    below = buckets.groupBy(F.col("source").alias("owner"), F.col("class").alias("sort")).agg(F.sum("m").alias("many"))
+    below = below.withColumn("lower", F.coalesce(F.sum("many").over(over), F.lit(0))).drop("many")
+    ahead = buckets.withColumn("in_class", F.coalesce(F.sum("m").over(along), F.lit(0)))
+    ahead = ahead.join(below, F.col("source").eqNullSafe(F.col("owner")) & (F.col("class") == F.col("sort")))
+    ahead = ahead.select("source", "class", "slot", (F.col("in_class") + F.col("lower")).alias("ahead"))
     inside = W.partitionBy("source", "class", "slot").orderBy("size", "mark", "id")
     numbered = rows.withColumn("k", F.row_number().over(inside))
     a, b = numbered.alias("a"), ahead.alias("b")
@@ -87,9 +112,10 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text: str = "text", source: str
 
 def emitted(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """The mix itself: each document as many times as it was taken; ids must not repeat."""
-    times = mixed.where("copies > 0").select(F.col(id_col).alias("_id"), "copies")
-    rows = docs.join(times, F.col(id_col) == F.col("_id"))
-    return rows.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    own, times, copy = free_names(["own", "times", "copy"], docs.columns)
+    taken = mixed.where("copies > 0").select(F.col(id_col).alias(own), F.col("copies").cast("int").alias(times))
+    rows = docs.join(taken, F.col(id_col) == F.col(own))
+    return rows.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op5_mixing(spark, sf_dir):
