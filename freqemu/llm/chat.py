@@ -23,8 +23,6 @@ from pyspark.sql import Column, DataFrame, Window as W, functions as F
 from ..plans.lineage import cut
 
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>"
-#: Conversation ids of one run of this many are put in order together.
-RUN = 4096
 
 
 def rendered(turn: Column) -> Column:
@@ -61,15 +59,20 @@ def gathered(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", role:
 def paired(conversations: DataFrame) -> DataFrame:
     """(chosen_id, rejected_id, chosen, rejected) from (conv, turns).
 
-    The next id in a group is found inside runs of ids first, then over the runs' first
-    ids, so that a group of any size is dealt over many tasks.
+    Keys are dealt by ranges of (group, id): a group of any size, with ids of any kind, is
+    spread over as many ranges as it fills. The next id is found inside a range; behind its
+    last row follows the first of the next range, one row a range.
     """
     keys = conversations.select("conv", F.xxhash64(F.element_at("turns", 1)).alias("a"), F.md5(F.concat_ws("\x01", F.element_at("turns", 1)["role"], F.element_at("turns", 1)["text"])).alias("b"))
-    keys = keys.withColumn("run", F.floor(F.col("conv") / RUN))
-    inside = keys.withColumn("next", F.lead("conv").over(W.partitionBy("a", "b", "run").orderBy("conv")))
-    firsts = keys.groupBy("a", "b", "run").agg(F.min("conv").alias("first"))
-    firsts = firsts.withColumn("after", F.lead("first").over(W.partitionBy("a", "b").orderBy("run"))).select("a", "b", "run", "after")
-    order = inside.join(firsts, ["a", "b", "run"]).select(F.col("conv").alias("chosen_id"), F.coalesce("next", "after").alias("rejected_id"))
+    order = ["a", "b", "conv"]
+    keys = cut(keys.repartitionByRange(*[F.col(c) for c in order]).withColumn("run", F.spark_partition_id()))
+    key = F.struct(*order)
+    firsts = keys.groupBy("run").agg(F.min(key).alias("first"))
+    firsts = firsts.select("run", F.lead("first").over(W.orderBy("run")).alias("after"))
+    inside = keys.withColumn("next", F.lead(key).over(W.partitionBy("run").orderBy(*order)))
+    follows = F.coalesce("next", "after")
+    same = (follows["a"] == F.col("a")) & (follows["b"] == F.col("b"))
+    order = inside.join(F.broadcast(firsts), "run").select(F.col("conv").alias("chosen_id"), F.when(same, follows["conv"]).alias("rejected_id"))
     left = conversations.select(F.col("conv").alias("chosen_id"), F.col("turns").alias("chosen"))
     right = conversations.select(F.col("conv").alias("rejected_id"), F.col("turns").alias("rejected"))
     return order.join(left, "chosen_id").join(right, "rejected_id", "left")
