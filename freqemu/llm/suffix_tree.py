@@ -57,7 +57,7 @@ _END = 10
 _PAD = bytes([_END]) * DEPTH
 _CHUNK = 1 << 20
 #: Distinct grams that a task holds before it emits them.
-MOST_HELD = 4_000_000
+MOST_HELD = 2_000_000
 
 
 def normal(text: bytes | None) -> bytes:
