@@ -3,7 +3,9 @@
 A page is cut at block-level tags into flat blocks. A block's features are its word count
 and link density, those of the blocks before and behind, and where it stands: in an
 article, inside an element that is never article text, inside an element whose class or
-id names such a thing, in a list, a heading. A small labelled table trains the tree.
+id names such a thing, in a list, a heading. A small labelled table trains the tree: plain
+text stays wherever it stands outside such elements, unless it is a crumb between links;
+linked text goes or stays by its neighbours.
 
 Scripts, styles, templates, markup comments, the head and form controls never make text.
 White space inside a block becomes one blank; blocks are joined by an empty line. Nothing
@@ -11,7 +13,7 @@ is cut or capped.
 
 Edge cases: null or empty html, and pages without kept blocks, give the empty string;
 unclosed and crossed tags end with the element that holds them; an unclosed comment or
-raw-text element reaches to the end of the page.
+raw-text element reaches to the end of the page; repeated rows and null ids are like others.
 """
 
 from __future__ import annotations
@@ -28,7 +30,9 @@ from .common import annotate
 
 _MARK = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^<>]*>|<(/?)([A-Za-z][^\s/<>]*)((?:\"[^\"]*\"|'[^']*'|[^<>\"'])*)>", re.DOTALL)
 _HINT = re.compile(r"""(?:\b(?:class|id|role|aria-label)\s*=\s*)("[^"]*"|'[^']*'|[^\s"'>]+)""", re.IGNORECASE)
-_HIDDEN = re.compile(r"""(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.IGNORECASE)
+_QUOTED = re.compile(r"""=\s*(?:"[^"]*"|'[^']*')""")
+_HIDDEN = re.compile(r"""(?:^|\s)hidden(?:[\s=/]|$)""", re.IGNORECASE)
+_UNSEEN = re.compile(r"""(?:^|\s)(?:style\s*=\s*(?:"[^"]*display\s*:\s*none|'[^']*display\s*:\s*none)|aria-hidden\s*=\s*["']?true)""", re.IGNORECASE)
 _SPLIT = re.compile(r"[^a-z0-9]+")
 
 RAW = frozenset("script style textarea title noscript template iframe svg math object canvas audio video select option datalist button noframes".split())
@@ -39,6 +43,8 @@ HINTS = frozenset(
     "newsletter subscribe comment comments commentlist disqus reply replies respond sidebar aside complementary widget related recommended share sharing social menu nav navbar navigation "
     "breadcrumb breadcrumbs footer contentinfo masthead topbar toolbar login signup search pagination pager skip copyright disclaimer".split()
 )
+#: A name that begins with one of these tells of the page or the article, not of what the element is.
+ABOUT = frozenset("has no not with without is category cat tag type format supports".split())
 #: With one of these, an element named a header is the page's, not the article's.
 OF_PAGE = frozenset("site page top global main".split())
 VOID = frozenset("br img hr input meta link wbr area base col embed source track param".split())
@@ -46,28 +52,45 @@ HEADINGS = frozenset(f"h{i}" for i in range(1, 7))
 
 #: Word counts and link densities (percent) of the block before, the block and the block behind; in an article, in a never-article element, hinted as such, in a list, a heading; and the label.
 LABELLED = (
+    # article text: headings, paragraphs of any length, list items, lines with some links
     (0, 0, 8, 0, 60, 0, 1, 0, 0, 0, 1, 1), (8, 0, 45, 0, 70, 0, 1, 0, 0, 0, 0, 1), (45, 0, 3, 0, 30, 0, 1, 0, 0, 0, 0, 1), (3, 0, 120, 0, 0, 0, 1, 0, 0, 0, 0, 1),
     (12, 0, 1, 0, 2, 0, 1, 0, 0, 0, 0, 1), (1, 0, 2, 0, 1, 0, 1, 0, 0, 0, 0, 1), (80, 0, 20, 40, 60, 0, 1, 0, 0, 0, 0, 1), (60, 0, 12, 0, 12, 0, 1, 0, 0, 1, 0, 1),
     (12, 0, 12, 30, 50, 0, 1, 0, 0, 1, 0, 1), (1, 100, 6, 0, 40, 0, 1, 0, 0, 0, 1, 1), (15, 0, 9, 0, 25, 0, 1, 0, 0, 0, 0, 1), (25, 0, 300, 2, 30, 0, 1, 0, 0, 0, 0, 1),
+    (0, 0, 6, 0, 0, 0, 1, 0, 0, 0, 1, 1), (0, 0, 1, 0, 0, 0, 1, 0, 0, 0, 0, 1), (1, 100, 1, 0, 9, 0, 1, 0, 0, 0, 0, 1), (2, 0, 5, 0, 2, 0, 1, 0, 0, 1, 0, 1),
+    # article paragraphs that are mostly a link: kept between plain text, dropped beside other links
+    (30, 0, 9, 100, 40, 0, 1, 0, 0, 0, 0, 1), (30, 0, 12, 90, 0, 0, 1, 0, 0, 0, 0, 1), (0, 0, 9, 100, 40, 0, 1, 0, 0, 0, 0, 1), (8, 0, 14, 95, 25, 5, 1, 0, 0, 0, 0, 1),
+    (30, 0, 7, 100, 7, 100, 1, 0, 0, 0, 0, 0), (7, 100, 9, 100, 30, 0, 1, 0, 0, 0, 0, 0), (6, 100, 12, 95, 8, 100, 1, 0, 0, 0, 0, 0), (40, 0, 9, 100, 9, 100, 1, 0, 0, 0, 0, 0),
+    (9, 100, 9, 100, 0, 0, 1, 0, 0, 0, 0, 0), (5, 100, 12, 95, 0, 0, 1, 0, 0, 0, 0, 0), (9, 100, 8, 100, 9, 100, 1, 0, 0, 0, 0, 0),
+    (12, 0, 9, 100, 9, 100, 1, 0, 0, 0, 0, 0), (8, 0, 9, 100, 9, 100, 1, 0, 0, 0, 0, 0), (0, 0, 9, 100, 9, 100, 1, 0, 0, 0, 0, 0), (60, 0, 9, 100, 40, 0, 1, 0, 0, 0, 0, 1), (90, 0, 12, 95, 70, 0, 1, 0, 0, 0, 0, 1),
+    (12, 0, 9, 100, 12, 0, 1, 0, 0, 0, 0, 1), (25, 0, 9, 100, 12, 0, 1, 0, 0, 0, 0, 1), (50, 0, 10, 90, 15, 0, 1, 0, 0, 0, 0, 1), (12, 0, 11, 100, 30, 0, 1, 0, 0, 0, 0, 1),
+    (50, 0, 10, 90, 12, 100, 1, 0, 0, 0, 0, 0), (25, 0, 10, 90, 12, 100, 1, 0, 0, 0, 0, 0), (9, 100, 9, 100, 12, 0, 1, 0, 0, 0, 0, 0), (9, 100, 9, 100, 9, 100, 1, 0, 0, 0, 0, 0),
     (30, 0, 2, 100, 2, 100, 1, 0, 0, 1, 0, 0), (2, 100, 2, 100, 2, 100, 1, 0, 0, 1, 0, 0), (40, 0, 3, 100, 0, 0, 1, 0, 0, 0, 0, 0), (2, 100, 4, 100, 30, 0, 1, 0, 0, 0, 0, 0),
+    (40, 0, 3, 100, 60, 0, 1, 0, 0, 0, 0, 0), (40, 0, 9, 100, 60, 0, 1, 0, 0, 1, 0, 0), (0, 0, 2, 100, 30, 0, 1, 0, 0, 0, 0, 0),
+    # elements that never hold article text
     (2, 100, 1, 100, 1, 100, 0, 1, 0, 1, 0, 0), (1, 100, 1, 100, 14, 0, 0, 1, 0, 1, 0, 0), (60, 0, 12, 0, 0, 0, 0, 1, 0, 0, 0, 0), (90, 0, 30, 10, 0, 0, 0, 1, 0, 0, 0, 0),
     (0, 0, 5, 0, 8, 0, 0, 1, 0, 0, 1, 0), (40, 0, 60, 0, 20, 0, 0, 1, 0, 0, 0, 0), (40, 0, 60, 0, 20, 0, 1, 1, 0, 0, 0, 0), (20, 0, 5, 0, 20, 0, 1, 1, 0, 0, 0, 0),
-    (20, 0, 8, 0, 20, 0, 1, 1, 0, 0, 1, 0), (10, 0, 150, 0, 20, 0, 1, 1, 0, 0, 0, 0), (1, 100, 15, 0, 9, 0, 0, 0, 1, 0, 0, 0), (1, 100, 40, 0, 9, 0, 0, 0, 1, 0, 0, 0),
-    (60, 0, 25, 0, 25, 0, 0, 0, 1, 0, 0, 0), (50, 0, 18, 0, 40, 0, 1, 0, 1, 0, 0, 0), (30, 0, 60, 0, 30, 0, 1, 0, 1, 0, 0, 0), (30, 0, 4, 0, 30, 0, 1, 0, 1, 0, 0, 0),
-    (20, 0, 5, 0, 20, 0, 1, 0, 1, 0, 1, 0), (9, 0, 120, 3, 9, 0, 0, 0, 1, 0, 0, 0), (8, 0, 50, 5, 60, 0, 0, 0, 0, 0, 0, 1), (60, 0, 40, 0, 80, 0, 0, 0, 0, 0, 0, 1),
-    (7, 0, 25, 0, 30, 0, 0, 0, 0, 0, 0, 1), (40, 0, 14, 0, 35, 0, 0, 0, 0, 0, 0, 1), (50, 0, 90, 10, 3, 100, 0, 0, 0, 0, 0, 1), (0, 0, 7, 0, 45, 0, 0, 0, 0, 0, 1, 1),
-    (35, 0, 5, 0, 40, 0, 0, 0, 0, 0, 1, 1), (45, 0, 4, 0, 50, 0, 0, 0, 0, 0, 0, 1), (30, 0, 8, 0, 30, 0, 0, 0, 0, 0, 0, 1), (2, 100, 3, 0, 2, 100, 0, 0, 0, 0, 0, 0),
-    (0, 0, 3, 0, 2, 100, 0, 0, 0, 0, 0, 0), (4, 0, 5, 0, 3, 0, 0, 0, 0, 0, 0, 0), (2, 0, 4, 50, 3, 100, 0, 0, 0, 0, 0, 0), (3, 100, 4, 100, 4, 100, 0, 0, 0, 1, 0, 0),
-    (1, 100, 2, 0, 1, 100, 0, 0, 0, 0, 1, 0), (50, 0, 6, 80, 4, 100, 0, 0, 0, 0, 0, 0), (3, 100, 30, 90, 3, 100, 0, 0, 0, 0, 0, 0), (4, 0, 6, 0, 0, 0, 0, 0, 0, 0, 0, 0),
-    (3, 0, 2, 0, 3, 0, 0, 0, 0, 1, 0, 0), (40, 0, 15, 0, 15, 0, 0, 0, 0, 1, 0, 1), (15, 0, 12, 20, 14, 0, 0, 0, 0, 1, 0, 1), (0, 0, 40, 0, 0, 0, 0, 0, 0, 0, 0, 1),
-    (1, 100, 1, 100, 80, 0, 0, 1, 0, 1, 0, 0), (0, 0, 5, 0, 200, 0, 0, 1, 0, 0, 0, 0), (3, 0, 12, 0, 90, 0, 0, 0, 1, 0, 0, 0), (30, 0, 10, 0, 90, 0, 1, 1, 0, 0, 0, 0),
-    (1, 100, 1, 100, 60, 0, 0, 0, 0, 1, 0, 0), (40, 0, 3, 100, 60, 0, 1, 0, 0, 0, 0, 0), (0, 0, 70, 0, 90, 0, 0, 1, 0, 0, 0, 0), (90, 0, 70, 0, 90, 0, 1, 1, 0, 0, 0, 0),
-    (90, 0, 70, 0, 90, 0, 1, 0, 1, 0, 0, 0), (0, 0, 70, 0, 90, 0, 0, 0, 1, 0, 0, 0), (20, 0, 4, 100, 120, 0, 0, 0, 0, 0, 0, 0), (20, 0, 6, 0, 120, 0, 0, 1, 0, 0, 1, 0),
-    (0, 0, 6, 0, 0, 0, 1, 0, 0, 0, 1, 1), (0, 0, 1, 0, 0, 0, 1, 0, 0, 0, 0, 1), (1, 100, 1, 0, 9, 0, 1, 0, 0, 0, 0, 1), (0, 0, 2, 0, 0, 0, 0, 1, 0, 0, 0, 0),
+    (20, 0, 8, 0, 20, 0, 1, 1, 0, 0, 1, 0), (10, 0, 150, 0, 20, 0, 1, 1, 0, 0, 0, 0), (1, 100, 1, 100, 80, 0, 0, 1, 0, 1, 0, 0), (0, 0, 5, 0, 200, 0, 0, 1, 0, 0, 0, 0),
+    (30, 0, 10, 0, 90, 0, 1, 1, 0, 0, 0, 0), (0, 0, 70, 0, 90, 0, 0, 1, 0, 0, 0, 0), (90, 0, 70, 0, 90, 0, 1, 1, 0, 0, 0, 0), (20, 0, 6, 0, 120, 0, 0, 1, 0, 0, 1, 0), (0, 0, 2, 0, 0, 0, 0, 1, 0, 0, 0, 0),
+    # elements named as such a thing
+    (1, 100, 15, 0, 9, 0, 0, 0, 1, 0, 0, 0), (1, 100, 40, 0, 9, 0, 0, 0, 1, 0, 0, 0), (60, 0, 25, 0, 25, 0, 0, 0, 1, 0, 0, 0), (50, 0, 18, 0, 40, 0, 1, 0, 1, 0, 0, 0),
+    (30, 0, 60, 0, 30, 0, 1, 0, 1, 0, 0, 0), (30, 0, 4, 0, 30, 0, 1, 0, 1, 0, 0, 0), (20, 0, 5, 0, 20, 0, 1, 0, 1, 0, 1, 0), (9, 0, 120, 3, 9, 0, 0, 0, 1, 0, 0, 0),
+    (3, 0, 12, 0, 90, 0, 0, 0, 1, 0, 0, 0), (90, 0, 70, 0, 90, 0, 1, 0, 1, 0, 0, 0), (0, 0, 70, 0, 90, 0, 0, 0, 1, 0, 0, 0), (12, 0, 1, 0, 0, 0, 0, 0, 1, 0, 0, 0), (0, 0, 9, 0, 0, 0, 0, 0, 1, 0, 0, 0),
+    # plain text of pages without an article element
+    (8, 0, 50, 5, 60, 0, 0, 0, 0, 0, 0, 1), (60, 0, 40, 0, 80, 0, 0, 0, 0, 0, 0, 1), (7, 0, 25, 0, 30, 0, 0, 0, 0, 0, 0, 1), (40, 0, 14, 0, 35, 0, 0, 0, 0, 0, 0, 1),
+    (50, 0, 90, 10, 3, 100, 0, 0, 0, 0, 0, 1), (0, 0, 7, 0, 45, 0, 0, 0, 0, 0, 1, 1), (35, 0, 5, 0, 40, 0, 0, 0, 0, 0, 1, 1), (45, 0, 4, 0, 50, 0, 0, 0, 0, 0, 0, 1),
+    (30, 0, 8, 0, 30, 0, 0, 0, 0, 0, 0, 1), (40, 0, 15, 0, 15, 0, 0, 0, 0, 1, 0, 1), (15, 0, 12, 20, 14, 0, 0, 0, 0, 1, 0, 1), (0, 0, 40, 0, 0, 0, 0, 0, 0, 0, 0, 1),
+    (0, 0, 12, 0, 1, 0, 0, 0, 0, 0, 0, 1), (60, 0, 9, 0, 0, 0, 0, 0, 0, 0, 0, 1), (60, 0, 12, 0, 2, 0, 0, 0, 0, 0, 0, 1), (4, 0, 5, 0, 3, 0, 0, 0, 0, 0, 0, 1), (4, 0, 6, 0, 0, 0, 0, 0, 0, 0, 0, 1),
+    (0, 0, 2, 0, 0, 0, 0, 0, 0, 0, 0, 1), (0, 0, 1, 0, 1, 0, 0, 0, 0, 0, 0, 1), (60, 0, 1, 0, 60, 0, 0, 0, 0, 0, 0, 1), (2, 100, 9, 0, 1, 0, 0, 0, 0, 0, 0, 1), (2, 100, 12, 0, 2, 100, 0, 0, 0, 0, 0, 1),
+    (2, 100, 6, 0, 60, 0, 0, 0, 0, 0, 1, 1), (60, 0, 7, 0, 3, 100, 0, 0, 0, 0, 0, 1), (1, 100, 2, 0, 40, 0, 0, 0, 0, 0, 1, 1), (3, 0, 2, 0, 3, 0, 0, 0, 0, 1, 0, 1), (30, 0, 12, 90, 30, 0, 0, 0, 0, 0, 0, 1),
+    (12, 0, 1, 0, 1, 100, 0, 0, 0, 0, 0, 1), (60, 0, 1, 0, 1, 100, 0, 0, 0, 0, 0, 1), (5, 0, 3, 0, 1, 100, 0, 0, 0, 0, 0, 1), (1, 100, 1, 0, 40, 0, 0, 0, 0, 0, 0, 1), (1, 100, 2, 0, 8, 0, 0, 0, 0, 0, 0, 1), (3, 0, 2, 0, 1, 100, 0, 0, 0, 0, 0, 1), (2, 0, 4, 0, 3, 100, 0, 0, 0, 0, 0, 1),
+    # crumbs between links, and links
+    (2, 100, 3, 0, 2, 100, 0, 0, 0, 0, 0, 0), (1, 100, 1, 0, 1, 100, 0, 0, 0, 0, 0, 0), (1, 100, 2, 0, 1, 100, 0, 0, 0, 0, 1, 0), (1, 100, 1, 0, 1, 100, 0, 0, 0, 1, 0, 0), (4, 100, 5, 0, 3, 100, 0, 0, 0, 0, 0, 0),
+    (2, 0, 4, 50, 3, 100, 0, 0, 0, 0, 0, 0), (3, 100, 4, 100, 4, 100, 0, 0, 0, 1, 0, 0), (50, 0, 6, 80, 4, 100, 0, 0, 0, 0, 0, 0), (3, 100, 30, 90, 3, 100, 0, 0, 0, 0, 0, 0), (1, 100, 1, 100, 60, 0, 0, 0, 0, 1, 0, 0),
+    (20, 0, 4, 100, 120, 0, 0, 0, 0, 0, 0, 0), (0, 0, 1, 100, 30, 0, 0, 0, 0, 0, 0, 0), (40, 0, 2, 100, 0, 0, 0, 0, 0, 0, 0, 0), (0, 0, 1, 100, 1, 100, 0, 0, 0, 0, 0, 0),
 )
 
 
-def grow(x: np.ndarray, y: np.ndarray, depth: int = 8):
+def grow(x: np.ndarray, y: np.ndarray, depth: int = 16):
     """A tree of (feature, threshold, low side, high side) with shares of label 1 as leaves, split by Gini gain."""
     share = float(y.mean())
     if depth == 0 or share in (0.0, 1.0):
@@ -102,12 +125,19 @@ def is_text(tree, features: tuple) -> bool:
 
 def hinted(attributes: str) -> bool:
     for m in _HINT.finditer(attributes):
-        names = set(_SPLIT.split(m[1].lower()))
-        if names & HINTS or "header" in names and names & OF_PAGE:
-            return True
+        for name in m[1].strip("\"'").lower().split():
+            parts = [x for x in _SPLIT.split(name) if x]
+            if not parts or (len(parts) > 1 and parts[0] in ABOUT):
+                continue
+            if HINTS.intersection(parts) or "header" in parts and OF_PAGE.intersection(parts):
+                return True
     return False
 
 
+def unseen(attributes: str) -> bool:
+    return bool(_UNSEEN.search(attributes) or _HIDDEN.search(_QUOTED.sub("", attributes)))
+
+
 def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]]:
     """(text, words, link percent, in article, never, hinted, in list, heading) of each flat block."""
     out, parts, linked = [], [], 0
@@ -176,7 +206,7 @@ def blocks(page: str) -> list[tuple[str, int, int, bool, bool, bool, bool, bool]
                 article, never, hint, listed, heading = stack[-1][1:] if stack else (False,) * 5
             is_article = name in ("article", "main") and not own
             hint = hint and not is_article  # a wrapper may be named after a part of it
-            never = never or name in NEVER or (name == "header" and not article) or bool(_HIDDEN.search(m[4]))
+            never = never or name in NEVER or (name == "header" and not article) or unseen(m[4])
             opened[name] += 1
             stack.append((name, article or is_article, never, hint or (own and name not in ("body", "html")), listed or name in ("ul", "ol", "dl"), name in HEADINGS))
         state = stack[-1][1:] if stack else (False,) * 5
