@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F, types as T
 
-from freqemu.llm import chat, common, decontaminate, language, licences, media, mixing, neardup, pages, quality, registry, suffix_tree
+from freqemu.llm import chat, common, decontaminate, jpeg, language, licences, media, mixing, neardup, pages, quality, registry, suffix_tree
 from tests.oracle import compare
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -277,6 +277,43 @@ def test_pages_other_layouts():
     assert pages.main_text("<article><nav>menu</nav><p>kept words</p><div class='share-box'>no</div></article>") == "kept words"
 
 
+def test_pages_without_an_article_element_keep_their_text():
+    kept = lambda page: pages.main_text(page).split("\n\n")
+    twelve = "One two three four five six seven eight nine ten eleven twelve."
+    assert pages.main_text(f"<div class=post><p>{twelve}</p></div><div class=share>3</div>") == twelve
+    story = "<div><p>" + "word " * 60 + f"</p><p>{twelve}</p><p>The end.</p></div><div class=comments><p>" + "reader " * 40 + "</p></div>"
+    assert kept(story)[1:] == [twelve, "The end."]
+    menu = "<div><a href=/>Home</a></div><div>|</div><div><a href=/n>News</a></div><div>|</div><div><a href=/s>Sport</a></div>"
+    assert kept(f"{menu}<h2>Head</h2><div>{twelve}</div><div>Short.</div>{menu}") == ["Head", twelve, "Short."]
+    linked = "<a href=/r>Read the full report of the committee here today</a>"
+    assert kept(f"<article><p>{twelve}</p><p>{linked}</p><p>{twelve}</p></article>") == [twelve, "Read the full report of the committee here today", twelve]
+    assert kept(f"<article><p>{twelve}</p><p>{linked}</p><p>{linked}</p><p>{linked}</p></article>") == [twelve]
+    for wrapper in ("content has-sidebar", "post no-comments", "post category-advertising tag-social", "entry"):
+        assert pages.main_text(f"<div class='{wrapper}'><p>{twelve}</p></div>") == twelve
+        assert pages.main_text(f"<article class='{wrapper}'><p>{twelve}</p></article>") == twelve
+    assert pages.main_text(f"<p title='a hidden gem'>{twelve}</p><p hidden>no</p><div style='x; display: none'>no</div><p data-x=1 hidden=''>no</p>") == twelve
+    for wrapper in ("sidebar", "site-footer", "ad", "comment-list", "cookie-notice"):
+        assert pages.main_text(f"<div class='{wrapper}'><p>{twelve} {twelve}</p></div><p>{twelve}</p>") == twelve
+
+
+def test_pages_tree_uses_the_neighbours():
+    def features(tree):
+        return {tree[0], *features(tree[2]), *features(tree[3])} if isinstance(tree, tuple) else set()
+
+    used = features(pages.trained())
+    assert {1, 5} <= used  # link densities of the blocks before and behind
+    table = np.array(pages.LABELLED)
+    assert all(pages.is_text(pages.trained(), tuple(r[:-1])) == bool(r[-1]) for r in table)
+
+
+def test_pages_rows(spark):
+    rows = [(1, None), (1, ""), (None, "<p>some words</p>"), (2, "<p>some words</p>"), (2, "<p>some words</p>"), (3, "<p>" + "long " * 300_000)]
+    table = spark.createDataFrame(rows, "page_id long, html string").withColumn("Text", F.lit("mine"))
+    found = pages.extract(table).collect()
+    assert [r["n_chars"] for r in found] == [0, 0, 10, 10, 10, 1_499_999] and {r["Text"] for r in found} == {"mine"}
+    assert pages.extract(table.limit(0)).count() == 0
+
+
 # -- mixing -------------------------------------------------------------------------------------------------
 
 
@@ -336,10 +373,26 @@ def test_mixing_edges(spark):
     found = mixing.mix(odd)
     assert found.count() == 4 and found.agg(F.sum("taken")).first()[0] <= 6
     assert mixing.mix(odd.limit(0)).count() == 0
+    clash = odd.where("doc_id = 2").withColumn("_id", F.lit(1)).withColumn("_copy", F.lit(2)).withColumn("own", F.lit("x")).withColumn("copies", F.lit(9))
+    assert mixing.emitted(clash, mixing.mix(clash)).columns == clash.columns
+    long = odd.where("doc_id = 2").withColumn("text", F.repeat(F.lit("word "), 300_000))
+    assert mixing.mix(long).first()["size"] == 300_000
     zero = mixing.mix(odd.where("text = ''")).collect()
     assert {(r.taken, r.target) for r in zero} == {(0, 0.0)}
 
 
+def test_mixing_of_many_sources(spark):
+    """Targets by ranges of sources equal those of one pass, for a million sources without a task that sees them all."""
+    sizes = spark.range(1_000_000).select(F.concat(F.lit("s"), F.col("id")).alias("source"), (F.pmod(F.xxhash64("id"), F.lit(1000)) * F.when(F.col("id") % 1000 == 0, 500).otherwise(1)).alias("source_size"), F.lit(1).alias("n"))
+    found = mixing.targets(sizes).agg(F.sum("target").alias("t"), F.sum("source_size").alias("s"), F.max(F.col("target") - 3 * F.col("source_size")).alias("over"), F.count("*").alias("n")).first()
+    assert found.n == 1_000_000 and found.t == pytest.approx(found.s) and found.over <= 1e-6
+    few = spark.createDataFrame(sizes.limit(300).collect(), sizes.schema)
+    rows = sorted(mixing.targets(few, parts=7).collect(), key=lambda r: r.source)
+    expected = fill([r.source_size for r in rows], [1 + i % 3 for i in range(len(rows))])
+    assert [r.target for r in rows] == pytest.approx(expected)
+    assert mixing.targets(sizes.limit(0)).count() == 0
+
+
 # -- language model ---------------------------------------------------------------------------------------------
 
 
@@ -593,7 +646,10 @@ def test_media_round_trip(size):
     video = media.write_avi(np.frombuffer(padded, np.uint8).reshape(-1, 64))
     back, rows, frames = media.clips(video)
     assert back == padded
-    assert rows[0]["first_frame"] == 0 and rows[-1]["end_s"] == pytest.approx(len(frames) / media.FPS)
+    assert rows[0]["first_frame"] == 0 and rows[-1]["end_s"] == pytest.approx(frames / media.FPS)
+    places, _ = media.read_avi(video)
+    for start, n in places[:3]:  # the general decoder agrees
+        assert np.array_equal(jpeg.luma(video[start : start + n]), media.decode_frame(video[start : start + n]))
     assert all(a["end_s"] == b["start_s"] for a, b in zip(rows, rows[1:]))
     assert int.from_bytes(video[4:8], "little") == len(video) - 8
 
@@ -608,6 +664,163 @@ def test_media_codes_are_a_prefix_code():
     assert "1" * 9 not in listed
 
 
+def flat_table(symbols):
+    """A Huffman table whose codes all have 9 bits, and the code of each symbol."""
+    counts = [0] * 16
+    counts[8] = len(symbols)
+    return bytes(counts) + bytes(symbols), {x: (k, 9) for k, x in enumerate(symbols)}
+
+
+def baseline_jpeg(planes, sampling, quant, every=0, tables=True):
+    """A plain encoder of baseline frames; ``planes`` are whole blocks of each component."""
+    huff, codes = flat_table(range(255))
+    bits = []
+
+    def put(value, n):
+        bits.extend(value >> (n - 1 - k) & 1 for k in range(n))
+
+    def number(x):
+        size = abs(x).bit_length()
+        return size, (x if x > 0 else x + (1 << size) - 1)
+
+    cosines = jpeg._cosines()
+    units = (planes[0].shape[0] // (8 * sampling[0][1]), planes[0].shape[1] // (8 * sampling[0][0]))
+    body, last, unit, restart = b"", [0] * len(planes), 0, 0
+
+    def flush():
+        nonlocal bits
+        out = np.packbits(bits + [1] * (-len(bits) % 8)).tobytes().replace(b"\xff", b"\xff\x00")
+        bits = []
+        return out
+
+    for y in range(units[0]):
+        for x in range(units[1]):
+            if every and unit and unit % every == 0:
+                body += flush() + bytes([0xFF, 0xD0 + restart % 8])
+                restart, last = restart + 1, [0] * len(planes)
+            unit += 1
+            for c, (h, v) in enumerate(sampling):
+                for block in range(h * v):
+                    r, k = (y * v + block // h) * 8, (x * h + block % h) * 8
+                    f = np.rint(cosines.T @ (planes[c][r : r + 8, k : k + 8].astype(float) - 128) @ cosines / quant).astype(int).ravel()[jpeg.ZIGZAG]
+                    size, extra = number(int(f[0]) - last[c])
+                    last[c] = int(f[0])
+                    put(*codes[size])
+                    put(extra, size)
+                    run = 0
+                    for value in f[1:].tolist():
+                        if value == 0:
+                            run += 1
+                            continue
+                        while run > 15:
+                            put(*codes[0xF0])
+                            run -= 16
+                        size, extra = number(value)
+                        put(*codes[run << 4 | size])
+                        put(extra, size)
+                        run = 0
+                    if run:
+                        put(*codes[0])
+    body += flush()
+    seg = lambda m, b: bytes([0xFF, m]) + (len(b) + 2).to_bytes(2, "big") + b
+    n = len(planes)
+    out = b"\xff\xd8" + seg(0xE0, b"JFIF\0") + seg(0xDB, b"\0" + bytes(quant.ravel()[jpeg.ZIGZAG].astype(np.uint8)))
+    out += seg(0xC0, b"\x08" + planes[0].shape[0].to_bytes(2, "big") + planes[0].shape[1].to_bytes(2, "big") + bytes([n]) + b"".join(bytes([c, h << 4 | v, 0]) for c, (h, v) in enumerate(sampling)))
+    out += seg(0xC4, b"\0" + huff) + seg(0xC4, b"\x10" + huff)
+    out += seg(0xDD, every.to_bytes(2, "big")) if every else b""
+    return out + seg(0xDA, bytes([n]) + b"".join(bytes([c, 0]) for c in range(n)) + b"\0\x3f\0") + body + b"\xff\xd9"
+
+
+@pytest.mark.parametrize("every", [0, 2])
+@pytest.mark.parametrize("sampling", [[(1, 1)], [(1, 1), (1, 1), (1, 1)], [(2, 2), (1, 1), (1, 1)], [(2, 1), (1, 1), (1, 1)]])
+def test_baseline_frames_of_other_writers(sampling, every):
+    rng = np.random.default_rng(len(sampling) + every)
+    y, x = np.mgrid[0:32, 0:48]
+    top = np.clip(90 + 2 * x + y + rng.integers(-20, 20, (32, 48)), 0, 255).astype(np.uint8)
+    h, v = sampling[0]
+    planes = [top] + [np.clip(100 + x[:: v, ::h] + rng.integers(-5, 5, (32 // v, 48 // h)), 0, 255).astype(np.uint8) for _ in sampling[1:]]
+    found = jpeg.decode(baseline_jpeg(planes, sampling, np.full((8, 8), 2), every))
+    for c, (a, b) in enumerate(zip(planes, found)):
+        whole = a if c == 0 else np.repeat(np.repeat(a, v, axis=0), h, axis=1)
+        assert b.shape == (32, 48) and np.abs(whole.astype(int) - b).max() <= 6
+
+
+def test_tables_of_the_standard_are_whole():
+    for table, n in ((jpeg.DC_LUMA, 12), (jpeg.DC_CHROMA, 12), (jpeg.AC_LUMA, 162), (jpeg.AC_CHROMA, 162)):
+        symbols = list(table[16:])
+        assert len(symbols) == len(set(symbols)) == sum(table[:16]) == n
+        assert jpeg.lookup(table).count(0) in (1 << k for k in range(16))  # the code of ones alone is free
+        if n == 162:
+            assert set(symbols) == {0, 0xF0} | {r << 4 | x for r in range(16) for x in range(1, 11)}
+    assert jpeg.ZIGZAG[:10].tolist() == [0, 1, 8, 16, 9, 2, 3, 10, 17, 24] and sorted(jpeg.ZIGZAG) == list(range(64))
+
+
+def test_lossless_frames_of_other_writers():
+    """Any table and predictor: a plain encoder with another code."""
+    rng = np.random.default_rng(2)
+    x = rng.integers(0, 256, (9, 11)).astype(int)
+    huff, codes = flat_table(range(10))
+    for predictor in range(1, 8):
+        bits = []
+        for r in range(9):
+            for c in range(11):
+                a, b, d = x[r, c - 1], x[r - 1, c], x[r - 1, c - 1]
+                guess = 128 if r == c == 0 else a if r == 0 else b if c == 0 else (None, a, b, d, a + b - d, a + ((b - d) >> 1), b + ((a - d) >> 1), (a + b) >> 1)[predictor]
+                e = int(x[r, c] - guess)
+                size = abs(e).bit_length()
+                code, n = codes[size]
+                bits += [code >> (n - 1 - k) & 1 for k in range(n)] + [(e if e > 0 else e + (1 << size) - 1) >> (size - 1 - k) & 1 for k in range(size)]
+        body = np.packbits(bits + [1] * (-len(bits) % 8)).tobytes().replace(b"\xff", b"\xff\x00")
+        seg = lambda m, b: bytes([0xFF, m]) + (len(b) + 2).to_bytes(2, "big") + b
+        data = b"\xff\xd8" + seg(0xC3, bytes([8, 0, 9, 0, 11, 1, 1, 0x11, 0])) + seg(0xC4, b"\0" + huff) + seg(0xDA, bytes([1, 1, 0, predictor, 0, 0])) + body + b"\xff\xd9"
+        assert np.array_equal(jpeg.luma(data), x)
+
+
+def test_avi_of_another_writer():
+    """Baseline frames, another stream number, an index from the file's begin, a chunk of sound between."""
+    rng = np.random.default_rng(3)
+    scenes = [np.full((16, 16), 40)] * 4 + [np.full((16, 16), 200)] * 3
+    frames = [baseline_jpeg([(s + rng.integers(-3, 3, (16, 16))).astype(np.uint8)], [(1, 1)], np.ones((8, 8))) for s in scenes]
+    header = media._chunk(b"LIST", b"hdrl" + media._chunk(b"avih", (40_000).to_bytes(4, "little") + b"\0" * 52))
+    movie, index, start = b"movi", b"", 12 + len(header) + 8
+    for f in frames:
+        for kind, part in ((b"01wb", b"abc"), (b"02dc", f)):
+            index += kind + (16).to_bytes(4, "little") + (start + len(movie)).to_bytes(4, "little") + len(part).to_bytes(4, "little")
+            movie += media._chunk(kind, part)
+    body = b"AVI " + header + media._chunk(b"LIST", movie) + media._chunk(b"idx1", index)
+    samples, rows, n = media.clips(b"RIFF" + len(body).to_bytes(4, "little") + body)
+    assert n == 7 and [(r["first_frame"], r["frames"], r["start_s"], r["end_s"]) for r in rows] == [(0, 4, 0.0, 0.16), (4, 3, 0.16, 0.28)]
+    assert abs(np.frombuffer(samples, np.uint8)[:256].astype(int) - 40).max() <= 5
+
+
+@pytest.mark.parametrize("data", [b"", b"\xff\xd8", b"\xff\xd8\xff\xc0\x00\x02", b"\xff\xd8\xff\xc2\x00\x0b\x08\0\x10\0\x10\x01\x01\x11\0\xff\xd9", b"no frame at all"])
+def test_broken_frames(data):
+    with pytest.raises(ValueError):
+        media.decode_frame(data)
+
+
+def test_media_memory_is_bounded():
+    import tracemalloc
+
+    text = np.random.default_rng(0).integers(32, 127, 6 << 20, dtype=np.uint8).tobytes()
+    tracemalloc.start()
+    video = media.write_avi(np.frombuffer(media.payload(text), np.uint8).reshape(-1, 64))
+    found = media.Reading(video)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert found.sha256 == hashlib.sha256(text).hexdigest() and peak < 6 * len(text) + (80 << 20)
+    x = np.frombuffer(text, np.uint8)
+    assert found.moments() == pytest.approx((x.mean(), x.std()))
+
+
+def test_media_table_edges(spark):
+    rows = spark.createDataFrame([(None, "x"), (1, "x"), (1, "x")], "doc_id long, text string").withColumn("Media", F.lit("mine"))
+    video = media.to_video(rows)
+    assert video.columns == ["doc_id", "text", "Media", "media_"] and len({bytes(r[3]) for r in video.collect()}) == 1
+    assert len({r[3:] for r in map(tuple, media.digests(rows).collect())}) == 1
+    assert media.digests(rows.limit(0)).count() == 0 and media.clip_rows(media.to_video(rows.limit(0), keep=["doc_id"])).count() == 0
+
+
 def test_media_shots():
     rng = np.random.default_rng(0)
     scene = lambda low, high, n: [rng.integers(low, high, (16, 64), dtype=np.uint8) for _ in range(n)]
@@ -664,6 +877,30 @@ def test_preferences(spark):
     assert chat.format_preferences(turns.limit(0)).count() == 0
 
 
+def test_preferences_of_one_large_group_with_sparse_ids(spark):
+    rng = random.Random(2)
+    ids = list({rng.getrandbits(63) - 2**62 for _ in range(3000)})
+    rows = [(c, 0, "user", "hi" if k % 10 else f"other {k % 3}") for k, c in enumerate(ids)]
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(5)
+    expected, groups = {}, defaultdict(list)
+    for c, _, _, t in rows:
+        groups[t].append(c)
+    for own in groups.values():
+        own.sort()
+        expected |= dict(zip(own, [*own[1:], None]))
+    keys = chat.paired(chat.gathered(turns))
+    assert {r.chosen_id: r.rejected_id for r in keys.collect()} == expected
+
+
+def test_preferences_with_repeated_turns_and_clashing_columns(spark):
+    rows = [(1, 0, "user", "hi"), (1, 0, "user", "hi"), (1, 0, "user", "a"), (1, 1, "assistant", "x" * 300_000), (2, 0, "user", "a"), (2, 0, "assistant", "b")]
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("chosen", F.lit(1)).withColumn("run", F.lit(2))
+    found = {r.chosen_id: r for r in chat.format_preferences(turns).collect()}
+    assert found[1].n_prompt == 3 and found[1].prompt.count("hi") == 2 and found[1].prompt.index("\na<") < found[1].prompt.index("\nhi<")
+    assert len(found[1].chosen_segments) == 3 and len(found[1].chosen_segments[1].text) > 300_000
+    assert found[2].rejected_id is None and found[2].n_prompt == 0
+
+
 # -- pipeline ----------------------------------------------------------------------------------------------------------------
 
 
