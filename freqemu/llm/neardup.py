@@ -18,8 +18,8 @@ members of a shingle's main component only with the others. Components come from
 large-star and small-star steps over a links table, checkpointed in the shared folder.
 
 Hot keys: a class with many pairs meets them in shares of SHARE, each with the class's set
-once; keys of many rows (at most 1 / HEAVY of them can have so many) are looked up in a
-broadcast, all others by a shuffle of keys whose groups are that small.
+once; keys of the links table with many rows (at most HEAVY keys can have so many) are looked up
+in a broadcast, all others by a shuffle of keys whose groups are that small.
 
 Edge cases: a null or word-less text has an empty set and links with nothing; a document
 shorter than the shingle is one shingle; rows that repeat a doc_id are one document that
@@ -44,6 +44,8 @@ BROADCAST_IDS = 400_000
 SHARE = 256
 #: Keys with more than LIGHT rows and more than one in HEAVY of all rows are looked up by broadcast: at most HEAVY keys.
 LIGHT, HEAVY = 512, 50_000
+#: Rows up to which a whole table is looked up by broadcast (24 bytes each).
+FEW_ROWS = 200_000
 
 
 def permutations(count: int) -> tuple[np.ndarray, np.ndarray]:
@@ -123,6 +125,8 @@ def looked_up(rows: DataFrame, table: DataFrame, key: str, size: str, total: int
 
     ``table`` has one row a key; sizes of all keys sum to ``total`` at most.
     """
+    if total <= FEW_ROWS:
+        return rows.join(F.broadcast(table), key)
     many = max(LIGHT, total // HEAVY)
     heavy, light = table.where(F.col(size) > many), table.where(F.col(size) <= many)
     return rows.join(F.broadcast(heavy), key).unionByName(rows.join(F.broadcast(heavy.select(key)), key, "left_anti").join(light, key))
@@ -143,7 +147,7 @@ def _across(sets: DataFrame, members: DataFrame, percent: int) -> DataFrame:
     listed = annotate(sets.join(members, "id"), ["set"], [("shingles", T.ArrayType(T.LongType()))], start, keep=["id", "component"])
     tokens = cut(listed.select("id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("token")))
     common = tokens.groupBy("token").agg(F.count("*").alias("f")).where("f > 1")
-    shared = looked_up(tokens, common, "token", "f", tokens.count())
+    shared = tokens.join(common, "token")  # slim rows, a row of counts a token: a hot one is split by AQE's skew join
     by = W.partitionBy("id", "component", "n").orderBy("f", "token")
     placed = shared.withColumn("k", F.row_number().over(by)).withColumn("all", F.count("*").over(W.partitionBy("id", "component", "n")))
     first = placed.withColumn("at", F.col("n") - F.col("all") + F.col("k")).where(f"100 * (n - at + 1) >= {percent} * n").select("id", "component", "n", "token", "at")
@@ -151,7 +155,7 @@ def _across(sets: DataFrame, members: DataFrame, percent: int) -> DataFrame:
     step = float(np.log(100 / percent)) if percent < 100 else 1e-9
     first = cut(first.withColumn("span", F.floor(F.log("n") / step + 1e-9).cast("long")))
     groups = first.groupBy("token", "component").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("component", F.struct("c", "component")).alias("main"), F.sum("c").alias("rows"), F.count("*").alias("kinds"))
-    mixed = cut(looked_up(first, groups.where("kinds > 1").drop("kinds"), "token", "rows", first.count()))
+    mixed = cut(first.join(groups.where("kinds > 1").drop("kinds"), "token"))
     # the others of a token meet all its rows; a token's rows are dealt over shares
     shares = (F.col("rows") / LIGHT).cast("int") + 1
     q = mixed.withColumn("share", F.pmod(F.xxhash64("id"), shares).cast("int")).alias("q")
@@ -171,19 +175,16 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     over shares of about SHARE; each share is one run of rows, the hub's set first, so it
     is sent once for a share and not once for a pair.
     """
-    n = F.count("*").alias("n")
-    degree = cut(pairs.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(n))
-    # ends with few pairs need no count
-    many = degree.where(F.col("n") > SHARE)
-    total = pairs.count()
-    sized = pairs.withColumn("na", F.lit(1)).withColumn("nb", F.lit(1))
-    if not many.isEmpty():
-        both = pairs
-        for end in ("a", "b"):
-            side = many.select(F.col("id").alias(end), F.col("n").alias(f"n{end}"))
-            few = total <= SHARE * BROADCAST_IDS  # so many ends have more than SHARE pairs at most
-            both = both.join(F.broadcast(side) if few else side, end, "left")
-        sized = both.select("a", "b", F.coalesce("na", F.lit(1)).alias("na"), F.coalesce("nb", F.lit(1)).alias("nb"))
+    degree = pairs.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n"))
+    many = cut(degree.where(F.col("n") > SHARE))  # ends with fewer pairs need no count
+    few = many.count()
+    sized = pairs
+    for end in ("a", "b"):
+        side = many.select(F.col("id").alias(end), F.col("n").alias(f"n{end}"))
+        if few:
+            sized = sized.join(F.broadcast(side) if few <= FEW_ROWS else side, end, "left").withColumn(f"n{end}", F.coalesce(f"n{end}", F.lit(1)))
+        else:
+            sized = sized.withColumn(f"n{end}", F.lit(1))
     swap = F.col("nb") > F.col("na")
     dealt = cut(sized.select(
         F.when(swap, F.col("b")).otherwise(F.col("a")).alias("hub"), F.when(swap, F.col("a")).otherwise(F.col("b")).alias("id"),
