@@ -7,7 +7,8 @@ language's share when losses are turned into weights, and a result is ambiguous
 score is under ``AMBIGUOUS``.
 
 Training reads at most about PER_LANGUAGE documents of each language (all of them if
-there are fewer), chosen by a hash of the id; prediction reads whole texts.
+there are fewer), and at most about TRAINING of all languages together, chosen by a hash of
+the id; prediction reads whole texts.
 
 Edge cases: null texts and texts without a letter are ``und`` with score 0; with no
 training rows every document is ``und``; with one language every text with a letter is in
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from .common import annotate, held_out, learnable
 
-PER_LANGUAGE = 400
+PER_LANGUAGE, TRAINING = 400, 8000
 TRIGRAMS, BIGRAMS = 4096, 1024
 AMBIGUOUS = 0.6
 UNKNOWN = "und"
@@ -112,7 +113,8 @@ def train(docs: DataFrame, id_col: str, text: str, lang: str, per_language: int
     names = [k for k, _ in counts]
     if len(names) == 1:
         return {"names": names}
-    part = F.create_map(*[F.lit(v) for k, n in counts for v in (k, min(1.0, per_language / n))])
+    each = min(per_language, max(1, TRAINING // len(names)))
+    part = F.create_map(*[F.lit(v) for k, n in counts for v in (k, min(1.0, each / n))])
     u = F.pmod(F.xxhash64("id", F.lit("language")), F.lit(1 << 20)) / float(1 << 20)
 
     def start():

@@ -16,7 +16,6 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
-from ..plans.lineage import cut
 from .common import SPACED, annotate, free_names, held_out, learnable
 
 TRAINING = 6000
@@ -151,28 +150,27 @@ def compiled(model: tuple[float, list[tuple[tuple, float]]], names=STATISTICS) -
     return F.lit(1.0) / (F.lit(1.0) + F.exp(-total))
 
 
-def train(measured: DataFrame, labels: DataFrame, id_col: str = "doc_id", label: str = "quality", training: int = TRAINING):
-    """The model, from statistics of documents whose id's hash leaves them to learning."""
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", label: str = "quality", training: int = TRAINING, text: str = "text"):
+    """The model, from texts of documents whose id's hash leaves them to learning; rows that repeat count as often."""
     known = labels.select(F.col(id_col).alias("_id"), F.col(label).cast("int").alias("_y")).where(learnable(F.col("_id"), 4, 2) & F.col("_y").isin(0, 1))
     n = known.count()
     u = F.pmod(F.xxhash64("_id", F.lit("quality")), F.lit(1 << 20))
     chosen = known.where(u < int((1 << 20) * min(1.0, training / max(1, n)))).distinct()
-    rows = measured.join(F.broadcast(chosen), F.col(id_col) == F.col("_id")).select("_id", "_y", *STATISTICS)
+    rows = docs.select(F.col(id_col).alias("_id"), F.col(text).alias("_text")).join(F.broadcast(chosen), "_id")
+    rows = with_statistics(rows, "_text", keep=["_id", "_y"])
     data = rows.toArrow().to_pandas().sort_values(["_id", "_y", *STATISTICS], kind="stable")
     return fit_rules(data[list(STATISTICS)].to_numpy(float), data["_y"].to_numpy(float))
 
 
 def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", keep=None) -> DataFrame:
-    """Rows of ``docs`` with score and predicted (1 from THRESHOLD on)."""
+    """Rows of ``docs`` with score and predicted (1 from THRESHOLD on).
+
+    Only the bounded sample of labelled documents is measured for training; then every text once.
+    """
     kept = list(docs.columns) if keep is None else list(keep)
-    measured = cut(with_statistics(docs.select(F.col(id_col).alias("_doc"), F.col(text).alias("_text")), "_text", keep=["_doc"]))
-    model = train(measured.withColumnRenamed("_doc", id_col), labels, id_col)
-    if kept == [id_col]:
-        rows = measured.withColumnRenamed("_doc", id_col)
-        names = STATISTICS
-    else:
-        rows = with_statistics(docs, text, keep=kept)
-        names = rows.columns[len(kept):]
+    model = train(docs, labels, id_col, text=text)
+    rows = with_statistics(docs, text, keep=kept)
+    names = rows.columns[len(kept):]
     out = rows.withColumn(names[0], compiled(model, names))
     score, predicted = free_names(["score", "predicted"], kept)
     return out.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{names[0]}`").alias(score), (F.col(f"`{names[0]}`") >= THRESHOLD).cast("int").alias(predicted))
