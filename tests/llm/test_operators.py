@@ -237,6 +237,41 @@ def test_language_edges(spark):
     assert {r.lang_pred for r in language.identify(docs.where("doc_id < 80"), only).collect()} == {"de"}
 
 
+def test_grams_and_decoding_against_brute_force():
+    texts = [b"", b"a", b"Ab", b"the cat", "é日本".encode(), None]
+    found = language.grams(texts)
+    for row, t in zip(found, texts):
+        count = Counter()
+        b = b" " + t.lower() + b" " if t else b""
+        for k in range(len(b) - 1):
+            pair = b[k] * 257 + b[k + 1]
+            count[language.TRIGRAMS + (pair * 2246822519 % 2**32 >> 22)] += 1
+            if k + 2 < len(b):
+                count[(pair * 2654435761 + b[k + 2] * 40503 * 65537) % 2**32 >> 20] += 1
+        norm = math.sqrt(sum(count.values())) or 1
+        assert {int(k): float(row[k]) for k in np.flatnonzero(row)} == pytest.approx({k: math.sqrt(n) / norm for k, n in count.items()}, abs=1e-6)
+    rng = np.random.default_rng(1)
+    code, weight = language.codewords(4), np.array([1.0, 2.0, 0.5, 1.0, 0.3, 1.5, 0.7])
+    margin = rng.normal(size=(30, code.shape[1]))
+    pick, score = language.decode(margin, code, weight[: code.shape[1]])
+    for m, p, s in zip(margin, pick, score):
+        loss = [sum(w * math.log1p(math.exp(-c * x)) for w, c, x in zip(weight, row, m)) for row in code.tolist()]
+        assert p == loss.index(min(loss)) and s == pytest.approx(1 / sum(math.exp(min(loss) - x) for x in loss), rel=1e-5)
+
+
+def test_binary_classifiers_reach_the_least_loss():
+    """The classifiers part what can be parted, and weigh down the bits they get wrong."""
+    rng = np.random.default_rng(3)
+    label = np.repeat(np.arange(3), 60)
+    x = np.abs(rng.normal(size=(180, 20))).astype(np.float32) * 0.05
+    x[np.arange(180), label] += 1
+    code = language.codewords(3)
+    w, b, weight = language.fit(x, label, code)
+    assert (((x @ w + b) > 0) == (code[label] > 0)).all() and np.allclose(weight, 1)
+    noisy = np.where(rng.random(180) < 0.3, 2, label)
+    assert language.fit(x, noisy, code)[2].std() > 0.01
+
+
 def test_codewords_stand_apart():
     for n in (2, 3, 4, 5, 9, 40):
         code = language.codewords(n)
@@ -621,6 +656,37 @@ def test_quality_edges(spark):
     assert quality.classify(docs.limit(0), good).count() == 0
 
 
+def slow_statistics(text):
+    raw, w = text.encode(), re.findall(r"[^\x20\x09-\x0D]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text))
+    if not raw:
+        return [0.0] * len(quality.STATISTICS)
+    n, size, count = max(1, len(w)), len(raw), Counter(w)
+    letter = lambda c: 65 <= c <= 90 or 97 <= c <= 122 or c >= 128
+    plain = lambda c: letter(c) or 48 <= c <= 57 or chr(c) in " \t\n\r\x0b\x0c.,;:'\"-!?()|"
+    lines = [x for x in raw.split(b"\n") if x.strip()]
+    return [
+        len(w), sum(len(x.encode()) for x in w) / n, len(count) / n, max(count.values(), default=0) / n, sum(a == b for a, b in zip(w, w[1:])) / n,
+        sum(65 <= c <= 90 for c in raw) / max(1, sum(map(letter, raw))), sum(48 <= c <= 57 for c in raw) / size, sum(not plain(c) for c in raw) / size, raw.count(b"|") / n, raw.count(b"!") / n,
+        raw.count(b".") / n, len(lines) / n, 1 - len(set(lines)) / max(1, len(lines)), max((len(x.encode()) for x in w), default=0), sum(c >= 128 for c in raw) / size,
+    ]
+
+
+def test_statistics_against_brute_force(spark):
+    texts = [t for t in ODD if t is not None] + ["A b!\nA b!\n\nc | d 12 #", "é\u00a0É x"]
+    for r, t in zip(quality.with_statistics(docs_of(spark, texts)).select(*quality.STATISTICS).collect(), texts):
+        assert list(r) == pytest.approx(slow_statistics(t), abs=1e-12), t[:30]
+
+
+def test_quality_ties_and_repeated_labels(spark):
+    docs = docs_of(spark, ["good words here. " * 9, "bad|bad|bad " * 9] * 60)
+    labels = spark.createDataFrame([(i, 1 - i % 2) for i in range(120)] * 2 + [(0, 0), (7, 5)], "doc_id long, quality int")
+    rows = {r.doc_id: r for r in quality.classify(docs, labels, keep=["doc_id"]).collect()}
+    assert len(rows) == 120 and all(rows[i].score > rows[1].score for i in range(0, 120, 2))
+    assert len({rows[i].score for i in range(0, 120, 2)}) == 1
+    again = {r.doc_id: r.score for r in quality.classify(docs.repartition(7), labels.repartition(3), keep=["doc_id"]).collect()}
+    assert again == pytest.approx({i: r.score for i, r in rows.items()})
+
+
 def test_rules_and_columns_agree(spark):
     rng = np.random.default_rng(0)
     x = rng.normal(size=(500, len(quality.STATISTICS)))
@@ -917,6 +983,25 @@ def test_language_stage_keeps_short_texts(spark, data):
     assert few and {r.doc_id for r in few} <= kept
 
 
+@pytest.mark.parametrize("which", range(5))
+def test_pipeline_stages_on_odd_tables(spark, data, which):
+    """Null in every column, an empty table, columns with names that stages compute, repeated rows."""
+    import corpus_pipeline as P
+
+    d = data
+    name, stage = P.STAGES[which]
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    odd = spark.createDataFrame([(None, None, None, None, None), (10**9, None, "en", "s", 0), (10**9 + 1, "", None, None, None), (None, "Some words of a text.", None, None, None), (None, "Some words of a text.", None, None, None)], docs.schema)
+    wide = docs.unionByName(odd).withColumn("score", F.lit("mine")).withColumn("gone", F.lit(1)).withColumn("n_words", F.lit(2))
+    found = stage(spark, wide, d)
+    kept = found.collect()
+    assert len(kept) <= wide.count() and stage(spark, wide.limit(0), d).count() == 0
+    if name != "mixing":
+        assert found.columns == wide.columns and {r["score"] for r in kept} == {"mine"}
+    else:
+        assert len(kept) == wide.count()
+
+
 def test_pipeline_stages(spark, data):
     import corpus_pipeline as P
 
