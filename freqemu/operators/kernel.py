@@ -15,11 +15,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.frequency import FrequencyFunction
 from .advice import cut_sketch
 
+#: Rows of advice that may be broadcast to the tasks.
+MOST_ADVICE = 2_000_000
 SCHEMA = "key string, w double, advice double, h double, fa double, r double"
 
 
@@ -28,71 +31,89 @@ def unit_seed_of(key: str, salt: str) -> float:
 
 
 class PartialSketch:
-    """The state of one task. ``f`` maps advice to its weight."""
+    """The state of one task, as columns; keys come in batches that hold each key once. ``f`` maps advice to its weight."""
 
-    def __init__(self, kh: int, kp: int, ku: int, f, scheme: str, salt: str, slack: int = 4096):
+    def __init__(self, kh: int, kp: int, ku: int, f, scheme: str, salt: str, slack: int = 65536):
         self.kh, self.kp, self.ku, self.f, self.scheme, self.salt = kh, kp, ku, f, scheme, salt
         self.full = 2 * (kh + kp + ku) + slack
-        self.rows: dict[str, list] = {}
-        self.bar_h = self.bar_r = math.inf
-        self.bar_a = -math.inf
-
-    def add(self, key: str, value: float, advice: float) -> None:
-        row = self.rows.get(key)
-        if row is not None:
-            row[0] += value
-            return
-        u = unit_seed_of(key, self.salt)
-        h = -math.log1p(-u) if self.scheme == "ppswor" else u
-        fa = self.f(advice) if advice > 0 else 0.0
-        r = h / fa if fa > 0 else math.inf
-        if h > self.bar_h and r > self.bar_r and advice < self.bar_a:
-            return  # beaten in all three parts already
-        self.rows[key] = [value, advice, h, fa, r]
+        self.rows = pa.table({"key": pa.array([], pa.string()), **{c: pa.array([], pa.float64()) for c in ("w", "advice", "u")}})
+        self.bars = (math.inf, math.inf, -math.inf)
+
+    def add(self, keys: pa.Array, values: np.ndarray, advice: np.ndarray) -> None:
+        u = np.fromiter((unit_seed_of(x, self.salt) for x in keys.to_pylist()), float, len(keys))
+        h, _, r = self._ranks(advice, u)
+        bar_h, bar_r, bar_a = self.bars  # beaten in all three parts already: never in the sketch
+        on = (h <= bar_h) | (r <= bar_r) | (advice >= bar_a)
+        new = pa.table({"key": keys.cast(pa.string()), "w": values, "advice": advice, "u": u}).filter(pa.array(on))
+        self.rows = pa.concat_tables([self.rows, new])
         if len(self.rows) >= self.full:
             self.cut()
 
-    def cut(self) -> None:
-        keys = list(self.rows)
-        by_advice = sorted(keys, key=lambda x: (-self.rows[x][1], self.rows[x][2], x))
-        top, rest = by_advice[: self.kh], by_advice[self.kh :]
-        by_h = sorted(rest, key=lambda x: (self.rows[x][2], x))[: self.ku]
-        by_r = sorted((x for x in rest if self.rows[x][4] < math.inf), key=lambda x: (self.rows[x][4], x))[: self.kp]
-        if self.kh and len(top) == self.kh:
-            self.bar_a = self.rows[top[-1]][1]
-        if len(by_h) == self.ku:
-            self.bar_h = self.rows[by_h[-1]][2] if self.ku else -math.inf
-        if len(by_r) == self.kp:
-            self.bar_r = self.rows[by_r[-1]][4] if self.kp else -math.inf
-        if self.kh == 0:
-            self.bar_a = math.inf
-        self.rows = {x: self.rows[x] for x in {*top, *by_h, *by_r}}
-
-
-def partial_sketches(elements: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s") -> DataFrame:
-    """At most k_h + k_p + k_u rows for each partition of ``elements`` (key, value, advice). f must be a moment."""
+    def _ranks(self, advice: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        h = -np.log1p(-u) if self.scheme == "ppswor" else u
+        fa = np.where(advice > 0, self.f(np.where(advice > 0, advice, 1.0)), 0.0)
+        return h, fa, np.where(fa > 0, h / np.where(fa > 0, fa, 1.0), math.inf)
+
+    def cut(self) -> tuple[pa.Table, np.ndarray, np.ndarray, np.ndarray]:
+        """Sums the rows by key and keeps the sketch of what the task has seen: (rows, h, fa, r)."""
+        t = self.rows.group_by("key").aggregate([("w", "sum"), ("advice", "max"), ("u", "min")]).rename_columns(["key", "w", "advice", "u"]).sort_by("key")
+        advice, u = t.column("advice").to_numpy(), t.column("u").to_numpy()
+        h, fa, r = self._ranks(advice, u)
+        order = np.lexsort((h, -advice))  # rows are in order of keys, and the sort is stable
+        top, rest = order[: self.kh], np.sort(order[self.kh :])
+        by_h = rest[np.argsort(h[rest], kind="stable")[: self.ku]]
+        some = rest[r[rest] < math.inf]
+        by_r = some[np.argsort(r[some], kind="stable")[: self.kp]]
+        self.bars = (
+            (h[by_h[-1]] if self.ku else -math.inf) if len(by_h) == self.ku else math.inf,
+            (r[by_r[-1]] if self.kp else -math.inf) if len(by_r) == self.kp else math.inf,
+            (advice[top[-1]] if len(top) == self.kh else -math.inf) if self.kh else math.inf,
+        )
+        kept = np.unique(np.concatenate([top, by_h, by_r]))
+        self.rows = t.take(pa.array(kept))
+        return self.rows, h[kept], fa[kept], r[kept]
+
+
+def partial_sketches(elements: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s", advice: DataFrame | None = None) -> DataFrame:
+    """At most k_h + k_p + k_u rows for each partition of ``elements`` (key, value, advice). f must be a moment.
+
+    With ``advice`` (key, advice), a table of a checked size, elements have none of their own:
+    it is broadcast to the tasks, and keys outside it have advice 0.
+    """
     p = f.exponent
     if p is None:
         raise ValueError("the kernel computes moments only")
+    held = None
+    if advice is not None:
+        table = advice.select("key", F.col("advice").cast("double").alias("advice")).limit(MOST_ADVICE + 1).toArrow()
+        if len(table) > MOST_ADVICE:
+            raise ValueError("too much advice to broadcast: join it to the elements")
+        held = elements.sparkSession.sparkContext.broadcast((table.column("key").combine_chunks(), table.column("advice").to_numpy()))
+
+    def weight(a: np.ndarray) -> np.ndarray:
+        return np.prod([a] * int(p), axis=0) if p in (1, 2, 3, 4) else a**p
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        state = PartialSketch(kh, kp, ku, lambda a: math.prod([a] * int(p)) if p in (1, 2, 3, 4) else a**p, scheme, salt)
+        state = PartialSketch(kh, kp, ku, weight, scheme, salt)
         for b in batches:
             # elements of one batch are summed by key first, in Arrow
             t = pa.Table.from_batches([b]).group_by("key").aggregate([("value", "sum"), ("advice", "max")])
-            for key, value, advice in zip(t.column("key").to_pylist(), t.column("value_sum").to_pylist(), t.column("advice_max").to_pylist()):
-                state.add(key, value, advice)
-        state.cut()
-        keys = list(state.rows)
-        cols = np.array([state.rows[x] for x in keys], float).reshape(len(keys), 5)
-        r = [None if x == math.inf else x for x in cols[:, 4].tolist()]
-        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.string()), *[pa.array(cols[:, i]) for i in range(4)], pa.array(r, pa.float64())], names=["key", "w", "advice", "h", "fa", "r"])
-
-    return elements.select("key", F.col("value").cast("double").alias("value"), F.col("advice").cast("double").alias("advice")).mapInArrow(run, SCHEMA)
-
-
-def kernel_sketch(elements: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s") -> DataFrame:
-    """As ``advice.advice_sketch``, for elements that carry their advice."""
-    parts = partial_sketches(elements, f, kh, kp, ku, scheme, salt)
+            keys, given = t.column("key").combine_chunks(), t.column("advice_max").to_numpy()
+            if held is not None:
+                known, values = held.value
+                at = pc.index_in(keys, value_set=known)
+                given = np.where(at.is_valid().to_numpy(zero_copy_only=False), np.append(values, 0.0)[pc.fill_null(at, len(values)).to_numpy()], 0.0)
+            state.add(keys, t.column("value_sum").to_numpy(), given)
+        rows, h, fa, r = state.cut()
+        cols = [rows.column(c).combine_chunks() for c in ("key", "w", "advice")]
+        yield pa.RecordBatch.from_arrays([*cols, pa.array(h), pa.array(fa), pa.array(r, mask=np.isinf(r))], names=["key", "w", "advice", "h", "fa", "r"])
+
+    own = F.lit(0.0) if held is not None else F.col("advice").cast("double")
+    return elements.select("key", F.col("value").cast("double").alias("value"), own.alias("advice")).mapInArrow(run, SCHEMA)
+
+
+def kernel_sketch(elements: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s", advice: DataFrame | None = None) -> DataFrame:
+    """As ``advice.advice_sketch``: elements carry their advice, or ``advice`` is a table of a checked size."""
+    parts = partial_sketches(elements, f, kh, kp, ku, scheme, salt, advice)
     merged = parts.groupBy("key").agg(F.sum("w").alias("w"), *[F.first(c).alias(c) for c in ("advice", "h", "fa", "r")])
     return cut_sketch(merged, kh, kp, ku)

@@ -11,7 +11,10 @@ from ..functions.seeds import draw
 from ..operators import advice as A
 from ..operators.exact import frequencies
 from ..operators.overhead import family_overhead
+from .lineage import cut
 
+#: Keys of advice that may be broadcast once they passed the bars.
+FEW_PASSING = 500_000
 #: Keys up to which the aggregation of all keys is the plain way.
 FEW_KEYS = 20_000_000
 
@@ -42,25 +45,36 @@ def bars(part: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, schem
     return a, r, h
 
 
-def prefiltered_sketch(elements: DataFrame, part: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s") -> DataFrame:
-    """The sketch of ``elements`` (key, value, advice) after a filter that drops keys which cannot enter.
+def prefiltered_sketch(elements: DataFrame, part: DataFrame, advice: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, scheme: str = "ppswor", salt: str = "s") -> DataFrame:
+    """The sketch of ``elements`` (key, value) after a filter that drops keys which cannot enter.
 
-    ``part`` is any subset of the elements (a few files). The filter is plain columns below
-    the aggregation, so almost all elements go on the map side.
+    ``part`` is any subset of the elements (a few files), ``advice`` (key, advice) the
+    predictions. The bars come from the part; keys of advice that pass them are few and are
+    broadcast if their number allows it. All other keys can only enter by their own draw,
+    which is a plain column of the scan: no element is shuffled before the filter.
     """
-    a, r, h = bars(part, f, kh, kp, ku, scheme, salt)
+    seen = part.select("key").distinct().join(advice, "key", "left").select("key", F.coalesce("advice", F.lit(0.0)).alias("advice"))
+    a, r, h = bars(cut(seen), f, kh, kp, ku, scheme, salt)
     draw_ = draw(F.col("key"), salt, scheme)
     fa = F.when(F.col("advice") > 0, f("advice")).otherwise(0.0)
-    keep = F.lit(False)
+    by_advice = F.lit(False)
     if kh:
-        keep = keep | (F.lit(True) if a is None else F.col("advice") >= a)
+        by_advice = by_advice | (F.lit(True) if a is None else F.col("advice") >= a)
     if kp:
-        keep = keep | ((fa > 0) & (F.lit(True) if r is None else draw_ <= fa * (r * (1 + 1e-12))))
+        by_advice = by_advice | ((fa > 0) & (F.lit(True) if r is None else draw_ <= fa * (r * (1 + 1e-12))))
     if ku:
+        by_advice = by_advice | (F.lit(True) if h is None else draw_ <= h * (1 + 1e-12))
+    passing = cut(advice.where(by_advice).select("key", F.col("advice").alias("_advice")))
+    side = F.broadcast(passing) if passing.limit(FEW_PASSING + 1).count() <= FEW_PASSING else passing
+    rows = elements.join(side, "key", "left")
+    keep = F.col("_advice").isNotNull()
+    if kh and (a is None or a <= 0):
+        keep = F.lit(True)
+    elif ku:
         keep = keep | (F.lit(True) if h is None else draw_ <= h * (1 + 1e-12))
-    kept = elements.where(keep)
-    rows = kept.groupBy("key").agg(F.sum("value").alias("w"), F.max("advice").alias("advice"))
-    return A.cut_sketch(A.seeded(rows, f, scheme, salt), kh, kp, ku)
+    # a key with advice whose draw is under the bar passes too, so kept keys outside ``passing`` have no advice
+    found = rows.where(keep).groupBy("key").agg(F.sum("value").alias("w"), F.coalesce(F.max("_advice"), F.lit(0.0)).alias("advice"))
+    return A.cut_sketch(A.seeded(found, f, scheme, salt), kh, kp, ku)
 
 
 def sketch_plan(elements: DataFrame, sampled_share: float = 0.01) -> str:

@@ -133,14 +133,21 @@ def _merged(spark, d):
 
 _sketch("advice_sketch", "ppswor", lambda spark, d: _relational(spark, d, "ppswor"))
 _sketch("advice_sketch_priority", "priority", lambda spark, d: _relational(spark, d, "priority"))
-_sketch("advice_sketch_kernel", "ppswor", lambda spark, d: KN.kernel_sketch(_with_advice(spark, d).repartition(5), moment(3), KH, KP, KU))
+
+
+def _kernel(spark, d):
+    past, now = word_parts(spark, d)
+    return KN.kernel_sketch(now, moment(3), KH, KP, KU, advice=AM.past_frequency(past))
+
+
+_sketch("advice_sketch_kernel", "ppswor", _kernel)
 _sketch("advice_merge", "ppswor", _merged)
 
 
 def _prefiltered(spark, d):
-    e = _with_advice(spark, d)
-    part = e.where(F.pmod(F.crc32(F.col("key").cast("binary")), F.lit(4)) == 0)
-    return planner.prefiltered_sketch(e, part, moment(3), KH, KP, KU)
+    past, now = word_parts(spark, d)
+    part = tokens(load(spark, d, "documents").select("doc_id", "text").where("doc_id % 16 = 1"))  # some of the input; in files, a few of them
+    return planner.prefiltered_sketch(now, part, AM.past_frequency(past), moment(3), KH, KP, KU)
 
 
 _sketch("advice_sketch_prefiltered", "ppswor", _prefiltered)
@@ -155,7 +162,7 @@ def advice_top(spark, d):
 @query("advice_exact_counts", f"WITH {sketch_ctes(ROWS['words'], 'advice*advice*advice', KH, KP, KU, 'ppswor')} SELECT sk.key, CAST(f.w AS BIGINT) AS stored, CAST(f.w AS BIGINT) AS exact FROM sk JOIN ({_words(1)}) f ON f.key = sk.key")
 def advice_exact_counts(spark, d):
     _, now = word_parts(spark, d)
-    sk = KN.kernel_sketch(_with_advice(spark, d).repartition(7), moment(3), KH, KP, KU).select("key", F.col("w").alias("stored"))
+    sk = KN.kernel_sketch(_with_advice(spark, d), moment(3), KH, KP, KU).select("key", F.col("w").alias("stored"))
     exact = frequencies(now).withColumnRenamed("w", "exact")
     return exact.join(F.broadcast(sk), "key").select("key", F.col("stored").cast("bigint").alias("stored"), F.col("exact").cast("bigint").alias("exact"))
 

@@ -85,9 +85,9 @@ def filter_period(spark, d):
     return load(spark, d, "orders").where(between("o_orderdate", PAST, NOW)).select("o_orderkey")
 
 
-@query("filter_domain", "SELECT p_partkey FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_type, '^[A-Z]+ ') AND p_size IS NOT NULL AND NOT (p_size > 40 OR p_brand = 'Brand#11')")
+@query("filter_domain", "SELECT p_partkey FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_type, '^[A-Z]+$') AND p_size IS NOT NULL AND NOT (p_size > 40 OR p_brand = 'Brand#11')")
 def filter_domain(spark, d):
-    return load(spark, d, "part").where(F.col("p_name").like("%a%") & F.col("p_type").rlike("^[A-Z]+ ") & F.col("p_size").isNotNull() & ~((F.col("p_size") > 40) | (F.col("p_brand") == "Brand#11"))).select("p_partkey")
+    return load(spark, d, "part").where(F.col("p_name").like("%a%") & F.col("p_type").rlike("^[A-Z]+$") & F.col("p_size").isNotNull() & ~((F.col("p_size") > 40) | (F.col("p_brand") == "Brand#11"))).select("p_partkey")
 
 
 # -- joins ----------------------------------------------------------------------------------------------
@@ -438,10 +438,10 @@ def fn_json_out(spark, d):
 # -- subqueries, SQL surface, UDFs ---------------------------------------------------------------------
 
 
-@query("subq_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) * 2 FROM orders)")
+@query("subq_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) * 1.5 FROM orders)")
 def subq_scalar(spark, d):
     o = load(spark, d, "orders")
-    mean = o.agg((F.avg("o_totalprice") * 2).alias("m"))
+    mean = o.agg((F.avg("o_totalprice") * 1.5).alias("m"))
     return o.where(F.col("o_totalprice") > mean.scalar()).select("o_orderkey")
 
 

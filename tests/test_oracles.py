@@ -16,6 +16,11 @@ def test_query_without_sql_runs(spark, data, name):
     assert QUERIES[name](spark, data).limit(5).count() >= 0
 
 
+@pytest.mark.parametrize("name", ["subq_scalar", "filter_domain"])
+def test_filters_keep_some_rows(spark, data, name):
+    assert QUERIES[name](spark, data).count() > 0
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 

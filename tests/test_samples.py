@@ -2,6 +2,8 @@
 
 import random
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -130,7 +132,8 @@ def test_all_ways_to_a_sketch_agree(spark, seed):
 
     assert held(A.advice_sketch(e.select("key", "value"), a, f, kh, kp, ku)) == expected
     assert held(KN.kernel_sketch(e.repartition(3), f, kh, kp, ku)) == expected
-    assert held(planner.prefiltered_sketch(e, e.limit(20), f, kh, kp, ku)) == expected
+    assert held(KN.kernel_sketch(e.select("key", "value").repartition(3), f, kh, kp, ku, advice=a)) == expected
+    assert held(planner.prefiltered_sketch(e.select("key", "value"), e.limit(20), a, f, kh, kp, ku)) == expected
     parts = [A.advice_sketch(e.where(F.pmod(F.xxhash64("key", "value"), F.lit(3)) == i).select("key", "value"), a, f, kh, kp, ku) for i in range(3)]
     assert held(A.merge_advice(parts, kh, kp, ku)) == expected
     assert len(expected) <= kh + kp + ku
@@ -139,10 +142,22 @@ def test_all_ways_to_a_sketch_agree(spark, seed):
 def test_kernel_state_is_bounded():
     state = KN.PartialSketch(2, 8, 8, lambda a: a * a, "ppswor", "s", slack=20)
     most = 0
-    for i in range(20_000):
-        state.add(f"k{i}", 1.0, float(i % 7))
+    for i in range(0, 20_000, 50):
+        state.add(pa.array([f"k{j}" for j in range(i, i + 50)]), np.ones(50), np.arange(i, i + 50) % 7.0)
         most = max(most, len(state.rows))
     assert most <= state.full
+    assert len(state.cut()[0]) <= 18
+
+
+def test_no_element_is_shuffled_before_the_filter(spark):
+    """Up to the sums by key, plans of the two scale forms exchange no element: the join with passing advice is a broadcast."""
+    e = spark.range(20_000).select((F.col("id") % 3000).cast("string").alias("key"), F.lit(1.0).alias("value"))
+    a = spark.range(500).select(F.col("id").cast("string").alias("key"), (F.col("id") + 1).cast("double").alias("advice"))
+    for sk in (planner.prefiltered_sketch(e, e.limit(2000), a, moment(2), 2, 8, 8), KN.kernel_sketch(e, moment(2), 2, 8, 8, advice=a)):
+        plan = sk._jdf.queryExecution().sparkPlan().toString()
+        assert "SortMergeJoin" not in plan and "repartition" not in plan.lower()
+    below = planner.prefiltered_sketch(e, e.limit(2000), a, moment(2), 2, 8, 8)
+    assert {r.key: r.w for r in below.collect()} == {r.key: r.w for r in A.advice_sketch(e, a, moment(2), 2, 8, 8).collect()}
 
 
 @pytest.mark.parametrize("scheme", ["ppswor", "priority"])
