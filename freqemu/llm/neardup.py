@@ -23,7 +23,8 @@ in a broadcast, all others by a shuffle of keys whose groups are that small.
 
 Edge cases: a null or word-less text has an empty set and links with nothing; a document
 shorter than the shingle is one shingle; rows that repeat a doc_id are one document that
-is linked if any of its texts is; rows with a null id link with nothing and are kept.
+is linked if any of its texts is; rows with a null id link with nothing (``keep_one`` lets
+copies among them go).
 """
 
 from __future__ import annotations
@@ -287,12 +288,36 @@ def near_duplicates(
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
-    """Rows of ``docs`` whose id is the smallest of its group; rows with a null id stay."""
+    """One row of ``docs`` for each group: that of the smallest id; of its repeated rows the one with the smallest text.
+
+    Rows with a null id go if a row with an id has the same text; of equal texts among
+    them one stays. Those without a text all stay. Near copies under null ids stay too.
+    """
     found = near_duplicates(docs, id_col, text, width, percent)
     name = free_names(["gone"], docs.columns)[0]
     gone = cut(found.where("id <> component").select(F.col("id").alias(name)).distinct())
     side = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone
-    return docs.join(side, F.col(id_col) == F.col(name), "left_anti")
+    ident, body = F.col(f"`{id_col}`"), F.col(f"`{text}`")
+    out = docs.join(side, ident == F.col(name), "left_anti")
+    again = cut(out.where(ident.isNotNull()).groupBy(ident.alias(name)).count().where("count > 1").select(name))
+    many = again.count()
+    if many:
+        again = F.broadcast(again) if many <= BROADCAST_IDS else again
+        single = _least_row(out.join(again, ident == F.col(name), "left_semi"), ident, body)
+        out = out.join(again, ident == F.col(name), "left_anti").unionByName(single)
+    nameless = docs.where(ident.isNull())
+    if not nameless.isEmpty():
+        texts = docs.where(ident.isNotNull() & body.isNotNull()).select(body.alias(name))
+        fresh = _least_row(nameless.where(body.isNotNull()).join(texts, body == F.col(name), "left_anti"), F.sha2(body.cast("binary"), 256), body)
+        out = out.where(ident.isNotNull()).unionByName(nameless.where(body.isNull())).unionByName(fresh)
+    return out
+
+
+def _least_row(rows: DataFrame, group: Column, first: Column) -> DataFrame:
+    """One row of each ``group``, by ``first`` and a hash of the row; combined before the shuffle."""
+    every = [F.col(f"`{c}`") for c in rows.columns]
+    best = F.min_by(F.struct(*every), F.struct(first.alias("a"), F.xxhash64(*every).alias("b")))
+    return rows.groupBy(group.alias("_group")).agg(best.alias("_row")).select("_row.*")
 
 
 def op2_near_duplicates(spark, sf_dir):
