@@ -10,7 +10,7 @@ from ..functions.frequency import cap
 from ..functions.seeds import draw, inclusion
 from ..plans.lineage import cut
 from .bottomk import bottom_k, sample, seeded, strict, threshold_of, thresholds
-from .exact import histogram
+from .exact import ONE_TASK, histogram
 from .overhead import concave_weights
 
 
@@ -22,7 +22,19 @@ def concave_probabilities(freq: DataFrame) -> DataFrame:
     """(key, w, v, p): weight v and share p of the multi-objective scheme; equal frequencies have equal weights."""
     v = concave_weights(cut(histogram(freq))).select("w", "m", "v")
     total = v.agg(F.sum(F.col("m") * F.col("v")).alias("_all"))
-    return freq.join(v.select("w", "v"), "w").crossJoin(F.broadcast(total)).select("key", "w", "v", (F.col("v") / F.col("_all")).alias("p"))
+    return _looked_up(freq, v).crossJoin(F.broadcast(total)).select("key", "w", "v", (F.col("v") / F.col("_all")).alias("p"))
+
+
+def _looked_up(freq: DataFrame, v: DataFrame) -> DataFrame:
+    """``freq`` with the weight v of its frequency. Most keys share a few small frequencies, so
+    frequencies are broadcast: all of them, or the ONE_TASK that most keys have."""
+    each = v.select("w", "m", "v")
+    if each.count() <= ONE_TASK:
+        return freq.join(F.broadcast(each.drop("m")), "w")
+    least = each.orderBy(F.col("m").desc()).limit(ONE_TASK).agg(F.min("m")).first()[0]
+    common, rare = each.where(F.col("m") > least).drop("m"), each.where(F.col("m") <= least).drop("m")
+    found = freq.join(F.broadcast(common), "w", "left")
+    return found.where("v is not null").unionByName(found.where("v is null").drop("v").join(rare, "w").select("w", *[c for c in freq.columns if c != "w"], "v"))
 
 
 def concave_sample(freq: DataFrame, k: int, salt: str = "s", scheme: str = "ppswor") -> DataFrame:
@@ -30,14 +42,23 @@ def concave_sample(freq: DataFrame, k: int, salt: str = "s", scheme: str = "ppsw
     return strict(bottom_k(seeded(rows, F.col("v"), salt, scheme), k), k, scheme)
 
 
-def multi_cap_sample(freq: DataFrame, k: int, caps: Sequence[float], salt: str = "s", scheme: str = "ppswor") -> DataFrame:
+def cap_grid(freq: DataFrame, base: float = 4.0) -> list[float]:
+    """1, base, base^2, ... up to the first that no frequency exceeds."""
+    top = freq.agg(F.max("w")).first()[0]
+    grid = [1.0]
+    while top is not None and grid[-1] < top:
+        grid.append(grid[-1] * base)
+    return grid
+
+
+def multi_cap_sample(freq: DataFrame, k: int, caps: Sequence[float] | None = None, salt: str = "s", scheme: str = "ppswor") -> DataFrame:
     """Union of coordinated samples, one for each cap: (key, w, p_incl) with the largest of the samples' chances.
 
-    A mergeable stand-in for ``concave_sample``: the caps are a fixed geometric grid, so
-    the scheme asks for no rank. A key is in the union if it is in any sample, and as all
+    A mergeable stand-in for ``concave_sample``: the caps are a geometric grid over the range
+    of frequencies, so the scheme asks for no rank. A key is in the union if it is in any sample, and as all
     samples share its draw, its chance is the largest one.
     """
-    grid = F.explode(F.array(*[F.lit(float(t)) for t in caps]))
+    grid = F.explode(F.array(*[F.lit(float(t)) for t in caps or cap_grid(freq)]))
     rows = freq.select("key", "w", grid.alias("t")).withColumn("weight", F.least("w", "t"))
     rows = rows.withColumn("h", draw(F.col("key"), salt, scheme)).withColumn("seed", F.col("h") / F.col("weight"))
     window = W.partitionBy("t").orderBy("seed", "key")

@@ -42,28 +42,35 @@ def runs_of(freq: DataFrame, runs: int) -> DataFrame:
 
 
 def conditional_nrmse(freq: DataFrame, q: float, ks: Sequence[int], functions: Sequence[FrequencyFunction], runs: int = 50, scheme: str = "ppswor") -> DataFrame:
-    """(k, f, nrmse) of bottom-k samples by w^q.
+    """(k, f, nrmse) of bottom-k samples by w^q."""
+    return conditional_nrmse_by(freq, [q], ks, functions, runs, scheme).select("k", "f", "nrmse")
+
+
+def conditional_nrmse_by(freq: DataFrame, qs: Sequence[float], ks: Sequence[int], functions: Sequence[FrequencyFunction], runs: int = 50, scheme: str = "ppswor") -> DataFrame:
+    """(q, k, f, nrmse) of bottom-k samples by w^q for each q; they share their draws.
 
     Runs times keys are made twice, in flight: once to find each run's two thresholds for
     every k (a per-group limit of max(k) rows before the shuffle), once to add up.
     """
-    rows = runs_of(freq, runs).withColumn("weight", moment(q)("w"))
-    rows = rows.withColumn("seed", draw(F.col("key"), F.col("run"), scheme) / F.col("weight"))
-    window = W.partitionBy("run").orderBy("seed", "key")
-    low = rows.select("run", "key", "seed").withColumn("at", F.row_number().over(window)).where(F.col("at") <= max(ks))
-    at = lambda i: F.min(F.when(F.col("at") == i, F.col("seed")))
-    marks = low.groupBy("run").agg(*[c for k in ks for c in (at(k).alias(f"a{k}"), at(k - 1).alias(f"b{k}"))])
-    both = rows.join(F.broadcast(marks), "run")
-    return _summed(both, freq, ks, functions, runs, lambda k: inclusion(scheme, F.col("weight"), threshold_of(F.col("seed"), F.col(f"a{k}"), F.col(f"b{k}"), k)))
+    powers = list(enumerate(qs))
+    rows = runs_of(freq, runs).withColumn("h", draw(F.col("key"), F.col("run"), scheme))
+    seeds = F.inline(F.array(*[F.struct(F.lit(i).alias("i"), (F.col("h") / moment(q)("w")).alias("seed")) for i, q in powers]))
+    window = W.partitionBy("run", "i").orderBy("seed", "key")
+    low = rows.select("run", "key", seeds).withColumn("at", F.row_number().over(window)).where(F.col("at") <= max(ks))
+    at = lambda i, n: F.min(F.when((F.col("i") == i) & (F.col("at") == n), F.col("seed")))
+    marks = low.groupBy("run").agg(*[c for i, _ in powers for k in ks for c in (at(i, k).alias(f"a{i}_{k}"), at(i, k - 1).alias(f"b{i}_{k}"))])
+    truths = freq.agg(*[F.sum(f("w")).alias(f"t{j}") for j, f in enumerate(functions)])
+    both = rows.join(F.broadcast(marks), "run").crossJoin(F.broadcast(truths))
+    both = both.select("*", *[moment(q)("w").alias(f"x{i}") for i, q in powers], *[(f("w") / F.col(f"t{j}")).alias(f"s{j}") for j, f in enumerate(functions)])
 
+    def chance(i, k):
+        return inclusion(scheme, F.col(f"x{i}"), threshold_of(F.col("h") / F.col(f"x{i}"), F.col(f"a{i}_{k}"), F.col(f"b{i}_{k}"), k))
 
-def _summed(rows, freq, ks, functions, runs, chance_for) -> DataFrame:
-    """Sums f^2 (1/p - 1) over keys and runs, for all k and f in one aggregation; scaled by ||f||^2."""
-    truths = freq.agg(*[F.sum(f("w")).alias(f"t{j}") for j, f in enumerate(functions)])
-    rows = rows.crossJoin(F.broadcast(truths))
-    aggs = [F.sum((f("w") / F.col(f"t{j}")) * (f("w") / F.col(f"t{j}")) * (1 / chance_for(k) - 1)).alias(f"v{k}_{j}") for k in ks for j, f in enumerate(functions)]
-    each = F.array(*[F.struct(F.lit(int(k)).cast("bigint").alias("k"), F.lit(f.name).alias("f"), F.sqrt(F.col(f"v{k}_{j}") / runs).alias("nrmse")) for k in ks for j, f in enumerate(functions)])
-    return rows.agg(*aggs).select(F.inline(each))
+    both = both.select(*[f"s{j}" for j in range(len(functions))], *[(1 / chance(i, k) - 1).alias(f"e{i}_{k}") for i, _ in powers for k in ks])
+    cells = [(i, q, k, j, f) for i, q in powers for k in ks for j, f in enumerate(functions)]
+    sums = both.agg(*[F.sum(F.col(f"s{j}") * F.col(f"s{j}") * F.col(f"e{i}_{k}")).alias(f"v{i}_{k}_{j}") for i, _, k, j, _ in cells])
+    each = [F.struct(F.lit(float(q)).alias("q"), F.lit(int(k)).cast("bigint").alias("k"), F.lit(f.name).alias("f"), F.sqrt(F.col(f"v{i}_{k}_{j}") / runs).alias("nrmse")) for i, q, k, j, f in cells]
+    return sums.select(F.inline(F.array(*each)))
 
 
 def conditional_nrmse_advice(rows: DataFrame, f: FrequencyFunction, sizes: Sequence[tuple[int, int, int]], runs: int = 50, scheme: str = "ppswor", functions: Sequence[FrequencyFunction] | None = None) -> DataFrame:

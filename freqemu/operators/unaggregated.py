@@ -2,16 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.frequency import FrequencyFunction
 from ..functions.seeds import exp_of, inclusion, unit_seed
+from ..plans.lineage import cut
 from .bottomk import bottom_k
 
+#: Held keys up to which they are broadcast to the second pass.
+HELD_KEYS = 200_000
+
 
 def element_seeds(elements: DataFrame, element_id: str, salt: str = "s") -> DataFrame:
     """(key, seed): each key's smallest Exp(1) / value over its elements, which is Exp(w) in distribution.
@@ -38,35 +38,24 @@ def two_pass(elements: DataFrame, kept: DataFrame) -> DataFrame:
     return rows.join(F.broadcast(kept), "key").withColumn("p_incl", inclusion("ppswor", F.col("w"), F.col("tau")))
 
 
-def sample_and_hold(elements: DataFrame, tau: float, salt: int = 0) -> DataFrame:
+def sample_and_hold(elements: DataFrame, tau: float, element_id: str, salt: str = "s") -> DataFrame:
     """(key, c): keys that entered at rate ``tau`` for each unit of value, and what was counted from then on.
 
-    Elements of a key are taken in each partition by itself and entries are drawn from a
-    generator seeded by the key and the partition's number, so a retry gives the same rows
-    for the same partitions; parts held by several partitions count one key each.
+    A key's elements are taken in order of ``element_id``, and an element's draw is a hash
+    of that id and the key, so retries and other partitions change nothing. The first pass
+    holds only elements that could enter, about tau times the mass; the second adds up what
+    follows a key's entry. Both are summed before the shuffle, so a hot key is one row a task.
     """
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        rng = np.random.default_rng([salt, TaskContext.get().partitionId()])
-        held: dict[str, float] = {}
-        for b in batches:
-            keys, values = b.column(0).to_pylist(), b.column(1).to_numpy()
-            waits = rng.exponential(1 / tau, len(keys))
-            for key, v, wait in zip(keys, values, waits):
-                if key in held:
-                    held[key] += v
-                elif wait < v:
-                    held[key] = v - wait
-        keys = list(held)
-        for at in range(0, len(keys), 65536):
-            part = keys[at : at + 65536]
-            yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([held[x] for x in part], pa.float64())], names=["key", "c"])
-
-    return elements.select("key", F.col("value").cast("double").alias("value")).mapInArrow(run, "key string, c double")
+    wait = exp_of(unit_seed(F.concat(F.col("at").cast("string"), F.lit("|"), F.col("key")), salt)) / F.lit(float(tau))
+    rows = elements.select("key", F.col("value").cast("double").alias("value"), F.col(element_id).alias("at"))
+    tries = rows.select("key", "at", (F.col("value") - wait).alias("left")).where("left > 0")
+    held = tries.groupBy("key").agg(F.min(F.struct("at", "left")).alias("entry"))
+    held = cut(held.select("key", F.col("entry.at").alias("since"), F.col("entry.left").alias("left")))
+    side = F.broadcast(held) if held.count() <= HELD_KEYS else held
+    later = rows.join(side.select("key", "since"), "key").where(F.col("at") > F.col("since")).select("key", F.col("value").alias("c"))
+    return later.unionByName(held.select("key", F.col("left").alias("c"))).groupBy("key").agg(F.sum("c").alias("c"))
 
 
 def hold_estimate(held: DataFrame, f: FrequencyFunction, slope: FrequencyFunction, tau: float) -> DataFrame:
-    """Unbiased for f with f(0) = 0 on elements of one partition a key: sum of f(c) + f'(c) / tau."""
+    """Unbiased for f with f(0) = 0: sum of f(c) + f'(c) / tau."""
     return held.agg(F.sum(f("c") + slope("c") / tau).alias("estimate"))

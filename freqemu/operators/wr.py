@@ -12,13 +12,14 @@ from ..plans.lineage import cut
 CELLS = 4096
 
 
-def cumulated(freq: DataFrame, f: FrequencyFunction, parts: int = 4096) -> DataFrame:
+def cumulated(freq: DataFrame, f: FrequencyFunction, digits: int = 3) -> DataFrame:
     """(key, w, lo, hi): each key's interval of the unit line, of length f(w) / ||f||.
 
-    Keys are dealt into ``parts`` by a hash of the key and summed inside; the parts' totals
-    (``parts`` rows) shift them. No task orders all keys.
+    Keys are dealt into parts by the first ``digits`` hexadecimal digits of their md5 and
+    summed inside; the parts' totals (16^digits rows) shift them. No task orders all keys.
     """
-    rows = freq.withColumn("v", f("w")).where("v > 0").withColumn("part", F.pmod(F.xxhash64("key"), F.lit(parts)))
+    rows = freq.withColumn("v", f("w")).where("v > 0")
+    rows = rows.withColumn("part", F.substring(F.md5(F.col("key").cast("binary")), 1, digits))
     totals = rows.groupBy("part").agg(F.sum("v").alias("t"))
     before = W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)
     shift = totals.select("part", F.coalesce(F.sum("t").over(before), F.lit(0.0)).alias("s"), F.sum("t").over(W.partitionBy()).alias("all"))

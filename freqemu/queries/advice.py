@@ -243,7 +243,7 @@ def sketch_size(spark, d):
 
 def advice_error_sql(rows: str, sizes, p: int, runs: int) -> str:
     """(k, k_uniform, nrmse) of sampling by advice with k_h = 0, averaged over runs."""
-    x = {3: "{0}*{0}*{0}", 10: "pow({0}, 10)"}[p]
+    x = "{0}*{0}*{0}" if p == 3 else f"pow({{0}}, {p})"
     fa, fw = x.format("advice"), x.format("w")
     h = f"-ln(1 - {u_sql('CAST(run AS VARCHAR)')})"
     base = f"""a AS (SELECT run, key, w, {h} AS h, CASE WHEN advice > 0 THEN {fa} ELSE 0.0 END AS fa, {fw} AS fw FROM {rows} z, (SELECT unnest(range(0, {runs})) AS run) q),

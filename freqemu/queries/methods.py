@@ -19,8 +19,9 @@ from ..operators import unaggregated as N
 from ..operators import universal as U
 from ..operators import wr
 from ..plans.registry import query
+from ..plans.lineage import cut
 from ..sources.tables import elements, load
-from .sql import f_sql, freq, hist, p_sql, q_sql, r_sql, s, sample_sql, sig, u_sql, union, union_sql, v_sql
+from .sql import drawn_sql, f_sql, freq, hist, p_sql, q_sql, r_sql, s, sample_sql, sig, u_sql, union, union_sql, v_sql
 
 DATASETS = ("doc_words", "conv_words", "doc_lines", "page_hosts", "cust_out", "part_in", "supp_in", "ps_qty", "li_tuple", "event_tuple", "event_props", "doc_source")
 SKEWED = ("doc_words", "conv_words", "doc_lines", "page_hosts")
@@ -173,28 +174,39 @@ def ppswor_two_pass(spark, d):
     return N.two_pass(e, N.ppswor_by_elements(e, KS, "event_id")).select("key", F.col("w").cast("bigint").alias("w"), sig("p_incl").alias("p_incl"))
 
 
-@query("sample_hold")
+_HOLD_WAIT = f"""-ln(1 - {u_sql("'s'", "CAST(event_id AS VARCHAR) || '|' || key")}) / 0.02"""
+
+
+@query(
+    "sample_hold",
+    f"""WITH e AS (SELECT event_id, user_id || '|' || event_type || '|' || props AS key FROM events),
+    t AS (SELECT key, event_id, 1 - {_HOLD_WAIT} AS rest FROM e),
+    f AS (SELECT key, min(event_id) AS since, arg_min(rest, event_id) AS rest FROM t WHERE rest > 0 GROUP BY key),
+    c AS (SELECT f.key, max(f.rest) + count(e.event_id) AS c FROM f LEFT JOIN e ON e.key = f.key AND e.event_id > f.since GROUP BY f.key)
+    SELECT {s('sum(c*c*c + 3*c*c / 0.02)')} AS estimate, CAST(count(*) AS BIGINT) AS held, (SELECT CAST(sum(w*w*w) AS BIGINT) FROM {f_sql('event_tuple')} a) AS value FROM c""",
+)
 def sample_hold(spark, d):
-    e = elements(spark, d, "doc_words").repartition(8, "key")
-    held = N.sample_and_hold(e, 0.02)
+    held = N.sample_and_hold(_event_elements(spark, d), 0.02, "event_id")
     cube = FF.custom("square3", lambda w: 3 * w * w)
-    return N.hold_estimate(held, FF.moment(3), cube, 0.02).crossJoin(X.f_statistic(freq(spark, d, "doc_words"), FF.moment(3)))
+    guess = N.hold_estimate(held, FF.moment(3), cube, 0.02).select(sig("estimate").alias("estimate"))
+    truth = X.f_statistic(freq(spark, d, "event_tuple"), FF.moment(3)).select(F.col("value").cast("bigint").alias("value"))
+    return guess.crossJoin(held.agg(F.count("*").alias("held"))).crossJoin(truth)
 
 
 # -- with replacement, linear, concave ---------------------------------------------------------
 
 
-def _wr(name, dataset, f, k):
-    @query(name)
+def _wr(name, dataset, p, k):
+    @query(name, f"SELECT key, CAST(w AS BIGINT) AS w, {s('q')} AS q, draws, {s('p_incl')} AS p_incl FROM {drawn_sql(f_sql(dataset), p, k)} x")
     def run(spark, d):
-        return wr.pps_wr(freq(spark, d, dataset), f, k)
+        return wr.pps_wr(freq(spark, d, dataset), FF.moment(p), k).select("key", F.col("w").cast("bigint").alias("w"), sig("q").alias("q"), "draws", sig("p_incl").alias("p_incl"))
 
     run.__name__ = name
 
 
-_wr("pps_wr", "doc_words", FF.moment(3), KS)
-_wr("wr_l1", "doc_words", FF.moment(1), KS)
-_wr("wr_l2", "doc_words", FF.moment(2), KS)
+_wr("pps_wr", "doc_words", 3, KS)
+_wr("wr_l1", "doc_words", 1, KS)
+_wr("wr_l2", "doc_words", 2, KS)
 
 _WIN = u_sql("'s'", "j || '|' || key")
 
@@ -244,19 +256,16 @@ def concave_sample(spark, d):
     return K.concave_sample(freq(spark, d, "conv_words"), KS).select("key", *[sig(c).alias(c) for c in ("w", "seed", "p_incl")])
 
 
-_CAPS = (1.0, 4.0, 16.0, 64.0, 256.0, 1024.0)
-
-
 @query(
     "multi_cap_sample",
-    f"""WITH a AS (SELECT key, w, t, least(w, t) AS v, -ln(1 - {u_sql()}) AS h FROM {f_sql('conv_words')} f, (SELECT unnest([1.0, 4.0, 16.0, 64.0, 256.0, 1024.0]) AS t) c),
+    f"""WITH a AS (SELECT key, w, t, least(w, t) AS v, -ln(1 - {u_sql()}) AS h FROM {f_sql('conv_words')} f, (SELECT pow(4.0, i) AS t FROM (SELECT unnest(range(0, 31)) AS i) r, (SELECT max(w) AS top FROM {f_sql('conv_words')} z) m WHERE i = 0 OR pow(4.0, i - 1) < top) c),
     b AS (SELECT *, h / v AS seed, row_number() OVER (PARTITION BY t ORDER BY h / v, key) AS rn FROM a),
     k AS (SELECT t, max(CASE WHEN rn = 32 THEN seed END) AS k_th, max(CASE WHEN rn = 31 THEN seed END) AS k_before FROM b WHERE rn <= 32 GROUP BY t),
     c AS (SELECT b.*, CASE WHEN rn <= 31 THEN k_th ELSE k_before END AS tau FROM b JOIN k ON k.t = b.t)
     SELECT key, {s('max(w)')} AS w, {s('max(1 - exp(-v * tau))')} AS p_incl FROM c GROUP BY key HAVING bool_or(seed < tau)""",
 )
 def multi_cap_sample(spark, d):
-    return K.multi_cap_sample(freq(spark, d, "conv_words"), 32, _CAPS).select("key", sig("w").alias("w"), sig("p_incl").alias("p_incl"))
+    return K.multi_cap_sample(cut(freq(spark, d, "conv_words")), 32).select("key", sig("w").alias("w"), sig("p_incl").alias("p_incl"))
 
 
 # -- estimators ----------------------------------------------------------------------------------
@@ -698,9 +707,10 @@ def rank_curve_ppswor(spark, d):
     return R.rank_curve(B.ppswor(freq(spark, d, "doc_words"), 128)).select("key", F.col("w").cast("bigint").alias("w"), sig("rank_hat").alias("rank_hat"))
 
 
-@query("rank_curve_wr_l2")
+@query("rank_curve_wr_l2", f"SELECT key, CAST(w AS BIGINT) AS w, {s('sum(1 / p_incl) OVER (ORDER BY w DESC)')} AS rank_hat FROM {drawn_sql(f_sql('doc_words'), 2, 128)} x")
 def rank_curve_wr_l2(spark, d):
-    return R.rank_curve(wr.pps_wr(freq(spark, d, "doc_words"), FF.moment(2), 128))
+    curve = R.rank_curve(wr.pps_wr(freq(spark, d, "doc_words"), FF.moment(2), 128))
+    return curve.select("key", F.col("w").cast("bigint").alias("w"), sig("rank_hat").alias("rank_hat"))
 
 
 @query("rank_curve_true", f"SELECT CAST(w AS BIGINT) AS w, CAST(last_rank AS BIGINT) AS rank FROM {r_sql('doc_words')} a")
@@ -724,14 +734,28 @@ def threshold_curve(spark, d):
 # -- measures ------------------------------------------------------------------------------------------
 
 
-@query("nrmse_empirical")
+_ERRORS = f"""(SELECT run, sum(CASE WHEN rn < 64 OR tau IS NULL THEN w*w*w / (CASE WHEN tau IS NULL THEN 1 ELSE 1 - exp(-w * tau) END) END) / max(t) - 1 AS error FROM (
+    SELECT *, max(CASE WHEN rn = 64 THEN seed END) OVER (PARTITION BY run) AS tau FROM (
+      SELECT *, row_number() OVER (PARTITION BY run ORDER BY seed, key) AS rn FROM (
+        SELECT run, key, w, sum(w*w*w) OVER (PARTITION BY run) AS t, -ln(1 - {u_sql('CAST(run AS VARCHAR)')}) / w AS seed FROM {f_sql('conv_words')} a, (SELECT unnest(range(0, 50)) AS run) r) b) c WHERE rn <= 64) e GROUP BY run)"""
+
+
+def _run_errors(spark, d):
+    return M.empirical_errors(cut(freq(spark, d, "conv_words")), 1, 64, FF.moment(3), 50)
+
+
+@query("nrmse_empirical", f"SELECT {s('sqrt(avg(error * error))')} AS nrmse, {s('avg(error)')} AS bias FROM {_ERRORS} x")
 def nrmse_empirical(spark, d):
-    return M.empirical_nrmse(M.empirical_errors(freq(spark, d, "conv_words"), 1, 64, FF.moment(3), 50))
+    return M.empirical_nrmse(_run_errors(spark, d)).select(sig("nrmse").alias("nrmse"), sig("bias").alias("bias"))
+
 
+_WITHIN = ", ".join(f"{s(f'avg(CASE WHEN abs(error) <= {z} * rms THEN 1.0 ELSE 0.0 END)')} AS within_{z}" for z in (1, 2))
 
-@query("error_quantiles")
+
+@query("error_quantiles", "SELECT " + ", ".join(f"{s(f'quantile_cont(abs(error), {x})')} AS q{int(100 * x)}" for x in (0.5, 0.9, 0.95)) + f", {_WITHIN} FROM (SELECT error, sqrt(avg(error * error) OVER ()) AS rms FROM {_ERRORS} x) y")
 def error_quantiles(spark, d):
-    return M.error_quantiles(M.empirical_errors(freq(spark, d, "conv_words"), 1, 64, FF.moment(3), 50))
+    found = M.error_quantiles(_run_errors(spark, d))
+    return found.select(*[sig(c).alias(c) for c in found.columns])
 
 
 _NK = (32, 128, 512)
@@ -819,15 +843,18 @@ def baseline_full(spark, d):
     return freq(spark, d, "conv_words").agg(F.sum(FF.power(F.col("w"), 3)).cast("bigint").alias("value"), F.count("*").alias("keys"))
 
 
-def _baseline_wr(name, f):
-    @query(f"baseline_{name}")
+def _baseline_wr(name, p):
+    @query(f"baseline_{name}", f"SELECT {s('sum(w*w*w / p_incl)')} AS estimate, CAST(count(*) AS BIGINT) AS keys FROM {drawn_sql(_CW, p, KS)} x")
     def run(spark, d):
-        return E.estimate_statistic(wr.pps_wr(freq(spark, d, "conv_words"), f, KS), FF.moment(3))
+        rows = wr.pps_wr(freq(spark, d, "conv_words"), FF.moment(p), KS)
+        return rows.agg(sig(F.sum(FF.power(F.col("w"), 3) / F.col("p_incl"))).alias("estimate"), F.count("*").alias("keys"))
+
+    run.__name__ = f"baseline_{name}"
 
 
-_baseline_wr("l1_wr", FF.moment(1))
-_baseline_wr("l2_wr", FF.moment(2))
-_baseline_wr("ideal_wr", FF.moment(3))
+_baseline_wr("l1_wr", 1)
+_baseline_wr("l2_wr", 2)
+_baseline_wr("ideal_wr", 3)
 
 
 @query("baseline_theory", " UNION ALL ".join(f"SELECT CAST(sum(m) AS BIGINT) AS n, CAST({p} AS DOUBLE) AS p, {s(f'pow(sum(m), 1 - 2.0 / {p})')} AS worst, {s(f'pow(sum(m), 0.5 - 1.0 / {p})')} AS with_oracle FROM {v_sql('conv_words')} a" for p in (3.0, 10.0)))

@@ -68,6 +68,14 @@ def sample_sql(rows: str, weight: str, k: int, scheme: str = "ppswor", salt: str
       WHERE tau IS NULL OR rn < {k})"""
 
 
+def drawn_sql(rows: str, p: int, k: int) -> str:
+    """(key, w, q, draws, p_incl) of k draws with replacement by w^p: the points that fall into each key's interval."""
+    v = "*".join(["w"] * p)
+    return f"""(SELECT key, max(w) AS w, max(v / total) AS q, count(*) AS draws, max(CASE WHEN v >= total THEN 1 ELSE 1 - pow(1 - v / total, {k}) END) AS p_incl FROM (
+      SELECT key, w, {v} AS v, sum({v}) OVER (ORDER BY substr(md5(key), 1, 3), key ROWS UNBOUNDED PRECEDING) AS upto, sum({v}) OVER () AS total FROM {rows} a) b
+      JOIN (SELECT {u_sql("'wr|s'", "CAST(i AS VARCHAR)")} AS x FROM (SELECT unnest(range(0, {k})) AS i) c) p ON x * total >= upto - v AND x * total < upto GROUP BY key)"""
+
+
 def q_sql(name: str, scheme: str) -> str:
     """Ranked histogram with the scheme's single-draw chance q, and u = w / w_1."""
     v = {"l0": "1.0", "l1": "w / top", "l2": "(w / top) * (w / top)", "concave": "w / (last_rank * w + tail)"}[scheme]

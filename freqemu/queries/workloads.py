@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..functions.frequency import moment
+from ..functions.frequency import moment, power
 from ..operators import bottomk as B
 from ..operators import combos as C
 from ..operators import measures as M
@@ -12,13 +12,13 @@ from ..operators import overhead as O
 from ..operators import rankcurve as R
 from ..operators import universal as U
 from ..operators import wr
-from ..operators.exact import frequencies, histogram, self_join_count, self_join_size
+from ..operators.exact import frequencies, histogram, self_join_size
 from ..plans.lineage import cut
 from ..plans.registry import query
 from ..sources.tables import edges, elements, lines, load, to_elements, tokens
 from .advice import ROWS, advice_error_sql, advice_errors, between, rows_of
-from .methods import DATASETS, combo_rows, combo_table_sql, overhead_row, profile, profile_sql, table_sql, wor_nrmse_sql, wr_nrmse_sql
-from .sql import f_sql, freq, hist, q_sql, s, sample_sql, sig, union, union_sql, v_sql
+from .methods import DATASETS, combo_rows, combo_table_sql, overhead_row, profile, profile_sql, table_sql, wor_nrmse_sql
+from .sql import drawn_sql, f_sql, freq, hist, q_sql, s, sample_sql, sig, union, union_sql, v_sql
 
 
 def _table(name, sql, make):
@@ -64,35 +64,52 @@ def wl_table2(spark, d):
     return union((n, overhead_row(hist(spark, d, n))) for n in _TABLE2)
 
 
-_ERRORS, _EK, _RUNS = ("conv_words", "doc_lines", "event_tuple", "cust_out", "ps_qty"), (32, 128), 5
-_F = {"moment_3": "w*w*w", "moment_10": "pow(w, 10)"}
-_U = {"moment_3": "u*u*u", "moment_10": "pow(u, 10)"}
+_ERRORS, _EK, _RUNS = ("doc_words", "conv_words", "doc_lines", "event_tuple", "cust_out", "ps_qty"), (32, 128), 5
 
 
-def _error_sql(n):
-    parts = [f"SELECT '{sc}' AS scheme, t.* FROM ({wor_nrmse_sql(f_sql(n), w, _EK, _F, _RUNS)}) t" for sc, w in (("ppswor", "w"), ("l2_wor", "w*w"))]
-    parts += [f"SELECT '{sc}_wr' AS scheme, CAST({k} AS BIGINT) AS k, '{f}' AS f, t.* FROM ({wr_nrmse_sql(n, k, sc, x)}) t" for sc in ("l1", "l2") for k in _EK for f, x in _U.items()]
-    parts += [f"SELECT 'bound' AS scheme, CAST({k} AS BIGINT) AS k, '{f}' AS f, {s(f'1 / sqrt({k})')} AS nrmse" for k in _EK for f in _F]
+def _error_sql(rows, ks, runs, moments=(3, 10)):
+    f = {f"moment_{p}": "w*w*w" if p == 3 else f"pow(w, {p})" for p in moments}
+    parts = [f"SELECT '{sc}' AS scheme, t.* FROM ({wor_nrmse_sql(rows, w, ks, f, runs)}) t" for sc, w in (("ppswor", "w"), ("l2_wor", "w*w"))]
+    for sc, q in (("l1_wr", 1), ("l2_wr", 2)):
+        for p in moments:
+            shares = f"(SELECT pow(u, {q}) / sum(pow(u, {q})) OVER () AS q, pow(u, {p}) / sum(pow(u, {p})) OVER () AS p FROM (SELECT w / max(w) OVER () AS u FROM {rows} a) b)"
+            parts += [f"SELECT '{sc}' AS scheme, CAST({k} AS BIGINT) AS k, 'moment_{p}' AS f, {s(f'sqrt(sum(p * p * (1 / (1 - pow(1 - q, {k})) - 1)))')} AS nrmse FROM {shares} c" for k in ks]
+    parts += [f"SELECT 'bound' AS scheme, CAST({k} AS BIGINT) AS k, '{x}' AS f, {s(f'1 / sqrt({k})')} AS nrmse" for k in ks for x in f]
     return " UNION ALL ".join(parts)
 
 
 def moment_errors(w, v, ks, runs, moments=(3, 10)):
     """(scheme, k, f, nrmse): without and with replacement by l_1 and l_2, and the bound of ideal sampling."""
     fs = [moment(p) for p in moments]
-    out = [(sc, M.conditional_nrmse(w, q, ks, fs, runs)) for sc, q in (("ppswor", 1), ("l2_wor", 2))]
-    for sc, q in (("l1_wr", 1.0), ("l2_wr", 2.0)):
-        for f in fs:
-            out.append((sc, M.wr_nrmse(v, f, q, ks).select("k", F.lit(f.name).alias("f"), "nrmse")))
-    bench = M.benchmark_curve(w.sparkSession, ks)
-    out += [("bound", bench.select("k", F.lit(f.name).alias("f"), "nrmse")) for f in fs]
-    rows = None
-    for sc, one in out:
-        one = one.select(F.lit(sc).alias("scheme"), "k", "f", sig("nrmse").alias("nrmse"))
-        rows = one if rows is None else rows.unionByName(one)
+    both = M.conditional_nrmse_by(w, (1, 2), ks, fs, runs)
+    rows = both.select(F.when(F.col("q") == 1, "ppswor").otherwise("l2_wor").alias("scheme"), "k", "f", sig("nrmse").alias("nrmse"))
+    more = [(sc, f, M.wr_nrmse(v, f, q, ks)) for sc, q in (("l1_wr", 1.0), ("l2_wr", 2.0)) for f in fs]
+    more += [("bound", f, M.benchmark_curve(w.sparkSession, ks)) for f in fs]
+    for sc, f, one in more:
+        rows = rows.unionByName(one.select(F.lit(sc).alias("scheme"), "k", F.lit(f.name).alias("f"), sig("nrmse").alias("nrmse")))
     return rows
 
 
-@query("wl_moment_error", "\nUNION ALL ".join(f"SELECT '{n}' AS dataset, t.* FROM ({_error_sql(n)}) t" for n in _ERRORS))
+#: The reference's grid: runs, sizes (those below half the keys are taken) and moments.
+FULL_RUNS, FULL_SIZES, FULL_MOMENTS = 50, tuple(2**i for i in range(5, 13)), (3, 7, 10)
+
+
+def full_moment_errors(spark, d, name, runs=FULL_RUNS, sizes=FULL_SIZES, moments=FULL_MOMENTS):
+    """The whole experiment on one data set: (scheme, k, f, nrmse)."""
+    w = cut(freq(spark, d, name))
+    n = w.count()
+    return moment_errors(w, cut(histogram(w)), [k for k in sizes if 2 * k < n] or [min(sizes)], runs, moments)
+
+
+def full_past_advice(spark, d, name, runs=FULL_RUNS, sizes=FULL_SIZES, moments=FULL_MOMENTS):
+    """Advice with half and with 32 of its k keys uniform, beside the schemes without advice: (scheme, k, f, nrmse)."""
+    rows = cut(rows_of(spark, d, name))
+    n = rows.count()
+    ks = [k for k in sizes if k > 32 and 2 * k < n] or [64]
+    return advice_beside(rows, sorted({(k - u, u) for k in ks for u in (32, k // 2)}), moments, runs)
+
+
+@query("wl_moment_error", "\nUNION ALL ".join(f"SELECT '{n}' AS dataset, t.* FROM ({_error_sql(f_sql(n), _EK, _RUNS)}) t" for n in _ERRORS))
 def wl_moment_error(spark, d):
     out = []
     for n in _ERRORS:
@@ -102,16 +119,31 @@ def wl_moment_error(spark, d):
 
 
 _SIZES = ((32, 32), (96, 32), (64, 64))
-_PAST = tuple((n, p) for n in ("cust", "supp", "events", "words") for p in (3, 10))
+_PAST, _POWERS = ("cust", "supp", "events", "words"), (3, 7, 10)
+
+
+def advice_beside(rows, sizes, moments, runs):
+    """(scheme, k, f, nrmse): sampling by advice for sizes (k_p, k_u), and every scheme without advice at the same k."""
+    w = rows.select("key", "w")
+    out = moment_errors(w, cut(histogram(w)), sorted({kp + ku for kp, ku in sizes}), runs, moments)
+    for p in moments:
+        one = advice_errors(rows, p, sizes, runs)
+        out = out.unionByName(one.select(F.concat(F.lit("advice_u"), F.col("k_uniform")).alias("scheme"), "k", "f", "nrmse"))
+    return out
+
+
+def _beside_sql(rows, sizes, moments, runs):
+    ks = sorted({kp + ku for kp, ku in sizes})
+    parts = [f"SELECT 'advice_u' || k_uniform AS scheme, k, f, nrmse FROM ({advice_error_sql(rows, sizes, p, runs)}) t" for p in moments]
+    return " UNION ALL ".join([f"SELECT * FROM ({_error_sql(rows, ks, runs, moments)}) t", *parts])
 
 
-@query("wl_past_advice", "\nUNION ALL ".join(f"SELECT '{n}' AS dataset, t.* FROM ({advice_error_sql(ROWS[n], _SIZES, p, 3)}) t" for n, p in _PAST))
+@query("wl_past_advice", "\nUNION ALL ".join(f"SELECT '{n}' AS dataset, t.* FROM ({_beside_sql(ROWS[n], _SIZES, _POWERS, 3)}) t" for n in _PAST))
 def wl_past_advice(spark, d):
-    rows = {n: cut(rows_of(spark, d, n)) for n in {n for n, _ in _PAST}}
-    return union((n, advice_errors(rows[n], p, _SIZES, 3)) for n, p in _PAST)
+    return union((n, advice_beside(cut(rows_of(spark, d, n)), _SIZES, _POWERS, 3)) for n in _PAST)
 
 
-_LATER, _POWERS = (50, 80), (3, 7, 10)
+_LATER = (50, 80)
 
 
 @query("wl_learned_advice")
@@ -155,21 +187,30 @@ def wl_rank_curves(spark, d):
     for n in _RCD:
         w = cut(freq(spark, d, n))
         true = R.rank_curve_true(cut(histogram(w)))
-        for k in _RCK:
-            curve = R.rank_curve(B.ppswor(w, k)).select("w", "rank_hat").distinct()
-            rows = curve.join(F.broadcast(true), "w").groupBy("w").agg(F.max("rank_hat").alias("rank_hat"), F.max("rank").alias("rank"))
-            out.append((n, rows.select(F.lit(k).cast("bigint").alias("k"), sig("w").alias("w"), sig("rank_hat").alias("rank_hat"), "rank")))
+        out += [(n, _curve_rows(B.ppswor(w, k), true, k)) for k in _RCK]
     return union(out)
 
 
-@query("wl_rank_curves_wr")
+def _curve_rows(sample, true, k):
+    """(k, w, rank_hat, rank); the sample's at most k rows are the side to broadcast."""
+    curve = R.rank_curve(sample).groupBy("w").agg(F.max("rank_hat").alias("rank_hat"))
+    return true.join(F.broadcast(curve), "w").select(F.lit(k).cast("bigint").alias("k"), sig("w").alias("w"), sig("rank_hat").alias("rank_hat"), "rank")
+
+
+@query(
+    "wl_rank_curves_wr",
+    "\nUNION ALL ".join(
+        f"SELECT '{n}' AS dataset, CAST({k} AS BIGINT) AS k, {s('w')} AS w, {s('max(rank_hat)')} AS rank_hat, CAST(max(r.rank) AS BIGINT) AS rank FROM (SELECT w, sum(1 / p_incl) OVER (ORDER BY w DESC) AS rank_hat FROM {drawn_sql(f_sql(n), 2, k)} x) y JOIN (SELECT w AS rw, sum(m) OVER (ORDER BY w DESC) AS rank FROM {v_sql(n)} v) r ON r.rw = y.w GROUP BY w"
+        for n in _RCD for k in _RCK
+    ),
+)
 def wl_rank_curves_wr(spark, d):
+    """The curves that draws with replacement by squares show, beside the true ranks."""
     out = []
     for n in _RCD:
         w = cut(freq(spark, d, n))
-        v = cut(histogram(w))
-        for k in _RCK:
-            out.append((n, R.rank_curve_error(wr.pps_wr(w, moment(2), k), v).withColumn("k", F.lit(k))))
+        true = R.rank_curve_true(cut(histogram(w)))
+        out += [(n, _curve_rows(wr.pps_wr(w, moment(2), k), true, k)) for k in _RCK]
     return union(out)
 
 
@@ -200,8 +241,20 @@ def wl_combinations(spark, d):
 _WU = ("doc_words", "doc_lines", "event_tuple", "supp_in", "ps_qty")
 
 
-@query("wl_universal", union_sql(_WU, lambda n: "SELECT " + ", ".join(f"(SELECT {s('max(1 / (first_rank * q))')} FROM {q_sql(n, k)} a) AS {k}, (SELECT {s('max(1 / (last_rank * q))')} FROM {q_sql(n, k)} a) AS {k}_exact" for k in ("l1", "l2", "concave")) + f", (SELECT CAST(sum(m) AS BIGINT) FROM {v_sql(n)} a) AS n"))
+def _hn_sql(n):
+    return f"(SELECT n, {s('(SELECT sum(1.0 / i) FROM (SELECT unnest(range(1, n + 1)) AS i) q)')} AS h_n FROM (SELECT CAST(sum(m) AS BIGINT) AS n FROM {v_sql(n)} a) b)"
+
+
+def _tail_sql(n):
+    q = q_sql(n, "concave")
+    return f"""(SELECT {s('raw')} AS c, * FROM (SELECT min(CASE WHEN tail + (m - 1) * w > 0 THEN first_rank * w / (tail + (m - 1) * w) END) AS raw,
+      sum(m * v) AS norm, ceil({s('max(1 / (first_rank * q))')} / 0.01) AS raw_concave FROM {q} a) b)"""
+
+
+@query("wl_universal", union_sql(_WU, lambda n: "SELECT " + ", ".join(f"(SELECT {s('max(1 / (first_rank * q))')} FROM {q_sql(n, k)} a) AS {k}, (SELECT {s('max(1 / (last_rank * q))')} FROM {q_sql(n, k)} a) AS {k}_exact" for k in ("l1", "l2", "concave")) + f", (SELECT CAST(sum(m) AS BIGINT) FROM {v_sql(n)} a) AS n, h.h_n, t.c, {s('t.norm * (1 + 1 / t.raw)')} AS bound, t.raw_concave < 0.1 * h.n AS practical_concave FROM {_hn_sql(n)} h, {_tail_sql(n)} t"))
 def wl_universal(spark, d):
+    """Universal overheads by scheme; H_n, the best possible; the concave scheme's bound from the
+    tail condition c; and whether a sample for an error of 0.1 is under a tenth of the keys."""
     out = []
     for n in _WU:
         v = hist(spark, d, n)
@@ -209,38 +262,55 @@ def wl_universal(spark, d):
         for k, scheme in (("l1", 1.0), ("l2", 2.0), ("concave", "concave")):
             one = U.universal_emulation(v, scheme).select(sig("universal").alias(k)).crossJoin(U.universal_emulation(v, scheme, "exact").select(sig("universal").alias(f"{k}_exact")))
             row = one if row is None else row.crossJoin(one)
-        out.append((n, row.crossJoin(v.agg(F.sum("m").alias("n")))))
+        keys = v.agg(F.sum("m").alias("n")).select("n", sig(U.harmonic(F.col("n"))).alias("h_n"))
+        tail = U.concave_universal_bound(v).select(sig("c").alias("c"), sig("bound").alias("bound"))
+        size = F.ceil(F.col("concave") / F.lit(0.01))
+        out.append((n, row.crossJoin(keys).crossJoin(tail).withColumn("practical_concave", size < 0.1 * F.col("n"))))
     return union(out)
 
 
-_SJ = ("cust_out", "part_in", "page_hosts")
+_SJ = ("cust_out", "part_in", "page_hosts", "order_lines")
+
+
+def _joined_sql(n):
+    rows = f_sql(n) if n != "order_lines" else "(SELECT CAST(l_orderkey AS VARCHAR) AS key, CAST(count(*) AS DOUBLE) AS w FROM lineitem GROUP BY 1)"
+    one = "SELECT CAST({p} AS BIGINT) AS p, CAST(sum({x}) AS BIGINT) AS exact, (SELECT {g} FROM {sample} x) AS estimate FROM {rows} a"
+    return " UNION ALL ".join(one.format(p=p, x=x, rows=rows, g=s(f"sum({x} / p_incl)"), sample=sample_sql(rows, "w", 64)) for p, x in ((2, "w*w"), (3, "w*w*w")))
 
 
-@query("wl_self_join", union_sql(_SJ, lambda n: f"SELECT CAST(sum(w*w) AS BIGINT) AS exact, CAST(sum(w*w) AS BIGINT) AS joined, {s("(SELECT sum(w*w / p_incl) FROM " + sample_sql(f_sql(n), "w", 64) + " x)")} AS estimate FROM {f_sql(n)} a"))
+@query("wl_self_join", union_sql(_SJ, _joined_sql))
 def wl_self_join(spark, d):
+    """Rows of the two-way and three-way self-join on a key, without joining: exact, and from 64 keys."""
     out = []
     for n in _SJ:
-        w = freq(spark, d, n)
-        e = elements(spark, d, n)
-        exact = self_join_size(w, 2).select(F.col("value").cast("bigint").alias("exact"))
-        joined = self_join_count(e, 2).select(F.col("value").cast("bigint").alias("joined"))
-        guess = B.ppswor(w, 64).agg(sig(F.sum(F.col("w") * F.col("w") / F.col("p_incl"))).alias("estimate"))
-        out.append((n, exact.crossJoin(joined).crossJoin(guess)))
+        w = cut(freq(spark, d, n) if n != "order_lines" else frequencies(to_elements(load(spark, d, "lineitem"), ["l_orderkey"])))
+        kept = cut(B.ppswor(w, 64))
+        for p in (2, 3):
+            exact = self_join_size(w, p).select(F.lit(p).cast("bigint").alias("p"), F.col("value").cast("bigint").alias("exact"))
+            out.append((n, exact.crossJoin(kept.agg(sig(F.sum(power(F.col("w"), p) / F.col("p_incl"))).alias("estimate")))))
     return union(out)
 
 
-_TS = (2.0, 5.0, 10.0, 100.0)
+_TS, _TD = (2.0, 5.0, 10.0, 100.0), ("doc_words", "cust_out", "supp_in")
 
 
-@query("wl_thresholds", "\nUNION ALL ".join(f"SELECT '{n}' AS dataset, CAST({t} AS DOUBLE) AS t, (SELECT CAST(count(*) AS BIGINT) FROM {f_sql(n)} a WHERE w >= {t}) AS exact, (SELECT {s(f'sum(CASE WHEN w >= {t} THEN 1 / p_incl ELSE 0 END)')} FROM {sample_sql(f_sql(n), 'w', 256)} x) AS estimate" for n in ("doc_words", "cust_out") for t in _TS))
+def _threshold_sql(n, t):
+    kept = sample_sql(f_sql(n), "w", 256)
+    exact = f"(SELECT CAST(count(*) AS BIGINT) FROM {f_sql(n)} a WHERE w >= {t}) AS exact, (SELECT CAST(coalesce(sum(w), 0) AS BIGINT) FROM {f_sql(n)} a WHERE w >= {t}) AS exact_weight"
+    guess = ", ".join(f"(SELECT {s(f'sum(CASE WHEN w >= {t} THEN {x} / p_incl ELSE 0 END)')} FROM {kept} x) AS {c}" for x, c in (("1", "estimate"), ("w", "estimate_weight")))
+    return f"SELECT '{n}' AS dataset, CAST({t} AS DOUBLE) AS t, {exact}, {guess}"
+
+
+@query("wl_thresholds", "\nUNION ALL ".join(_threshold_sql(n, t) for n in _TD for t in _TS))
 def wl_thresholds(spark, d):
+    """Keys at least as frequent as t, and their weight: exact, and from 256 keys."""
     out = []
-    for n in ("doc_words", "cust_out"):
-        w = freq(spark, d, n)
-        guess = R.threshold_curve(B.ppswor(w, 256), _TS).select("t", sig("estimate").alias("estimate"))
-        each = F.array(*[F.struct(F.lit(t).alias("t"), (F.col("w") >= t).cast("bigint").alias("v")) for t in _TS])
-        exact = w.select(F.inline(each)).groupBy("t").agg(F.sum("v").alias("exact"))
-        out.append((n, exact.join(guess, "t")))
+    for n in _TD:
+        w = cut(freq(spark, d, n))
+        above = lambda v: F.inline(F.array(*[F.struct(F.lit(t).alias("t"), *[F.when(F.col("w") >= t, x).otherwise(0.0).alias(c) for x, c in v]) for t in _TS]))
+        exact = w.select(above([(F.lit(1.0), "a"), (F.col("w"), "b")])).groupBy("t").agg(F.sum("a").cast("bigint").alias("exact"), F.sum("b").cast("bigint").alias("exact_weight"))
+        guess = B.ppswor(w, 256).select(above([(1 / F.col("p_incl"), "a"), (F.col("w") / F.col("p_incl"), "b")])).groupBy("t").agg(sig(F.sum("a")).alias("estimate"), sig(F.sum("b")).alias("estimate_weight"))
+        out.append((n, exact.join(F.broadcast(guess), "t")))
     return union(out)
 
 
