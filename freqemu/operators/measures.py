@@ -12,11 +12,11 @@ from collections.abc import Sequence
 
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
-from ..functions.frequency import FrequencyFunction, moment
+from ..functions.frequency import FrequencyFunction, moment, power
 from ..functions.seeds import draw, inclusion, wr_inclusion
 from . import advice as A
 from .bottomk import threshold_of
-from .overhead import Scheme, chances
+from .overhead import Scheme, chances, scaled
 
 
 def nrmse(variance, truth):
@@ -36,6 +36,18 @@ def wr_nrmse(hist: DataFrame, f: FrequencyFunction, scheme: Scheme, ks: Sequence
     return rows.agg(*aggs).select(F.inline(each))
 
 
+def wr_nrmse_by(hist: DataFrame, qs: Sequence[float], ks: Sequence[int], powers: Sequence[float]) -> DataFrame:
+    """(q, k, f, nrmse) of samples with replacement by w^q for moments: all of them from two aggregations."""
+    rows = scaled(hist)
+    used = sorted({float(x) for x in (*qs, *powers)})
+    sums = rows.agg(*[F.sum(F.col("m") * power(F.col("u"), x)).alias(f"t{i}") for i, x in enumerate(used)])
+    share = lambda x: power(F.col("u"), x) / F.col(f"t{used.index(float(x))}")
+    cells = [(q, k, p) for q in qs for k in ks for p in powers]
+    aggs = [F.sum(F.col("m") * share(p) * share(p) * (1 / wr_inclusion(share(q), k) - 1)).alias(f"v{i}") for i, (q, k, p) in enumerate(cells)]
+    each = [F.struct(F.lit(float(q)).alias("q"), F.lit(int(k)).cast("bigint").alias("k"), F.lit(moment(p).name).alias("f"), F.sqrt(f"v{i}").alias("nrmse")) for i, (q, k, p) in enumerate(cells)]
+    return rows.crossJoin(F.broadcast(sums)).agg(*aggs).select(F.inline(F.array(*each)))
+
+
 def runs_of(freq: DataFrame, runs: int) -> DataFrame:
     """Every key once for each run, with the run's number: draws are hashes of both."""
     return freq.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))))

@@ -67,6 +67,31 @@ def overheads(hist: DataFrame, functions: Sequence[FrequencyFunction], scheme: S
     return rows.agg(*aggs).select(F.inline(pairs))
 
 
+def all_overheads(hist: DataFrame, powers: Sequence[float], schemes: Sequence[float | str] = (1.0, 2.0, "concave")) -> DataFrame:
+    """One row of every scheme's overheads, from one ranking of the histogram and two aggregations.
+
+    For scheme s (l1, l2, concave): s_p and s_p_est for each power p, the universal overhead
+    s_universal, s_exact with ties counted whole, and s_norm; beside them n and c, the least
+    of i w_i over the sum of rarer frequencies.
+    """
+    name = lambda q: q if isinstance(q, str) else f"l{q:g}"
+    m, u = F.col("m"), F.col("u")
+    weight = {name(q): F.col("w") / (F.col("last_rank") * F.col("w") + F.col("tail")) if q == "concave" else power(u, float(q)) for q in schemes}
+    rows = scaled(ranked(hist)).select("*", *[v.alias(f"v_{k}") for k, v in weight.items()], *[power(u, p).alias(f"f_{p}") for p in powers])
+    sums = rows.agg(F.sum("m").alias("n"), *[F.sum(m * F.col(f"v_{k}")).alias(f"V_{k}") for k in weight], *[F.sum(m * F.col(f"f_{p}")).alias(f"F_{p}") for p in powers])
+    sums = sums.select("n", *[F.col(f"V_{k}").alias(f"{k}_norm") for k in weight], *[F.col(f"F_{p}").alias(f"total_{p}") for p in powers])
+    rest = F.col("tail") + (m - 1) * F.col("w")
+    out = [F.max("n").alias("n"), F.min(F.when(rest > 0, F.col("first_rank") * F.col("w") / rest)).alias("c")]
+    for k in weight:
+        q = F.col(f"v_{k}") / F.col(f"{k}_norm")
+        out += [F.max(1 / (F.col("first_rank") * q)).alias(f"{k}_universal"), F.max(1 / (F.col("last_rank") * q)).alias(f"{k}_exact"), F.max(f"{k}_norm").alias(f"{k}_norm")]
+        for p in powers:
+            share = F.col(f"f_{p}") / F.col(f"total_{p}")
+            ratio = F.when(share > 0, share / q).otherwise(0.0)
+            out += [F.max(ratio).alias(f"{k}_{p}"), F.sum(m * share * ratio).alias(f"{k}_{p}_est")]
+    return rows.crossJoin(F.broadcast(sums)).agg(*out)
+
+
 def family_overhead(hist: DataFrame, functions: Sequence[FrequencyFunction], scheme: Scheme) -> DataFrame:
     """The worst emulation overhead over ``functions``: also that of their non-negative combinations."""
     return overheads(hist, functions, scheme).agg(F.max("emulation").alias("emulation"))

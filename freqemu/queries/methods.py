@@ -679,17 +679,8 @@ def table_sql(n):
 
 def overhead_row(v):
     """One row of all overheads of a histogram."""
-    fs = [FF.moment(3), FF.moment(10)]
-    out = None
-    for k, scheme in (("l1", 1.0), ("l2", 2.0)):
-        rows = O.overheads(v, fs, scheme)
-        pick = lambda f, c: F.max(F.when(F.col("f") == f, F.col(c)))
-        one = rows.agg(*[sig(pick(f"moment_{p}", c)).alias(f"{k}_{p}{e}") for p in (3, 10) for c, e in (("emulation", ""), ("estimation", "_est"))])
-        out = one if out is None else out.crossJoin(one)
-    for k, scheme in (("l1", 1.0), ("l2", 2.0), ("concave", "concave")):
-        out = out.crossJoin(U.universal_emulation(v, scheme).select(sig("universal").alias(f"{k}_universal")))
-    norm = O.weighted(v, "concave").agg(sig(F.sum(F.col("m") * F.col("v"))).alias("concave_norm"))
-    return out.crossJoin(norm).crossJoin(v.agg(F.sum("m").alias("n")).select(sig(U.harmonic(F.col("n"))).alias("h_n")))
+    names = [f"{k}_{p}{e}" for k in ("l1", "l2") for p in (3, 10) for e in ("", "_est")] + [f"{k}_universal" for k in ("l1", "l2", "concave")] + ["concave_norm"]
+    return O.all_overheads(v, (3, 10)).select(*[sig(c).alias(c) for c in names], "n", sig(U.harmonic(F.col("n"))).alias("h_n")).drop("n")
 
 
 @query("overhead_table", union_sql(("page_hosts", "cust_out"), table_sql))
@@ -779,7 +770,8 @@ def wor_nrmse_sql(rows: str, weight: str, ks, fs: dict[str, str], runs: int) ->
     base = f"(SELECT *, {marks}, {truth} FROM (SELECT *, row_number() OVER (PARTITION BY run ORDER BY seed, key) AS rn FROM (SELECT run, key, w, ({weight}) AS weight, -ln(1 - {u_sql('CAST(run AS VARCHAR)')}) / ({weight}) AS seed FROM {rows} a, (SELECT unnest(range(0, {runs})) AS run) r) b) c)"
     out = []
     for k in ks:
-        p = f"1 - exp(-weight * CASE WHEN rn <= {k - 1} THEN a{k} ELSE b{k} END)"
+        tau = f"CASE WHEN rn <= {k - 1} THEN a{k} ELSE b{k} END"
+        p = f"CASE WHEN ({tau}) IS NULL THEN 1 ELSE 1 - exp(-weight * ({tau})) END"
         for j, (f, x) in enumerate(fs.items()):
             out.append(f"SELECT CAST({k} AS BIGINT) AS k, '{f}' AS f, {s(f'sqrt(sum(pow(({x}) / t{j}, 2) * (1 / ({p}) - 1)) / {runs})')} AS nrmse FROM base")
     return f"WITH base AS {base} " + " UNION ALL ".join(out)

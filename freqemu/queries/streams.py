@@ -64,10 +64,21 @@ def st_session(spark, d):
     return rows.select("user_id", zoneless(F.col("start")).alias("start"), "w")
 
 
-@query("st_watermark")
+@query(
+    "st_watermark",
+    """SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, CAST(count(*) AS BIGINT) AS w FROM events
+    WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 2 HOUR GROUP BY 1, 2""",
+)
 def st_watermark(spark, d):
-    """Days closed by the watermark, each once: append mode holds back what may still change."""
-    rows = ST.collected(ST.windowed_frequencies(_events(spark, d), "ts", "event_type", "1 day", late="2 hours"), "append")
+    """Days closed by the watermark, each once: append mode holds back what may still change.
+
+    The first day's events come once more at the end, too late to count.
+    """
+    rows = load(spark, d, "events").select("ts", "event_type").withColumn("ts", instant(F.col("ts")))
+    path = ST.replay(rows, "ts", ST.folder(spark, "events"))
+    first = rows.agg(F.min("ts").alias("first"))
+    rows.crossJoin(F.broadcast(first)).where("ts < first + INTERVAL 1 DAY").drop("first").coalesce(1).write.mode("append").parquet(path)
+    rows = ST.collected(ST.windowed_frequencies(ST.stream(spark, path), "ts", "event_type", "1 day", late="2 hours"), "append")
     return rows.withColumn("start", zoneless(F.col("start")))
 
 

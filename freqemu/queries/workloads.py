@@ -83,11 +83,9 @@ def moment_errors(w, v, ks, runs, moments=(3, 10)):
     fs = [moment(p) for p in moments]
     both = M.conditional_nrmse_by(w, (1, 2), ks, fs, runs)
     rows = both.select(F.when(F.col("q") == 1, "ppswor").otherwise("l2_wor").alias("scheme"), "k", "f", sig("nrmse").alias("nrmse"))
-    more = [(sc, f, M.wr_nrmse(v, f, q, ks)) for sc, q in (("l1_wr", 1.0), ("l2_wr", 2.0)) for f in fs]
-    more += [("bound", f, M.benchmark_curve(w.sparkSession, ks)) for f in fs]
-    for sc, f, one in more:
-        rows = rows.unionByName(one.select(F.lit(sc).alias("scheme"), "k", F.lit(f.name).alias("f"), sig("nrmse").alias("nrmse")))
-    return rows
+    drawn = M.wr_nrmse_by(v, (1, 2), ks, moments).select(F.format_string("l%d_wr", F.col("q").cast("int")).alias("scheme"), "k", "f", sig("nrmse").alias("nrmse"))
+    ideal = M.benchmark_curve(w.sparkSession, ks).select(F.lit("bound").alias("scheme"), "k", F.explode(F.array(*[F.lit(f.name) for f in fs])).alias("f"), sig("nrmse").alias("nrmse"))
+    return rows.unionByName(drawn).unionByName(ideal)
 
 
 #: The reference's grid: runs, sizes (those below half the keys are taken) and moments.
@@ -257,15 +255,11 @@ def wl_universal(spark, d):
     tail condition c; and whether a sample for an error of 0.1 is under a tenth of the keys."""
     out = []
     for n in _WU:
-        v = hist(spark, d, n)
-        row = None
-        for k, scheme in (("l1", 1.0), ("l2", 2.0), ("concave", "concave")):
-            one = U.universal_emulation(v, scheme).select(sig("universal").alias(k)).crossJoin(U.universal_emulation(v, scheme, "exact").select(sig("universal").alias(f"{k}_exact")))
-            row = one if row is None else row.crossJoin(one)
-        keys = v.agg(F.sum("m").alias("n")).select("n", sig(U.harmonic(F.col("n"))).alias("h_n"))
-        tail = U.concave_universal_bound(v).select(sig("c").alias("c"), sig("bound").alias("bound"))
-        size = F.ceil(F.col("concave") / F.lit(0.01))
-        out.append((n, row.crossJoin(keys).crossJoin(tail).withColumn("practical_concave", size < 0.1 * F.col("n"))))
+        one = O.all_overheads(hist(spark, d, n), ())
+        found = [sig(f"{k}_{c}").alias(k + e) for k in ("l1", "l2", "concave") for c, e in (("universal", ""), ("exact", "_exact"))]
+        size = F.ceil(sig("concave_universal") / F.lit(0.01))
+        bound = sig(F.col("concave_norm") * (1 + 1 / F.col("c")))
+        out.append((n, one.select(*found, "n", sig(U.harmonic(F.col("n"))).alias("h_n"), sig("c").alias("c"), bound.alias("bound"), (size < 0.1 * F.col("n")).alias("practical_concave"))))
     return union(out)
 
 

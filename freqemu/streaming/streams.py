@@ -12,13 +12,14 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
 from ..functions.frequency import FrequencyFunction
 from ..operators import advice as A
 from ..operators.kernel import unit_seed_of
 from ..operators.linear import second_moment, second_moment_cells
-from ..plans.lineage import checkpoint_folder
+from ..plans.lineage import checkpoint_folder, cut
 
 
 def folder(spark: SparkSession, name: str) -> str:
@@ -40,12 +41,26 @@ def stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFram
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
 
 
-def drain(rows: DataFrame, each: Callable[[DataFrame, int], None], mode: str = "append") -> None:
-    """Runs a stream over all that its source has now, handing every micro-batch to ``each``."""
-    query = rows.writeStream.outputMode(mode).foreachBatch(each).option("checkpointLocation", folder(rows.sparkSession, "stream")).trigger(availableNow=True).start()
+def drain(rows: DataFrame, each: Callable[[DataFrame, int], None], mode: str = "append", log: str | None = None) -> None:
+    """Runs a stream over all that its source has now, handing every micro-batch to ``each``.
+
+    With the same ``log`` folder a later call goes on where the last one stopped.
+    """
+    log = log or folder(rows.sparkSession, "stream")
+    query = rows.writeStream.outputMode(mode).foreachBatch(each).option("checkpointLocation", log).trigger(availableNow=True).start()
     query.awaitTermination()
 
 
+def newest(spark: SparkSession, path: str) -> DataFrame | None:
+    """The version with the largest number below ``path``; None if no batch has run yet."""
+    try:
+        rows = spark.read.parquet(path)
+    except AnalysisException:
+        return None
+    last = rows.agg(F.max("n")).first()[0]
+    return rows.where(F.col("n").eqNullSafe(F.lit(last))).drop("n")
+
+
 def collected(rows: DataFrame, mode: str = "append") -> DataFrame:
     """Everything that a stream emits, from Parquet: appended rows, or the last complete result."""
     spark, path = rows.sparkSession, folder(rows.sparkSession, "emitted")
@@ -61,22 +76,26 @@ def collected(rows: DataFrame, mode: str = "append") -> DataFrame:
 # -- sketches over streams -----------------------------------------------------------------------
 
 
-def running_sketch(elements: DataFrame, advice: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int) -> DataFrame:
-    """The sketch by advice of a whole stream of (key, value): the stored version after its last batch."""
-    spark, path = elements.sparkSession, folder(elements.sparkSession, "sketch")
-    last = {"n": -1}
+def running_sketch(elements: DataFrame, advice: DataFrame, f: FrequencyFunction, kh: int, kp: int, ku: int, path: str | None = None) -> DataFrame:
+    """The sketch by advice of a whole stream of (key, value): the stored version after its last batch.
+
+    ``path`` holds the stream's log and the versions; called again with it, the stream goes
+    on with what is new. The advice is computed once.
+    """
+    spark, path = elements.sparkSession, path or folder(elements.sparkSession, "sketch")
+    advice = cut(advice)
 
     def each(batch: DataFrame, number: int) -> None:
         part = A.advice_sketch(batch, advice, f, kh, kp, ku).select("key", "w", "advice", "h", "fa", "r")
         if number > 0:
-            part = A.merge_advice([spark.read.parquet(f"{path}/{number - 1}"), part], kh, kp, ku)
-        part.select("key", "w", "advice", "h", "fa", "r").coalesce(1).write.mode("overwrite").parquet(f"{path}/{number}")
-        last["n"] = number
+            part = A.merge_advice([spark.read.parquet(f"{path}/versions/n={number - 1}"), part], kh, kp, ku)
+        part.select("key", "w", "advice", "h", "fa", "r").coalesce(1).write.mode("overwrite").parquet(f"{path}/versions/n={number}")
 
-    drain(elements, each)
-    if last["n"] < 0:
+    drain(elements, each, log=f"{path}/log")
+    last = newest(spark, f"{path}/versions")
+    if last is None:
         raise ValueError("the stream is empty")
-    return A.cut_sketch(spark.read.parquet(f"{path}/{last['n']}"), kh, kp, ku)
+    return A.cut_sketch(last, kh, kp, ku)
 
 
 def windowed_frequencies(events: DataFrame, time: str, key: str, length: str, slide: str | None = None, late: str = "1 day") -> DataFrame:
@@ -91,19 +110,31 @@ def session_frequencies(events: DataFrame, time: str, key: str, gap: str, late:
     return rows.select(F.col("span.start").alias("start"), F.col("span.end").alias("end"), key, "w")
 
 
-def keyed_sketches(events: DataFrame, by: str, key: str, k: int, salt: str = "s") -> DataFrame:
-    """(by, keys): a stream's bottom-k sample of distinct keys for each group, in bounded state."""
+def keyed_sketches(events: DataFrame, by: str, key: str, k: int, salt: str = "s", time: str | None = None, idle: int | None = None, late: str = "1 hour") -> DataFrame:
+    """(by, keys): a stream's bottom-k sample of distinct keys for each group, in bounded state.
+
+    With ``time`` and ``idle`` (milliseconds) a group without events for that long after the
+    watermark is forgotten, which a last row with null keys says.
+    """
 
     def update(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            yield pd.DataFrame({by: [group[0]], "keys": [None]})
+            return
         held = dict(json.loads(state.get[0])) if state.exists else {}
         for frame in frames:
             for x in frame[key].dropna().unique():
                 held[str(x)] = unit_seed_of(str(x), salt)
             held = dict(sorted(held.items(), key=lambda p: (p[1], p[0]))[:k])
         state.update((json.dumps(list(held.items())),))
+        if idle is not None:
+            state.setTimeoutTimestamp(state.getCurrentWatermarkMs() + idle)
         yield pd.DataFrame({by: [group[0]], "keys": [",".join(held)]})
 
-    return events.select(by, F.col(key).cast("string").alias(key)).groupBy(by).applyInPandasWithState(update, f"{by} string, keys string", "held string", "update", "NoTimeout")
+    columns = [by, F.col(key).cast("string").alias(key)]
+    rows = events.select(*columns) if idle is None else events.select(*columns, time).withWatermark(time, late)
+    return rows.groupBy(by).applyInPandasWithState(update, f"{by} string, keys string", "held string", "update", "NoTimeout" if idle is None else "EventTimeTimeout")
 
 
 def latest(rows: DataFrame, by: str) -> DataFrame:
@@ -160,20 +191,23 @@ def sliding_from_panes(panes: DataFrame, length: str, count: int, k: int) -> Dat
     return low.select(F.col("begin").alias("start"), "key", "w")
 
 
-def running_totals(elements: DataFrame) -> tuple[float, float]:
-    """(sum of values, estimate of the second moment) of a stream: what certificates for q = 1 and q = 2 need."""
-    spark, path = elements.sparkSession, folder(elements.sparkSession, "totals")
-    last = {"n": -1}
+def running_totals(elements: DataFrame, path: str | None = None) -> tuple[float, float]:
+    """(sum of values, estimate of the second moment) of a stream: what certificates for q = 1 and q = 2 need.
+
+    ``path`` as in ``running_sketch``; a stream without a batch has totals of 0.
+    """
+    spark, path = elements.sparkSession, path or folder(elements.sparkSession, "totals")
 
     def each(batch: DataFrame, number: int) -> None:
         cells = second_moment_cells(batch)
         mass = batch.agg(F.lit(-1).alias("row"), F.lit(0).cast("bigint").alias("bucket"), F.coalesce(F.sum("value"), F.lit(0.0)).alias("total"))
         part = cells.unionByName(mass)
         if number > 0:
-            part = part.unionByName(spark.read.parquet(f"{path}/{number - 1}")).groupBy("row", "bucket").agg(F.sum("total").alias("total"))
-        part.coalesce(1).write.mode("overwrite").parquet(f"{path}/{number}")
-        last["n"] = number
+            part = part.unionByName(spark.read.parquet(f"{path}/versions/n={number - 1}")).groupBy("row", "bucket").agg(F.sum("total").alias("total"))
+        part.coalesce(1).write.mode("overwrite").parquet(f"{path}/versions/n={number}")
 
-    drain(elements, each)
-    rows = spark.read.parquet(f"{path}/{last['n']}")
+    drain(elements, each, log=f"{path}/log")
+    rows = newest(spark, f"{path}/versions")
+    if rows is None:
+        return 0.0, 0.0
     return rows.where("row = -1").first()["total"], second_moment(rows.where("row >= 0")).first()["estimate"]
