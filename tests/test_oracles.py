@@ -3,7 +3,7 @@ import pytest
 from freqemu.queries import ORACLES, QUERIES
 from tests.oracle import compare
 
-SLOW = {"wl_table2", "wl_moment_error", "wl_past_advice", "wl_combinations", "wl_universal", "wl_table1", "universal_emulation_ties", "universal_brute", "universal_estimation"}
+SLOW = {"wl_past_advice", "wl_combinations", "wl_table1", "universal_emulation_ties", "universal_brute", "universal_estimation"}
 
 
 @pytest.mark.parametrize("name", [n for n in QUERIES if n in ORACLES and n not in SLOW])
@@ -11,11 +11,6 @@ def test_query_equals_sql(spark, data, duck, name):
     compare(QUERIES[name](spark, data), duck, ORACLES[name])
 
 
-@pytest.mark.parametrize("name", [n for n in QUERIES if n not in ORACLES])
-def test_query_without_sql_runs(spark, data, name):
-    assert QUERIES[name](spark, data).limit(5).count() >= 0
-
-
 @pytest.mark.parametrize("name", ["subq_scalar", "filter_domain"])
 def test_filters_keep_some_rows(spark, data, name):
     assert QUERIES[name](spark, data).count() > 0
