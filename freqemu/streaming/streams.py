@@ -113,8 +113,8 @@ def session_frequencies(events: DataFrame, time: str, key: str, gap: str, late:
 def keyed_sketches(events: DataFrame, by: str, key: str, k: int, salt: str = "s", time: str | None = None, idle: int | None = None, late: str = "1 hour") -> DataFrame:
     """(by, keys): a stream's bottom-k sample of distinct keys for each group, in bounded state.
 
-    With ``time`` and ``idle`` (milliseconds) a group without events for that long after the
-    watermark is forgotten, which a last row with null keys says.
+    With ``time`` and ``idle`` (milliseconds) a group is forgotten once the watermark is that
+    far beyond its last event, which a last row with null keys says.
     """
 
     def update(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
@@ -122,19 +122,24 @@ def keyed_sketches(events: DataFrame, by: str, key: str, k: int, salt: str = "s"
             state.remove()
             yield pd.DataFrame({by: [group[0]], "keys": [None]})
             return
-        held = dict(json.loads(state.get[0])) if state.exists else {}
+        kept, last = state.get if state.exists else ("[]", 0)
+        held = dict(json.loads(kept))
         for frame in frames:
+            last = max(last, int(frame["_ms"].max()))
             for x in frame[key].dropna().unique():
                 held[str(x)] = unit_seed_of(str(x), salt)
             held = dict(sorted(held.items(), key=lambda p: (p[1], p[0]))[:k])
-        state.update((json.dumps(list(held.items())),))
+        state.update((json.dumps(list(held.items())), last))
         if idle is not None:
-            state.setTimeoutTimestamp(state.getCurrentWatermarkMs() + idle)
+            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs() + 1, last + idle))
         yield pd.DataFrame({by: [group[0]], "keys": [",".join(held)]})
 
     columns = [by, F.col(key).cast("string").alias(key)]
-    rows = events.select(*columns) if idle is None else events.select(*columns, time).withWatermark(time, late)
-    return rows.groupBy(by).applyInPandasWithState(update, f"{by} string, keys string", "held string", "update", "NoTimeout" if idle is None else "EventTimeTimeout")
+    if idle is None:
+        rows = events.select(*columns, F.lit(0).cast("long").alias("_ms"))
+    else:
+        rows = events.withWatermark(time, late).select(*columns, time, F.unix_millis(time).alias("_ms"))
+    return rows.groupBy(by).applyInPandasWithState(update, f"{by} string, keys string", "held string, last long", "update", "NoTimeout" if idle is None else "EventTimeTimeout")
 
 
 def latest(rows: DataFrame, by: str) -> DataFrame:
