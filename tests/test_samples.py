@@ -160,6 +160,25 @@ def test_no_element_is_shuffled_before_the_filter(spark):
     assert {r.key: r.w for r in below.collect()} == {r.key: r.w for r in A.advice_sketch(e, a, moment(2), 2, 8, 8).collect()}
 
 
+def test_kernel_joins_advice_that_is_too_large_to_broadcast(spark, monkeypatch):
+    rows, advice, _ = elements_of(spark, 1)
+    e = spark.createDataFrame(rows, "key string, value double").repartition(3)
+    a = spark.createDataFrame([(k, v) for k, v in advice.items() if k != rows[0][0]], "key string, advice double")
+    expected = {(r.key, r.w, r.advice) for r in A.advice_sketch(e, a, moment(2), 1, 5, 5).collect()}
+    monkeypatch.setattr(KN, "MOST_ADVICE", len(advice) - 2)
+    assert {(r.key, r.w, r.advice) for r in KN.kernel_sketch(e, moment(2), 1, 5, 5, advice=a).collect()} == expected
+
+
+def test_kernel_sums_batches_by_blocks(monkeypatch):
+    batches = [pa.RecordBatch.from_pydict({"key": [str(i), "x"], "value": [1.0, 2.0]}) for i in range(10)]
+    monkeypatch.setattr(KN, "BLOCK_ROWS", 6)
+    assert [len(t) for t in KN.blocks(iter(batches))] == [6, 6, 6, 2]
+    assert [r for t in KN.blocks(iter(batches)) for r in t.to_pylist()] == [r for b in batches for r in b.to_pylist()]
+    monkeypatch.setattr(KN, "BLOCK_BYTES", 1)
+    assert [len(t) for t in KN.blocks(iter(batches))] == [2] * 10
+    assert list(KN.blocks(iter([]))) == []
+
+
 @pytest.mark.parametrize("scheme", ["ppswor", "priority"])
 def test_advice_estimates_are_unbiased(spark, scheme):
     rows, advice, _ = elements_of(spark, 99)
