@@ -29,3 +29,9 @@ def test_agg_maxby_takes_the_smallest_key_of_equal_balances(same):
     rows = [(k, float(k % 3), "ab"[k % 2]) for k in range(1, 200)] + [(200, None, "a"), (None, 9.0, "a"), (201, None, "c")]
     found = same("agg_maxby", "customer", rows, "c_custkey bigint, c_acctbal double, c_mktsegment string")
     assert {tuple(r) for r in found} == {("a", 2, 6), ("b", 5, 3), ("c", None, None)}
+
+
+def test_win_range_rounds_halves_to_even(same):
+    prices = [0.5, 1.5, 1000.5, 1001.5, 2000.5, 2001.5, 2002.5, 2003.5, 3003.5, None, None]
+    rows = [(i, "FO"[i % 2], p) for i, p in enumerate(prices * 3)] + [(99, None, 7.0), (100, None, None)]
+    assert len(same("win_range", "orders", rows, "o_orderkey bigint, o_orderstatus string, o_totalprice double")) == 35
