@@ -35,3 +35,10 @@ def test_win_range_rounds_halves_to_even(same):
     prices = [0.5, 1.5, 1000.5, 1001.5, 2000.5, 2001.5, 2002.5, 2003.5, 3003.5, None, None]
     rows = [(i, "FO"[i % 2], p) for i, p in enumerate(prices * 3)] + [(99, None, 7.0), (100, None, None)]
     assert len(same("win_range", "orders", rows, "o_orderkey bigint, o_orderstatus string, o_totalprice double")) == 35
+
+
+def test_rank_vector_adds_in_the_order_of_the_rows(same):
+    values = [0.1, 0.2, 0.3]  # from the right their sum is 0.6, from the left a bit more
+    rows = [(100 * u + i, u, v) for u in range(30) for i, v in enumerate(values)] + [(9000 + i, 99, v) for i, v in enumerate(values[::-1])]
+    found = same("rank_vector", "events", rows, "event_id bigint, user_id bigint, value double")
+    assert sorted(r.m for r in found) == [1, 30]
