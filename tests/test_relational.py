@@ -42,3 +42,9 @@ def test_rank_vector_adds_in_the_order_of_the_rows(same):
     rows = [(100 * u + i, u, v) for u in range(30) for i, v in enumerate(values)] + [(9000 + i, 99, v) for i, v in enumerate(values[::-1])]
     found = same("rank_vector", "events", rows, "event_id bigint, user_id bigint, value double")
     assert sorted(r.m for r in found) == [1, 30]
+
+
+def test_baseline_full_is_exact_beyond_the_whole_numbers_of_a_double(spark, tmp_path):
+    text = "x " * 300_001 + " ".join(f"a{i}" for i in range(1000))
+    spark.createDataFrame([(1, 1, "user", text)], "conv_id bigint, turn int, role string, text string").write.parquet(str(tmp_path / "conversations.parquet"))
+    assert QUERIES["baseline_full"](spark, str(tmp_path)).first() == (300_001**3 + 1000, 1001)
