@@ -38,3 +38,8 @@ def test_bench_nrmse_follows_from_the_variances_of_the_keys(of):
 def test_bench_nrmse_needs_its_table(spark, tmp_path):
     with pytest.raises(AnalysisException):
         QUERIES["bench_nrmse"](spark, str(tmp_path)).collect()
+
+
+def test_harmonic_sums_over_the_ranks_of_the_keys(of):
+    found = {r.s: r.value for r in of("harmonic", "orders", ORDERS, "o_orderkey bigint, o_custkey bigint")}
+    assert found == pytest.approx({x: 1 + 2**-x + 3**-x for x in (0.5, 1.0, 2.0)}, rel=1e-6)
