@@ -43,3 +43,9 @@ def test_bench_nrmse_needs_its_table(spark, tmp_path):
 def test_harmonic_sums_over_the_ranks_of_the_keys(of):
     found = {r.s: r.value for r in of("harmonic", "orders", ORDERS, "o_orderkey bigint, o_custkey bigint")}
     assert found == pytest.approx({x: 1 + 2**-x + 3**-x for x in (0.5, 1.0, 2.0)}, rel=1e-6)
+
+
+def test_subzipf_phi_takes_c_and_the_number_of_keys_from_the_table(of):
+    found = {(r.alpha, r.q): r.phi for r in of("subzipf_phi", "orders", ORDERS, "o_orderkey bigint, o_custkey bigint")}
+    assert found[1.0, 1.0] == pytest.approx(1 / (1 + 1 / 2 + 1 / 3), rel=1e-6)  # c = 1: the second key has half of the first
+    assert found[2.0, 1.0] == pytest.approx(1 / (2 * (1 + 1 / 4 + 1 / 9)), rel=1e-6)  # c = 2, at the second key
