@@ -49,3 +49,10 @@ def test_subzipf_phi_takes_c_and_the_number_of_keys_from_the_table(of):
     found = {(r.alpha, r.q): r.phi for r in of("subzipf_phi", "orders", ORDERS, "o_orderkey bigint, o_custkey bigint")}
     assert found[1.0, 1.0] == pytest.approx(1 / (1 + 1 / 2 + 1 / 3), rel=1e-6)  # c = 1: the second key has half of the first
     assert found[2.0, 1.0] == pytest.approx(1 / (2 * (1 + 1 / 4 + 1 / 9)), rel=1e-6)  # c = 2, at the second key
+
+
+def test_udtf_zipf_makes_a_vector_for_each_user(of):
+    rows = [(1, "2024-01-01 10:00:00", 8.0), (1, "2024-01-01 23:59:59", 2.0), (1, "2024-01-02 00:00:00", 1.0), (2, "2024-01-05 00:00:00", 3.0), (3, "2024-01-05 00:00:00", 0.0)]
+    rows = [(u, datetime.fromisoformat(t), v) for u, t, v in rows]
+    found = {(r.user_id, r.key): r.w for r in of("udtf_zipf", "events", rows, "user_id bigint, ts timestamp_ntz, value double")}
+    assert found == pytest.approx({(1, "1"): 8.0, (1, "2"): 8 * 2**-1.5, (2, "1"): 3.0}, rel=1e-6)
