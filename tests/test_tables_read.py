@@ -56,3 +56,8 @@ def test_udtf_zipf_makes_a_vector_for_each_user(of):
     rows = [(u, datetime.fromisoformat(t), v) for u, t, v in rows]
     found = {(r.user_id, r.key): r.w for r in of("udtf_zipf", "events", rows, "user_id bigint, ts timestamp_ntz, value double")}
     assert found == pytest.approx({(1, "1"): 8.0, (1, "2"): 8 * 2**-1.5, (2, "1"): 3.0}, rel=1e-6)
+
+
+def test_zipf_gen_gives_the_keys_of_the_table_zipf_frequencies(of):
+    found = {r.key: r.w for r in of("zipf_gen", "orders", [*ORDERS, (99, 10)], "o_orderkey bigint, o_custkey bigint")}
+    assert found == pytest.approx({"1": 6.0, "2": 6 * 2**-1.25, "10": 6 * 3**-1.25, "3": 6 * 4**-1.25}, rel=1e-6)
