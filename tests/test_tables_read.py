@@ -61,3 +61,8 @@ def test_udtf_zipf_makes_a_vector_for_each_user(of):
 def test_zipf_gen_gives_the_keys_of_the_table_zipf_frequencies(of):
     found = {r.key: r.w for r in of("zipf_gen", "orders", [*ORDERS, (99, 10)], "o_orderkey bigint, o_custkey bigint")}
     assert found == pytest.approx({"1": 6.0, "2": 6 * 2**-1.25, "10": 6 * 3**-1.25, "3": 6 * 4**-1.25}, rel=1e-6)
+
+
+def test_zipf_universal_has_the_harmonic_number_of_the_keys_of_the_table(of):
+    found = of("zipf_universal", "lineitem", [(i, c) for i, c in ORDERS], "l_orderkey bigint, l_suppkey bigint")
+    assert len(found) == 6 and all(x == pytest.approx(1 + 1 / 2 + 1 / 3, rel=1e-6) for r in found for x in (r.universal, r.h_n))
